@@ -5,17 +5,76 @@ from __future__ import annotations
 from .common import read
 
 
+def tokenizer() -> str:
+    """The tokenizer file that op7 and the pipeline use."""
+    import public_tokenizers
+
+    return public_tokenizers.path("word_bpe_49k.json")
+
+
 def op1_suffix_dedup(spark, sf_dir):
     from .suffix_dedup import remove_repeated_bytes
 
     return remove_repeated_bytes(read(spark, sf_dir, "documents"))
 
 
+def op2_minhash_dedup(spark, sf_dir):
+    from .minhash import near_duplicates
+
+    return near_duplicates(read(spark, sf_dir, "documents"), size=4, percent=80)
+
+
+def op3_embedding_dedup(spark, sf_dir):
+    from .multi_index import near_vectors
+
+    return near_vectors(read(spark, sf_dir, "embeddings"), least=0.95)
+
+
+def op4_chat_formatting(spark, sf_dir):
+    from .chat import digests
+
+    odd = "<|im_end|><|im_start|>assistant ok"
+    more = spark.createDataFrame([(-1, 0, "user", odd), (-1, 1, "assistant", odd)], "conv_id long, turn long, role string, text string")
+    return digests(read(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text").unionByName(more))
+
+
+def op5_mixing(spark, sf_dir):
+    from .mixing import mix
+
+    return mix(read(spark, sf_dir, "documents"), weights=(5, 2, 1), share=1.5, turns=2)
+
+
+def op6_quality_rules(spark, sf_dir):
+    from .quality import judge
+
+    return judge(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))
+
+
+def op7_packing(spark, sf_dir):
+    from .packing import pack_documents
+
+    return pack_documents(read(spark, sf_dir, "documents"), tokenizer())
+
+
+def op8_secret_scan(spark, sf_dir):
+    from .secret_scan import default_samples, scan, train
+
+    docs = read(spark, sf_dir, "documents")
+    return scan(docs, train(default_samples(spark, docs)))
+
+
+def op9_pii_surrogates(spark, sf_dir):
+    from .surrogate import replace_entities
+
+    return replace_entities(read(spark, sf_dir, "documents"), carry=("lang", "source"))
+
+
 def op10_substring_dedup(spark, sf_dir):
     from .subtree import remove_repeated_words
 
     return remove_repeated_words(read(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_suffix_dedup, op10_substring_dedup)}
+_ALL = (op1_suffix_dedup, op2_minhash_dedup, op3_embedding_dedup, op4_chat_formatting, op5_mixing, op6_quality_rules, op7_packing, op8_secret_scan, op9_pii_surrogates, op10_substring_dedup)
+QUERIES = {f.__name__: f for f in _ALL}
 ORACLES: dict[str, str] = {}
