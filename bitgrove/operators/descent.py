@@ -28,17 +28,14 @@ def random_key(seed: int, *parts: Column | str) -> Column:
 
 def viability(live: Live, tree: Tree, found: DataFrame) -> DataFrame:
     """Live nodes with: positives below, and the cost of exploring them in vain (intersections, memberships)."""
-    leaves = live.marks.filter((F.col("level") == tree.depth) & F.col("live"))
-    hits = found.groupBy("set_id", "idx").agg(F.count("*").alias("positives"))
-    level = leaves.join(hits, ["set_id", "idx"], "left").select("set_id", "idx", "weight", F.coalesce("positives", F.lit(0)).alias("positives"), F.lit(0).cast("long").alias("ands"), F.col("occupied").alias("probes"))
-    out = level.withColumn("level", F.lit(tree.depth))
-    for at in range(tree.depth - 1, live.start - 1, -1):
-        below = level.groupBy("set_id", F.shiftright("idx", 1).alias("idx")).agg(F.sum("positives").alias("positives"), F.sum("ands").alias("ands"), F.sum("probes").alias("probes"))
-        own = live.marks.filter((F.col("level") == at) & F.col("live")).select("set_id", "idx", "weight")
-        level = own.join(below, ["set_id", "idx"], "left").select("set_id", "idx", "weight", F.coalesce("positives", F.lit(0)).alias("positives"), (F.coalesce("ands", F.lit(0)) + 2).alias("ands"), F.coalesce("probes", F.lit(0)).alias("probes"))
-        level = stored(level, f"viable{at}")
-        out = out.unionByName(level.withColumn("level", F.lit(at)))
-    return stored(out, "viability")
+    nodes = live.marks.filter("live").select("set_id", "level", "idx", "weight", "occupied")
+    hits = found.groupBy("set_id", "idx").agg(F.count("*").alias("positives")).withColumn("level", F.lit(tree.depth))
+    own = nodes.join(hits, ["set_id", "level", "idx"], "left")
+    at_leaf = F.col("level") == tree.depth
+    # One row per node and ancestor, summed in one shuffle.
+    up = own.select("set_id", "idx", F.coalesce("positives", F.lit(0)).alias("positives"), F.when(at_leaf, 0).otherwise(2).alias("ands"), F.when(at_leaf, F.col("occupied")).otherwise(0).alias("probes"), "level", F.explode(F.sequence(F.lit(live.start), "level")).alias("to"))
+    sums = up.groupBy("set_id", F.col("to").alias("level"), F.call_function("shiftright", F.col("idx"), F.col("level") - F.col("to")).alias("idx")).agg(*(F.sum(c).alias(c) for c in ("positives", "ands", "probes")))
+    return stored(nodes.join(sums, ["set_id", "level", "idx"]).select("set_id", "level", "idx", "weight", "positives", "ands", "probes"), "viability")
 
 
 def _children(nodes: DataFrame, level: int) -> DataFrame:
@@ -57,7 +54,8 @@ def descend(nodes: DataFrame, live: Live, tree: Tree, draws: int, seed: int, wei
     every = live.sizes.select("set_id").join(root, "set_id", "left").select("set_id", F.explode(F.sequence(F.lit(0), F.lit(draws - 1))).alias("draw"), F.when(F.col("positives") > 0, F.lit(0).cast("long")).alias("idx"), F.when(F.coalesce("positives", F.lit(0)) > 0, F.lit(0)).otherwise(F.coalesce("ands", F.lit(0))).cast("long").alias("intersections"), F.when(F.coalesce("positives", F.lit(0)) > 0, F.lit(0)).otherwise(F.coalesce("probes", F.lit(0))).cast("long").alias("memberships"))
     paths = every
     for level in range(tree.depth):
-        paths = stored(paths, f"paths{level}")
+        if level % 6 == 5:
+            paths = stored(paths, f"paths{level}")
         both = paths.join(_children(nodes, level + 1).withColumnRenamed("parent", "idx"), ["set_id", "idx"], "left")
         w = {s: F.coalesce(F.col(f"{s}_positives" if exact else f"{s}_weight"), F.lit(0)).cast("double") for s in "lr"}
         alive = {s: F.col(f"{s}_weight").isNotNull() for s in "lr"}
