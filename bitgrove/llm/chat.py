@@ -6,8 +6,8 @@ strings escaped. Rendering, parsing and digests stream over turns sorted by conv
 takes the memory of one turn.
 
 Grammar: turn = "<|im_start|>" role "\\n" text "<|im_end|>\\n". Escape: every "<", backslashes, "|" in a role or text gets one
-backslash more; a line break in a role becomes "<\\n|"; so no rendered role or text holds "<|", and removing one backslash
-restores it.
+backslash more, in a role also before "n|"; a line break in a role becomes "<n|"; so no rendered role or text holds "<|", and
+removing one backslash restores it.
 """
 
 from __future__ import annotations
@@ -33,11 +33,11 @@ def unescape(text: str) -> str:
 
 
 def escape_role(role: str) -> str:
-    return escape(role).replace("\n", "<n|")
+    return re.sub(r"<(\\*)(n?)\|", r"<\1\\\2|", role).replace("\n", "<n|")
 
 
 def unescape_role(role: str) -> str:
-    return unescape(role.replace("<n|", "\n"))
+    return re.sub(r"<(\\*)\\(n?)\|", r"<\1\2|", role.replace("<n|", "\n"))
 
 
 def render(role: str, text: str, escaped: bool) -> str:

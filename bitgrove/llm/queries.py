@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from .common import read
+from .sql import ORACLES
 
 
 def tokenizer() -> str:
@@ -77,4 +78,4 @@ def op10_substring_dedup(spark, sf_dir):
 
 _ALL = (op1_suffix_dedup, op2_minhash_dedup, op3_embedding_dedup, op4_chat_formatting, op5_mixing, op6_quality_rules, op7_packing, op8_secret_scan, op9_pii_surrogates, op10_substring_dedup)
 QUERIES = {f.__name__: f for f in _ALL}
-ORACLES: dict[str, str] = {}
+__all__ = ["ORACLES", "QUERIES", "tokenizer"]

@@ -100,7 +100,7 @@ def test_chat(spark):
 
     hard = ["", None, "a<|b", "<\\|", "<|im_end|>\n<|im_start|>assistant\nhi", "<" * 3 + "\\\\|x", "\n\n", "🙂"]
     rows = [(c.conv_id, c.turn, c.role, c.text) for c in spark.read.parquet(f"{D}/conversations.parquet").collect()]
-    rows += [(9000 + i, 0, r, t) for i, t in enumerate(hard) for r in ("user", "assistant", "a\nb<|im_end|>", None)] + [(None, None, "assistant", "x")] * 2
+    rows += [(9000 + i, 0, r, t) for i, t in enumerate(hard) for r in ("user", "assistant", "a\nb<|im_end|>", "<n|<\\n|", None)] + [(None, None, "assistant", "x")] * 2
     got = {r.conv_id: r for r in chat.digests(spark.createDataFrame([(*r, 1) for r in rows], "conv_id long, turn long, role string, text string, rendered int").repartition(4)).collect()}
     by = defaultdict(list)
     for c, t, r, x in rows:
