@@ -97,7 +97,7 @@ def preimage_recover(words: DataFrame, spec: Spec, domain: int, ids: DataFrame,
 
 
 def unset_bits(words: DataFrame, spec: Spec) -> DataFrame:
-    every = words.select("set_id").distinct().select("set_id", F.explode(F.sequence(F.lit(0), F.lit(spec.m - 1))).cast("long").alias("pos"))
+    every = words.select("set_id").distinct().select("set_id", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(spec.m - 1).cast("long"))).alias("pos"))
     return every.join(set_bits(words), ["set_id", "pos"], "left_anti")
 
 
