@@ -9,6 +9,7 @@ Packing runs in pools of a bounded number of tokens, in the order of the input,
 from __future__ import annotations
 
 import bisect
+import functools
 import re
 import zlib
 from collections.abc import Iterator
@@ -24,56 +25,93 @@ END = 1
 #: Tokens of rests that a pool holds before it is packed; and sequences' tokens of a step group.
 POOL_TOKENS, STEP_TOKENS = 2_000_000, 65_536
 RESULT = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, tier int, step_group long"
-_SPLIT = re.compile(r"[\x20\x09-\x0D]+")
+_SPLIT, _ODD = re.compile(r"[\x20\x09-\x0D]+"), re.compile("[\x1c-\x1f]")
 #: Entries that a worker's memory of words holds at most; it is emptied beyond, which changes no result.
 MEMORY_WORDS = 1_000_000
 
 
+class _Numbers(dict):
+    """Numbers words as they are first asked for."""
+
+    def __init__(self):
+        super().__init__()
+        self.new: list[str] = []
+
+    def __missing__(self, word: str) -> int:
+        n = self[word] = len(self)
+        self.new.append(word)
+        return n
+
+
 class Tokens:
-    """Ids by a tokenizer that drops white space: each blank-separated piece is encoded once and remembered."""
+    """Ids by a tokenizer that drops white space: each blank-separated piece is encoded once and remembered.
+
+    New pieces are encoded many at a time, with a mark between them that no other piece has."""
+
+    MARK, RUN = "\x01", 500
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.number: dict[str, int] = {}
-        self.ids, self.cuts = np.zeros(1 << 16, np.uint32), np.zeros(1 << 14, np.int64)
-        self.used = 0
-
-    def _learn(self, new: list[str]) -> None:
-        encoded = [x.ids for x in self.tokenizer.encode_batch(new, add_special_tokens=False)]
-        lens = np.array([len(x) for x in encoded], np.int64)
-        n, need = len(self.number), self.used + int(lens.sum())
+        self.mark = self.tokenizer.encode(self.MARK, add_special_tokens=False).ids
+        self._forget()
+
+    def _forget(self) -> None:
+        self.number = _Numbers()
+        self.ids, self.cuts, self.used = np.zeros(1 << 16, np.uint32), np.zeros(1 << 14, np.int64), 0
+
+    def _encoded(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of the words one after another, and how many each has."""
+        if len(self.mark) == 1 and not any(self.MARK in w for w in words):
+            runs = [f" {self.MARK} ".join(words[a : a + self.RUN]) + f" {self.MARK}" for a in range(0, len(words), self.RUN)]
+            flat = np.concatenate([np.array(x.ids, np.uint32) for x in self.tokenizer.encode_batch_fast(runs, add_special_tokens=False)])
+            at = np.flatnonzero(flat == self.mark[0])
+            if len(at) == len(words):
+                return np.delete(flat, at), np.diff(at, prepend=-1) - 1
+        each = [x.ids for x in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
+        return np.fromiter((i for x in each for i in x), np.uint32), np.array([len(x) for x in each], np.int64)
+
+    def _learn(self) -> None:
+        new, self.number.new = self.number.new, []
+        n = len(self.number) - len(new)
+        flat, lens = self._encoded(new)
+        need = self.used + len(flat)
         if need > len(self.ids):
             self.ids = np.concatenate([self.ids, np.zeros(max(need, len(self.ids)), np.uint32)])
         if n + len(new) + 1 > len(self.cuts):
             self.cuts = np.concatenate([self.cuts, np.zeros(max(n + len(new) + 1, len(self.cuts)), np.int64)])
-        self.ids[self.used : need] = np.fromiter((i for x in encoded for i in x), np.uint32, int(lens.sum()))
+        self.ids[self.used : need] = flat
         self.cuts[n] = self.used
         self.cuts[n + 1 : n + 1 + len(new)] = self.used + np.cumsum(lens)
-        self.number.update(zip(new, range(n, n + len(new)), strict=True))
         self.used = need
 
     def of(self, texts: list[str]) -> list[np.ndarray]:
         """The ids of each text, with END behind."""
         out = []
         for at in range(0, len(texts), 256):
-            split = [_SPLIT.split(t) for t in texts[at : at + 256]]
             if len(self.number) > MEMORY_WORDS:
-                self.number.clear()
-                self.used = 0
-            if new := list({w for x in split for w in x}.difference(self.number)):
-                self._learn(new)
+                self._forget()
             get = self.number.__getitem__
-            for x in split:
-                k = np.fromiter(map(get, x), np.int64, len(x))
+            # str.split() also cuts at four separators that the tokenizer does not drop.
+            split = [t.split() if not _ODD.search(t) else _SPLIT.split(t) for t in texts[at : at + 256]]
+            numbers = [np.fromiter(map(get, x), np.int64, len(x)) for x in split]
+            if self.number.new:
+                self._learn()
+            for k in numbers:
                 a, n = self.cuts[k], self.cuts[k + 1] - self.cuts[k]
                 ends = np.cumsum(n)
-                take = np.arange(ends[-1]) + np.repeat(a - (ends - n), n)
+                take = np.arange(ends[-1] if len(ends) else 0) + np.repeat(a - (ends - n), n)
                 out.append(np.append(self.ids[take], np.uint32(END)))
         return out
 
 
+@functools.lru_cache(2)
+def tokens_of(path: str) -> Tokens:
+    """One per worker process, shared by its tasks."""
+    return Tokens(path)
+
+
 def pack(lengths: list[int], tiers=TIERS) -> list[tuple[int, list[tuple[int, int, int]]]]:
     """Packs rests shorter than the largest tier: (tier, [(rest, start, length), ...]) per sequence, each id once.
 
@@ -119,7 +157,7 @@ def _packer(path: str, tiers, pool_tokens: int, step_tokens: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        tokens = Tokens(path)
+        tokens = tokens_of(path)
         base, window = TaskContext.get().partitionId() << 40, tiers[-1]
         state = {"sequence": 0, "group": 0}
         pool: list[tuple] = []
