@@ -263,5 +263,5 @@ ORACLES = {
     "w_user_tags": base(USERS, TAGS, "SELECT max(user_id) + 1 AS M FROM events") + f" SELECT set_id, n_true, n_found FROM ({RECOVERY})",
     "w_adjacency": base(NATIONS, SPEC, CUSTOMERS) + " " + RECOVERY,
     "w_growth": base("SELECT 'a' AS set_id, 0::BIGINT AS x", TAGS, "SELECT max(user_id) + 1 AS M FROM events", "SELECT DISTINCT user_id AS x FROM events WHERE user_id IS NOT NULL") + tree(TAGS, 4) + " " + NODES,
-    "w_sweep": f"SELECT d::BIGINT AS domain, n::BIGINT AS n, k::BIGINT AS k, a AS accuracy, round({_size('n', 'd', 'a', 'k')}, 3) AS m, round(n * (1 - a) / (a * (d - n)), 9) AS fp FROM {values('d, n, k, a', [(d, n, k, a) for d in GRID_M for n in (100, 1000, 10_000) for k in (1, 3, 5) for a in (0.5, 0.9)])}",
+    "w_sweep": f"SELECT d::BIGINT AS domain, n::BIGINT AS n, k::BIGINT AS k, a AS accuracy, round({_size('n', 'd', 'a', 'k')}, 0) AS m, round(n * (1 - a) / (a * (d - n)), 9) AS fp FROM {values('d, n, k, a', [(d, n, k, a) for d in GRID_M for n in (100, 1000, 10_000) for k in (1, 3, 5) for a in (0.5, 0.9)])}",
 }

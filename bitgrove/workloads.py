@@ -493,7 +493,7 @@ def w_growth(spark, sf_dir):
 
 def w_sweep(spark, sf_dir):
     rows = [(d, n, k, a, T.size_for(n, d, a, k), T.fp_for(n, d, a)) for d in GRID_M for n in (100, 1000, 10_000) for k in (1, 3, 5) for a in (0.5, 0.9)]
-    return _rows(spark, rows, "domain long, n long, k long, accuracy double, m double, fp double").select("domain", "n", "k", "accuracy", F.round("m", 3).alias("m"), F.round("fp", 9).alias("fp"))
+    return _rows(spark, rows, "domain long, n long, k long, accuracy double, m double, fp double").select("domain", "n", "k", "accuracy", F.round("m", 0).alias("m"), F.round("fp", 9).alias("fp"))
 
 
 def w_start_level(spark, sf_dir):
