@@ -2,8 +2,8 @@
 
 One pass over the texts hashes each document's word shingles once; the top bits of a hash choose a bin, the smallest hash of a
 bin is its value, and an empty bin copies that of a bin found by a fixed sequence of probes. Bands of bins are bucket keys.
-Within a bucket every document is compared with one hub only; buckets that still hold several components get other hubs, and
-what then remains is compared within the bucket on signatures before texts are. Links count only if confirmed on full sets.
+Within a bucket every document is compared with one hub; buckets that then still hold several components are compared within,
+block by block, and report just the links that connect them. Links count only if confirmed on full sets.
 """
 
 from __future__ import annotations
@@ -22,12 +22,9 @@ from .components import components
 from .subtree import window_names, word_names, word_places
 
 BINS, ROWS = 128, 4
-#: Bins that two signatures must share, of BINS, to be compared: six standard deviations under 0.8, for sets of FEW or more.
-AGREE, FEW = 75, 64
-#: Documents that are compared with one hub in one task.
-STAR = 256
-STARS = 3
-SKETCH = "doc_id long, n_shingles long, set_key binary, signature binary, bands array<long>"
+#: Documents that are compared with one hub in one task; members of a bucket in a part; shingles counted at a time.
+STAR, BLOCK, COLUMNS = 256, 1000, 4096
+SKETCH = "doc_id long, n_shingles long, set_key binary, bands array<long>"
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 _PROBES = np.random.default_rng(7).integers(0, BINS, (256, BINS))
@@ -94,10 +91,9 @@ def _sketcher(size: int):
                 keys = np.arange(BINS // ROWS, dtype=np.uint64)[None, :] * R._ODD[2]
                 for r in range(ROWS):
                     keys = R.mixed(keys * R._ODD[3] + bands[:, :, r], r)
-                short = R.mixed(values.copy(), 1).astype(np.uint16)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(at, to - at), pa.array([len(s) for s in sets], pa.int64()), pa.array([hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets], pa.binary()), pa.array([x.tobytes() for x in short], pa.binary()), pa.ListArray.from_arrays(np.arange(0, keys.size + 1, BINS // ROWS, dtype=np.int32), pa.array(keys.ravel().view(np.int64)))],
-                    names=["doc_id", "n_shingles", "set_key", "signature", "bands"],
+                    [batch.column(0).slice(at, to - at), pa.array([len(s) for s in sets], pa.int64()), pa.array([hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets], pa.binary()), pa.ListArray.from_arrays(np.arange(0, keys.size + 1, BINS // ROWS, dtype=np.int32), pa.array(keys.ravel().view(np.int64)))],
+                    names=["doc_id", "n_shingles", "set_key", "bands"],
                 )
 
     return run
@@ -123,23 +119,42 @@ def _confirmer(size: int, percent: int):
     return run
 
 
-def _pairs_of(percent: int):
-    """Pairs of one bucket that are in different components and agree in enough bins."""
+def _linker(size: int, percent: int):
+    """Exact links within one block of a bucket: enough of them to connect what is connected, never all pairs."""
 
     def run(table: pa.Table) -> pa.Table:
-        table = table.sort_by("doc_id")
-        ids, comp, n = (table[c].to_numpy() for c in ("doc_id", "comp", "n_shingles"))
-        sig = np.frombuffer(b"".join(table["signature"].to_pylist()), np.uint16).reshape(len(ids), BINS)
-        a, b = [], []
-        for at in range(0, len(ids), 32):
-            part = slice(at, at + 32)
-            same = (sig[part, None, :] == sig[None, at:, :]).sum(2)
-            low, high = np.minimum(n[part, None], n[None, at:]), np.maximum(n[part, None], n[None, at:])
-            ok = ((same >= AGREE) | (low < FEW)) & (100 * low >= percent * high) & (comp[part, None] != comp[None, at:]) & (ids[part, None] < ids[None, at:])
-            i, j = np.nonzero(ok)
-            a.append(ids[part][i])
-            b.append(ids[at:][j])
-        return pa.table({"a": np.concatenate(a), "b": np.concatenate(b)})
+        table = table.sort_by("doc_id").combine_chunks()
+        batch = table.to_batches()[0]
+        ids, comp = table["doc_id"].to_numpy(), table["comp"].to_numpy()
+        sets = [s for _, _, body, lens in _texts(batch, table.column_names.index("text")) for s in shingle_sets(body, lens, size)]
+        n = np.array([len(s) for s in sets])
+        names, column = np.unique(np.concatenate(sets), return_inverse=True)
+        row = np.repeat(np.arange(len(sets)), n)
+        shared = np.bincount(column)[column] > 1
+        row, column = row[shared], column[shared]
+        order = np.argsort(column, kind="stable")
+        row, column = row[order], np.cumsum(np.diff(column[order], prepend=-1) > 0) - 1
+        same = np.zeros((len(sets), len(sets)), np.float32)
+        cuts = np.searchsorted(column, np.arange(0, (column[-1] + 1 if len(column) else 0) + COLUMNS, COLUMNS))
+        for c, (x, y) in enumerate(zip(cuts[:-1], cuts[1:], strict=True)):
+            part = np.zeros((len(sets), COLUMNS), np.float32)
+            part[row[x:y], column[x:y] - c * COLUMNS] = 1
+            same += part @ part.T
+        i, j = np.nonzero((100 * same >= percent * (n[:, None] + n[None] - same)) & (comp[:, None] < comp[None]))
+        top = {c: c for c in comp.tolist()}
+
+        def root(c):
+            while top[c] != c:
+                c = top[c]
+            return c
+
+        out = []
+        for x, y in zip(i.tolist(), j.tolist(), strict=True):
+            p, q = sorted((root(comp[x].item()), root(comp[y].item())))
+            if p != q:
+                top[q] = p
+                out.append((ids[x], ids[y]))
+        return pa.table({"a": pa.array([x for x, _ in out], pa.int64()), "b": pa.array([y for _, y in out], pa.int64())})
 
     return run
 
@@ -153,6 +168,19 @@ def confirm(pairs: DataFrame, texts: DataFrame, size: int, percent: int) -> Data
     return stored(others.unionByName(hubs).groupBy("a", "part").applyInArrow(_confirmer(size, percent), "a long, b long"), "links")
 
 
+def _rest(members: DataFrame, hubs: DataFrame, stars: DataFrame, texts: DataFrame, size: int, percent: int) -> DataFrame:
+    """Links that the stars missed: buckets whose members, hub apart, still lie in several components are compared within.
+    Buckets with the same members are one; large ones are cut into blocks of pairs of parts."""
+    comps = components(stars)
+    known = members.join(comps.select(F.col("id").alias("doc_id"), "component_id"), "doc_id", "left").select("key", "doc_id", F.coalesce("component_id", "doc_id").alias("comp"))
+    aside = known.join(hubs.select("key", F.col("hub.doc_id").alias("hub")), "key")
+    split = aside.groupBy("key").agg(F.count("*").alias("m"), F.bit_xor(F.xxhash64("doc_id")).alias("x"), F.sum(F.pmod(F.xxhash64(F.col("doc_id") + 1), F.lit(1 << 40))).alias("s"), F.min(F.when(F.col("doc_id") != F.col("hub"), F.col("comp"))).alias("low"), F.max(F.when(F.col("doc_id") != F.col("hub"), F.col("comp"))).alias("high")).filter("low < high")
+    split = split.groupBy("m", "x", "s").agg(F.min("key").alias("key")).select("key", F.ceil(F.col("m") / BLOCK).cast("int").alias("parts"))
+    own = F.pmod(F.xxhash64("doc_id"), F.col("parts")).cast("int")
+    dealt = stored(known.join(split, "key").withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).select("key", F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"), "doc_id", "comp"), "rest")
+    return stored(dealt.join(texts, "doc_id").groupBy("key", "p", "q").applyInArrow(_linker(size, percent), "a long, b long"), "rest-links")
+
+
 def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for each row of docs (doc_id, text).
 
@@ -163,36 +191,19 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80) -> DataFr
     rows = docs.filter("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("binary"), F.lit(b"")).alias("text"))
     sketches = stored(rows.mapInArrow(_sketcher(size), SKETCH), "sketches")
     some = sketches.filter("n_shingles > 0")
-    firsts = stored(some.groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n_shingles"), F.first("signature").alias("signature"), F.first("bands").alias("bands")), "sets")
+    firsts = stored(some.groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n_shingles"), F.first("bands").alias("bands")), "sets")
     dealt = firsts.select(F.col("rep").alias("doc_id"), "n_shingles", F.explode("bands").alias("key"))
     crowded = dealt.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1").select("key")
     members = stored(dealt.join(crowded, "key").select("key", "doc_id", "n_shingles"), "members")
     asked = members.select("doc_id").distinct()
     texts = stored(rows.join(asked, "doc_id", "left_semi").dropDuplicates(["doc_id"]), "texts")
-    known = members.withColumn("comp", F.col("doc_id"))
-    links, tested = None, None
-    for turn in range(STARS + 1):
-        mixed = known.groupBy("key").agg(F.min("comp").alias("low"), F.max("comp").alias("high"), F.min(F.struct(F.when(F.lit(turn > 0), F.xxhash64(F.lit(turn), "key", "doc_id")).otherwise(F.lit(0)).alias("o"), "doc_id", "comp", "n_shingles")).alias("hub")).filter("low < high")
-        if turn < STARS:
-            pairs = known.join(mixed, "key").filter("comp <> hub.comp").filter(100 * F.least("n_shingles", "hub.n_shingles") >= percent * F.greatest("n_shingles", "hub.n_shingles"))
-            pairs = pairs.select(F.col("hub.doc_id").alias("a"), F.col("doc_id").alias("b")).distinct()
-        else:
-            signed = known.join(mixed.select("key"), "key").join(firsts.select(F.col("rep").alias("doc_id"), "signature"), "doc_id").select("key", "doc_id", "comp", "n_shingles", "signature")
-            pairs = signed.groupBy("key").applyInArrow(_pairs_of(percent), "a long, b long").distinct()
-        either = pairs.select(F.least("a", "b").alias("x"), F.greatest("a", "b").alias("y"), "a", "b")
-        if tested is not None:
-            either = either.join(tested, ["x", "y"], "left_anti")
-        either = stored(either.dropDuplicates(["x", "y"]), "pairs")
-        if either.isEmpty():
-            if turn < STARS:
-                continue
-            break
-        tested = either.select("x", "y") if tested is None else tested.unionByName(either.select("x", "y"))
-        new = confirm(either.select("a", "b"), texts, size, percent)
-        links = new if links is None else links.unionByName(new)
-        parts = stored(components(links), "components")
-        known = members.join(parts.withColumnRenamed("id", "doc_id").withColumnRenamed("component_id", "comp"), "doc_id", "left").withColumn("comp", F.coalesce("comp", "doc_id"))
-    out = sketches.join(firsts.select("set_key", "rep"), "set_key", "left") if links is None else sketches.join(firsts.select("set_key", "rep").join(parts.withColumnRenamed("id", "rep"), "rep", "left").select("set_key", F.coalesce("component_id", "rep").alias("rep")), "set_key", "left")
+    hubs = members.groupBy("key").agg(F.min(F.struct("doc_id", "n_shingles")).alias("hub"))
+    near = members.join(hubs, "key").filter("doc_id <> hub.doc_id").filter(100 * F.least("n_shingles", "hub.n_shingles") >= percent * F.greatest("n_shingles", "hub.n_shingles"))
+    stars = confirm(stored(near.select(F.col("hub.doc_id").alias("a"), F.col("doc_id").alias("b")).distinct(), "stars"), texts, size, percent)
+    links = stars.unionByName(_rest(members, hubs, stars, texts, size, percent))
+    parts = components(links)
+    named = firsts.select("set_key", "rep").join(parts.withColumnRenamed("id", "rep"), "rep", "left").select("set_key", F.coalesce("component_id", "rep").alias("rep"))
+    out = sketches.join(named, "set_key", "left")
     found = F.when(F.col("n_shingles") > 0, F.coalesce("rep", "doc_id")).otherwise(F.col("doc_id"))
     out = out.select("doc_id", "n_shingles", found.alias("component_id"))
     unnamed = docs.filter("doc_id is null").select(F.lit(None).cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("binary"), F.lit(b"")).alias("text"))
