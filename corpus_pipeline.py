@@ -17,7 +17,7 @@ from bitgrove.llm.surrogate import replace_entities
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality rules keep. Rows that share a doc_id stay if one of them is kept; null ids count as one."""
     kept = judge(docs, read(spark, sf_dir, "labels")).filter("kept").select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(kept, F.col("doc_id").eqNullSafe(F.col("_id")), "left_semi")
+    return docs.join(kept.hint("merge"), F.col("doc_id").eqNullSafe(F.col("_id")), "left_semi")
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -25,7 +25,7 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     doc_id stay."""
     judged = stored(near_duplicates(docs, size=5, percent=80).filter("doc_id is not null"), "judged")
     kept = judged.filter("kept").select("doc_id").distinct()
-    named = docs.join(kept, "doc_id", "left_semi")
+    named = docs.join(kept.hint("merge"), "doc_id", "left_semi")
     if not judged.groupBy("doc_id").count().filter("count > 1").isEmpty():
         named = named.dropDuplicates(["doc_id"])
     return named.unionByName(docs.filter("doc_id is null"))
@@ -44,7 +44,7 @@ def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The mixture: documents that the mix takes, those that it takes twice as two rows. Equal rows are taken alike."""
     keyed = docs.withColumn("_row", F.xxhash64("doc_id", "text", "source"))
     taken = mix(keyed, carry=("_row",)).filter("n_taken > 0").groupBy("_row").agg(F.max("n_taken").alias("_turns"))
-    return keyed.join(taken, "_row").withColumn("_turn", F.explode(F.sequence(F.lit(1), F.col("_turns")))).select(*docs.columns)
+    return keyed.join(taken.hint("merge"), "_row").withColumn("_turn", F.explode(F.sequence(F.lit(1), F.col("_turns")))).select(*docs.columns)
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
