@@ -12,7 +12,10 @@ from pyspark.sql import functions as F
 from ..functions.hashing import Spec
 from ..sources.scratch import stored
 from .descent import random_key
-from .filters import check_pairs, contains, ones, set_bits
+from .filters import BROADCAST_BYTES, check_pairs, contains, ones, set_bits
+
+#: What a set id takes in a broadcast, at most.
+ID_BYTES = 256
 
 
 def probe_recover(ids: DataFrame, words: DataFrame, spec: Spec, way: str = "auto") -> DataFrame:
@@ -92,7 +95,9 @@ def preimage_recover(words: DataFrame, spec: Spec, domain: int, ids: DataFrame,
     listed = _listed(set_bits(words.join(sides["set"], "set_id", "left_semi")), spec, domain, functions).select("set_id", "x")
     by_set = check_pairs(listed.distinct() if dedup else listed, words, spec).select("set_id", "x").distinct()
     absent = _listed(unset_bits(words.join(sides["unset"], "set_id", "left_semi"), spec), spec, domain, "all").select("set_id", "x").distinct()
-    every = ids.select("x").join(F.broadcast(sides["unset"]))
+    # All ids of each such set are what is asked for; only ids of sets of a checked number go to every task.
+    wide = sides["unset"] if bits == "set" or sides["unset"].count() * ID_BYTES > BROADCAST_BYTES else F.broadcast(sides["unset"])
+    every = ids.select("x").crossJoin(wide)
     return by_set.unionByName(every.join(absent, ["set_id", "x"], "left_anti").select("set_id", "x"))
 
 

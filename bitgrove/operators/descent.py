@@ -46,7 +46,8 @@ def _children(nodes: DataFrame, level: int) -> DataFrame:
 
 
 def descend(nodes: DataFrame, live: Live, tree: Tree, draws: int, seed: int, weights: str) -> DataFrame:
-    """(set_id, draw, idx, intersections, memberships): the leaf that each draw ends in; idx is null if the set has none."""
+    """(set_id, draw, idx, intersections, memberships, positives): the leaf that each draw ends in and how many ids it offers; idx is
+    null if the set has none."""
     exact = weights == "exact"
     if live.start:
         raise ValueError("a descent starts at the root")
@@ -66,9 +67,9 @@ def descend(nodes: DataFrame, live: Live, tree: Tree, draws: int, seed: int, wei
         vain = lambda c: F.when(raw_left & ~yields["l"], F.coalesce(F.col(f"l_{c}"), F.lit(0))).when(~raw_left & ~yields["r"], F.coalesce(F.col(f"r_{c}"), F.lit(0))).otherwise(F.lit(0))  # noqa: B023, E731
         going = F.col("idx").isNotNull()
         paths = both.select("set_id", "draw", F.when(going, F.col("idx") * 2 + F.when(left, 0).otherwise(1)).alias("idx"), (F.col("intersections") + F.when(going, 2 + vain("ands")).otherwise(0)).alias("intersections"), (F.col("memberships") + F.when(going, vain("probes")).otherwise(0)).alias("memberships"))
-    leaf = nodes.filter(F.col("level") == tree.depth).select("set_id", "idx", "probes")
+    leaf = nodes.filter(F.col("level") == tree.depth).select("set_id", "idx", "probes", "positives")
     done = stored(paths, "paths").join(leaf, ["set_id", "idx"], "left")
-    return done.select("set_id", "draw", "idx", "intersections", (F.col("memberships") + F.coalesce("probes", F.lit(0))).alias("memberships"))
+    return done.select("set_id", "draw", "idx", "intersections", (F.col("memberships") + F.coalesce("probes", F.lit(0))).alias("memberships"), "positives")
 
 
 def sample_sets(words: DataFrame, tree: Tree, ids: DataFrame, draws: int = 1, seed: int = 1, weights: str = "floored", tau: float | None = None, replace: bool = True) -> DataFrame:
@@ -82,11 +83,11 @@ def sample_sets(words: DataFrame, tree: Tree, ids: DataFrame, draws: int = 1, se
     found = stored(probe_leaves(live, tree, words, ids), "positives")
     nodes = viability(live, tree, found)
     paths = descend(nodes, live, tree, draws, seed, weights)
-    if replace:
-        named = paths.join(found.withColumnRenamed("x", "y"), ["set_id", "idx"], "left")
-        pick = F.min(F.when(F.col("y").isNotNull(), F.struct(random_key(seed, F.lit("leaf"), "set_id", "draw", "y").alias("key"), "y")))
-        return named.groupBy("set_id", "draw").agg(pick["y"].alias("x"), F.first("idx").alias("idx"), F.first("intersections").alias("intersections"), F.first("memberships").alias("memberships"))
     ranked_ids = found.withColumn("rank", F.row_number().over(Window.partitionBy("set_id", "idx").orderBy(random_key(seed, F.lit("leaf"), "set_id", "x"), "x")))
+    if replace:
+        # A draw names the rank it wants, so it meets one id of its leaf and not all of them.
+        wanted = paths.withColumn("rank", F.floor(coin(seed, F.lit("pick"), "set_id", "draw") * F.col("positives")).cast("int") + 1)
+        return wanted.join(ranked_ids, ["set_id", "idx", "rank"], "left").select("set_id", "draw", "x", "idx", "intersections", "memberships")
     ranked = paths.withColumn("rank", F.row_number().over(Window.partitionBy("set_id", "idx").orderBy("draw")))
     first = stored(ranked.join(ranked_ids, ["set_id", "idx", "rank"], "left").select("set_id", "draw", "x", "idx", "intersections", "memberships"), "drawn")
     unused = found.select("set_id", "x").join(first.filter("x is not null").select("set_id", "x"), ["set_id", "x"], "left_anti").join(first.filter("x is null").select("set_id").distinct(), "set_id", "left_semi")

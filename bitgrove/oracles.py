@@ -85,8 +85,10 @@ def drawn(spec: Spec, depth: int, draws: int, weights: str, seed: int = 1) -> st
     path{at + 1} AS (SELECT set_id, draw, CASE WHEN idx IS NOT NULL THEN 2 * idx + CASE WHEN (raw AND lp) OR (NOT raw AND NOT rp) THEN 0 ELSE 1 END END AS idx,
       ands + CASE WHEN idx IS NULL THEN 0 ELSE 2 + CASE WHEN raw AND NOT lp THEN la WHEN NOT raw AND NOT rp THEN ra ELSE 0 END END AS ands,
       probes + CASE WHEN idx IS NULL THEN 0 WHEN raw AND NOT lp THEN lm WHEN NOT raw AND NOT rp THEN rm ELSE 0 END AS probes FROM step{at})"""
-    return out + f""", samples AS (SELECT p.set_id, draw, arg_min(f.x, md5(concat_ws(':', '{seed}', 'leaf', p.set_id, draw, f.x))) AS x, any_value(p.ands)::BIGINT AS intersections, (any_value(p.probes) + coalesce(any_value(o.probes), 0))::BIGINT AS memberships
-      FROM path{depth} p LEFT JOIN atleaf f ON f.set_id = p.set_id AND f.idx = p.idx LEFT JOIN reach o ON o.set_id = p.set_id AND o.level = {depth} AND o.idx = p.idx GROUP BY p.set_id, draw)"""
+    pick = f"('0x' || substr(md5(concat_ws(':', '{seed}', 'pick', p.set_id, draw)), 1, 8))::BIGINT / 4294967296::DOUBLE"
+    return out + f""", ranked AS (SELECT *, row_number() OVER (PARTITION BY set_id, idx ORDER BY md5(concat_ws(':', '{seed}', 'leaf', set_id, x)), x) AS rank FROM atleaf),
+    samples AS (SELECT p.set_id, draw, f.x, p.ands::BIGINT AS intersections, (p.probes + coalesce(o.probes, 0))::BIGINT AS memberships
+      FROM path{depth} p LEFT JOIN reach o ON o.set_id = p.set_id AND o.level = {depth} AND o.idx = p.idx LEFT JOIN ranked f ON f.set_id = p.set_id AND f.idx = p.idx AND f.rank = floor({pick} * o.positives)::BIGINT + 1)"""
 
 
 def sampling(sets: str, draws: int, weights: str = "floored", tau: float | None = None, spec: Spec = SPEC, depth: int = DEPTH, domain: str = ORDERS, ids: str | None = None) -> str:
