@@ -27,8 +27,10 @@ def pairs(rows: DataFrame, set_id: Column | str, x: Column | str) -> DataFrame:
     return rows.select(s.cast("string").alias("set_id"), v.cast("long").alias("x")).filter("x is not null and set_id is not null").distinct()
 
 
-def orders_by_supplier(spark, sf_dir, most: int = 20):
-    return pairs(table(spark, sf_dir, "lineitem").filter(F.col("l_suppkey") < most), "l_suppkey", "l_orderkey")
+def orders_by_supplier(spark, sf_dir, most: int | None = 20):
+    """The suppliers below most, as the SQL twins have them; None: every supplier."""
+    rows = table(spark, sf_dir, "lineitem")
+    return pairs(rows if most is None else rows.filter(F.col("l_suppkey") < most), "l_suppkey", "l_orderkey")
 
 
 def orders_by_part(spark, sf_dir, most: int = 3):

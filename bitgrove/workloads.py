@@ -46,7 +46,7 @@ def _rows(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every supplier's order set recovered from its filter by the pruned sweep: set_id, n_true, n_found, n_both, precision, recall."""
     domain, ids = _orders(spark, sf_dir)
-    pairs, words = _suppliers(spark, sf_dir)
+    pairs, words = _suppliers(spark, sf_dir, None)
     return M.recovery(recover(words, X.build_tree(ids, SPEC, domain, DEPTH), ids), pairs)
 
 
@@ -203,7 +203,7 @@ def q_sample_ops(spark, sf_dir):
 
 def q_sample_rejection(spark, sf_dir):
     domain, ids = _orders(spark, sf_dir)
-    words = _suppliers(spark, sf_dir, 5)[1]
+    words = _suppliers(spark, sf_dir, None)[1]
     p = stored(path_probabilities(words, X.build_tree(ids, SPEC, domain, DEPTH), ids, "exact"), "p")
     return rejected_to_uniform(p, 50, 3)
 
@@ -254,7 +254,7 @@ def q_probe_sample(spark, sf_dir):
 
 def q_probe_reservoir(spark, sf_dir):
     domain, ids = _orders(spark, sf_dir)
-    return B.probe_reservoir(B.probe_recover(ids, _suppliers(spark, sf_dir, 10)[1], SPEC), 2)
+    return B.probe_reservoir(B.probe_recover(ids, _suppliers(spark, sf_dir, None)[1], SPEC), 2)
 
 
 def q_probe_recover(spark, sf_dir):
@@ -499,7 +499,7 @@ def w_sweep(spark, sf_dir):
 def w_start_level(spark, sf_dir):
     domain, ids = _orders(spark, sf_dir)
     tree = X.build_tree(ids, SPEC, domain, DEPTH)
-    words = _suppliers(spark, sf_dir, 10)[1]
+    words = _suppliers(spark, sf_dir, None)[1]
     return recover_ops(mark(words, tree, start=start_level(tree)), tree)
 
 
@@ -515,7 +515,7 @@ QUERIES = {
     )},
     "q_sample_one": _sampled("floored", 1, 20),
     "q_sample_many_replace": _sampled("floored", 20),
-    "q_sample_many_noreplace": _sampled("floored", 50, 5, replace=False),
+    "q_sample_many_noreplace": _sampled("floored", 50, None, replace=False),
     "q_sample_paper": _sampled("paper", 10, tau=0.0),
     "q_sample_exact": _sampled("exact", 20),
     "q_preimage_set_bits": _preimage("set"),

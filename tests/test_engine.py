@@ -257,3 +257,21 @@ def test_entry_without_the_training_data_operators(spark):
     names = set(E.queries())
     assert {"q_recover_safe", "w_recover_ops", "op_asof"} <= names and set(E.oracle_sql()) <= names
     assert E.entry(spark).count() == 10
+
+
+def test_every_supplier_takes_part(spark, tmp_path):
+    from bitgrove import workloads as W
+
+    rng = random.Random(9)
+    rows = sorted({(s, x) for s in range(40) for x in rng.sample(range(200), 6)} | {(33, x) for x in range(100)})
+    spark.createDataFrame(rows, "l_suppkey long, l_orderkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.createDataFrame([(x,) for x in range(200)], "o_orderkey long").write.parquet(f"{tmp_path}/orders.parquet")
+    sets = [(str(s), x) for s, x in rows]
+    bits = {s: {p for t, x in sets if t == s for p in place(x, W.SPEC)} for s, _ in sets}
+    found = {(s, x) for s, b in bits.items() for x in range(200) if b.issuperset(place(x, W.SPEC))}
+    got = {r.set_id: (r.n_true, r.n_found, r.n_both) for r in W.flagship(spark, str(tmp_path)).collect()}
+    assert got == {s: (sum(t == s for t, _ in sets), sum(t == s for t, _ in found), sum(t == s for t, _ in sets)) for s in bits}
+    for name in ("q_probe_reservoir", "q_sample_many_noreplace", "q_sample_rejection"):
+        out = [(r.set_id, r.x) for r in W.QUERIES[name](spark, str(tmp_path)).collect()]
+        assert {s for s, _ in out} == set(bits) and all(p in found for p in out if p[1] is not None), name
+    assert {r.set_id for r in W.QUERIES["w_start_level"](spark, str(tmp_path)).collect()} == set(bits)
