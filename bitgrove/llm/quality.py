@@ -4,6 +4,10 @@ Each rule compares one ratio of a document with a cutoff. Per stratum, labelled
 counted, and a cutoff is allowed if the exact binomial (Clopper-Pearson) upper bound of its false rejection rate stays below
 the rule's share of the risk, at a confidence corrected for all rules, cutoffs and strata tried. The strictest allowed cutoff
 is taken; a stratum with too few labels gets none. Cutoffs come from a fixed grid, so every label serves as holdout.
+
+The joint way needs fewer labels: all rules go from lenient to strict together, a step of the grid at a time, and the good
+documents that any rule would reject are held against the whole risk. The steps are fixed beforehand, nested, and end at the
+first that is not allowed, so the confidence is corrected for the strata only.
 """
 
 from __future__ import annotations
@@ -73,10 +77,14 @@ def allowed(n: int, p: float, level: float) -> int:
     return low
 
 
+def _good(features: DataFrame, labels: DataFrame) -> DataFrame:
+    good = labels.groupBy("doc_id").agg(F.min("quality").alias("quality")).filter("quality = 1").select("doc_id")
+    return features.filter("not base_failed").join(good, "doc_id", "left_semi")
+
+
 def cutoffs(features: DataFrame, labels: DataFrame, stratum: str = "lang", risk: float = 0.02, level: float = 0.05) -> dict:
     """Stratum to rule to cutoff. labels: doc_id, quality (1: good). Collects one row of counts per stratum, MAX_STRATA at most."""
-    good = labels.groupBy("doc_id").agg(F.min("quality").alias("quality")).filter("quality = 1").select("doc_id")
-    held = features.filter("not base_failed").join(good, "doc_id", "left_semi")
+    held = _good(features, labels)
     tried = [(rule, c, F.count_if(_ratio(ratio) > c).alias(f"{rule}:{c}")) for rule, (ratio, grid) in RULES.items() for c in grid]
     rows = held.groupBy(stratum).agg(F.count("*").alias("n"), *(x for *_, x in tried)).limit(MAX_STRATA + 1).collect()
     if len(rows) > MAX_STRATA:
@@ -91,8 +99,42 @@ def cutoffs(features: DataFrame, labels: DataFrame, stratum: str = "lang", risk:
     return found
 
 
-def judge(docs: DataFrame, labels: DataFrame, stratum: str = "lang", risk: float = 0.02, level: float = 0.05, carry=()) -> DataFrame:
-    """Features, base_failed and kept for each row of docs (doc_id, text, stratum).
+def steps() -> list[dict]:
+    """Rule to cutoff, from the most lenient to the strictest; a rule with a shorter grid stays at its strictest."""
+    return [{rule: grid[max(0, len(grid) - 1 - t)] for rule, (_, grid) in RULES.items()} for t in range(max(len(grid) for _, grid in RULES.values()))]
+
+
+def least_labels(strata: int, risk: float = 0.02, level: float = 0.05) -> int:
+    """Good documents that a stratum needs before the joint way allows a step, if none of them is rejected."""
+    return math.ceil(math.log(level / max(1, strata)) / math.log1p(-risk))
+
+
+def _over(rules: dict):
+    out = F.lit(False)
+    for rule, c in rules.items():
+        out = out | F.coalesce(_ratio(RULES[rule][0]) > c, F.lit(False))
+    return out
+
+
+def joint_cutoffs(features: DataFrame, labels: DataFrame, stratum: str = "lang", risk: float = 0.02, level: float = 0.05) -> dict:
+    """As cutoffs, by the joint way: the last step before the first that is not allowed."""
+    path = steps()
+    rows = _good(features, labels).groupBy(stratum).agg(F.count("*").alias("n"), *(F.count_if(_over(rules)).alias(f"step{t}") for t, rules in enumerate(path))).limit(MAX_STRATA + 1).collect()
+    if len(rows) > MAX_STRATA:
+        raise ValueError(f"more than {MAX_STRATA} strata")
+    found: dict = {}
+    for row in rows:
+        most = allowed(row["n"], risk, level / len(rows))
+        found[row[stratum]] = {}
+        for t, rules in enumerate(path):
+            if row[f"step{t}"] > most:
+                break
+            found[row[stratum]] = rules
+    return found
+
+
+def judge(docs: DataFrame, labels: DataFrame, stratum: str = "lang", risk: float = 0.02, level: float = 0.05, carry=(), joint: bool = False) -> DataFrame:
+    """Features, base_failed and kept for each row of docs (doc_id, text, stratum); joint: cutoffs by the joint way.
 
     Null and empty texts have no words and fail the base rules; repeated rows are judged alike; a null stratum is one of its
     own; a ratio without words or lines never rejects; labels may repeat (the lowest counts), be null or name no document.
@@ -101,9 +143,6 @@ def judge(docs: DataFrame, labels: DataFrame, stratum: str = "lang", risk: float
     base = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
     features = stored(measured(docs, tuple(dict.fromkeys([stratum, *carry]))).withColumn("base_failed", base), "features")
     bad = F.lit(False)
-    for value, rules in cutoffs(features, labels, stratum, risk, level).items():
-        over = F.lit(False)
-        for rule, c in rules.items():
-            over = over | F.coalesce(_ratio(RULES[rule][0]) > c, F.lit(False))
-        bad = bad | (F.col(stratum).eqNullSafe(F.lit(value)) & over)
+    for value, rules in (joint_cutoffs if joint else cutoffs)(features, labels, stratum, risk, level).items():
+        bad = bad | (F.col(stratum).eqNullSafe(F.lit(value)) & _over(rules))
     return features.withColumn("kept", ~F.col("base_failed") & ~bad)

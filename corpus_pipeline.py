@@ -15,8 +15,8 @@ from bitgrove.llm.surrogate import replace_entities
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the quality rules keep. Rows that share a doc_id stay if one of them is kept; null ids count as one."""
-    kept = judge(docs, read(spark, sf_dir, "labels")).filter("kept").select(F.col("doc_id").alias("_id")).distinct()
+    """Documents that the quality rules keep, with joint cutoffs. Rows that share a doc_id stay if one of them is kept; null ids count as one."""
+    kept = judge(docs, read(spark, sf_dir, "labels"), joint=True).filter("kept").select(F.col("doc_id").alias("_id")).distinct()
     return docs.join(kept.hint("merge"), F.col("doc_id").eqNullSafe(F.col("_id")), "left_semi")
 
 

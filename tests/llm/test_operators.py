@@ -286,3 +286,27 @@ def test_permutation_and_collisions(spark):
         assert len(set(names)) == 40
     finally:
         S.SYLLABLES["latin"] = pool[0]
+
+
+def test_joint_cutoffs_reach_small_strata(spark, tmp_path):
+    import corpus_pipeline as P
+    from bitgrove.llm.quality import least_labels
+
+    assert least_labels(2) == 183 and 0.98**183 <= 0.025 < 0.98**182
+    odd = lambda i: " ".join(f"w{i}o{k} #$%#" for k in range(60))
+    good = [(i, " ".join(f"word{i}x{k}" for k in range(60)), lang) for i, lang in enumerate(["en"] * 190 + ["de"] * 150)]
+    good[0] = (0, odd(0), "en")
+    more = [(1000 + i, " ".join(f"word{i}x{k}" for k in range(60)), "en") for i in range(200)]
+    junk = [(5000 + i, odd(5000 + i), lang) for i, lang in enumerate(["en", "de"] * 20)]
+    labelled = [(i, 1) for i, *_ in good]
+
+    def kept(docs, labels, at):
+        frame = spark.createDataFrame(docs, "doc_id long, text string, lang string")
+        spark.createDataFrame(labels, "doc_id long, quality int").write.parquet(f"{tmp_path}/{at}/labels.parquet")
+        return {r.doc_id for r in P.quality_rules(spark, frame, f"{tmp_path}/{at}").collect()}
+
+    # Too few labels in one stratum; one false rejection too many for 190 labels in the other, not for 390.
+    every = {i for i, *_ in good + junk}
+    assert kept(good + junk, labelled, "few") == every
+    left = kept(good + more + junk, labelled + [(i, 1) for i, *_ in more], "enough")
+    assert left == (every | {i for i, *_ in more}) - {0} - {i for i, _, lang in junk if lang == "en"}
