@@ -3,7 +3,8 @@
 The same entity gets the same surrogate everywhere, whatever its notation. Digits of telephone, card and identity numbers and
 of addresses pass a keyed permutation of their own number range, so different ones stay different and keep their format; names
 and mail addresses are drawn from keyed digests, keeping gender, script, capitals, separators and digit places. A global check
-looks for two entities with one surrogate; those found get another draw.
+looks for two entities with one surrogate and for surrogates that are entities themselves, of every kind; those found get
+another draw, numbers and addresses by the permutation of another key.
 """
 
 from __future__ import annotations
@@ -58,8 +59,14 @@ def _number(digest: Column, at: int, below: Column | int) -> Column:
     return F.pmod(F.conv(F.substring(digest, at, 15), 16, 10).cast("long"), F.lit(below) if isinstance(below, int) else below)
 
 
-def permuted(digits: Column, key: str, kind: Column, rounds: int = 4) -> Column:
+def _nth_key(key: str, attempt: Column) -> Column:
+    """The key itself at first, then one of its own for each attempt."""
+    return F.when(attempt == 0, F.lit(key)).otherwise(F.concat_ws("|", F.lit(key), attempt.cast("string")))
+
+
+def permuted(digits: Column, key: Column | str, kind: Column, rounds: int = 4) -> Column:
     """Keyed permutation of the digit strings of each length up to 20: halves are shifted in turn by a digest of the other."""
+    key = F.lit(key) if isinstance(key, str) else key
     n = F.length(digits)
     a = F.floor(n / 2).cast("int")
     tens = lambda k: F.rpad(F.lit("1"), k + 1, "0").cast("long")
@@ -67,8 +74,8 @@ def permuted(digits: Column, key: str, kind: Column, rounds: int = 4) -> Column:
     state = F.struct(left.alias("l"), right.alias("r"), a.alias("a"), (n - a).alias("b"))
 
     def turn(s, i):
-        l = F.pmod(s["l"] + _number(F.sha2(F.concat_ws("|", F.lit(key), kind, n, i, F.lit("l"), s["r"]), 256), 1, 10**10), tens(s["a"]))  # noqa: E741
-        r = F.pmod(s["r"] + _number(F.sha2(F.concat_ws("|", F.lit(key), kind, n, i, F.lit("r"), l), 256), 1, 10**10), tens(s["b"]))
+        l = F.pmod(s["l"] + _number(F.sha2(F.concat_ws("|", key, kind, n, i, F.lit("l"), s["r"]), 256), 1, 10**10), tens(s["a"]))  # noqa: E741
+        r = F.pmod(s["r"] + _number(F.sha2(F.concat_ws("|", key, kind, n, i, F.lit("r"), l), 256), 1, 10**10), tens(s["b"]))
         return F.struct(l.alias("l"), r.alias("r"), s["a"].alias("a"), s["b"].alias("b"))
 
     end = F.aggregate(F.sequence(F.lit(1), F.lit(rounds)), state, turn)
@@ -90,6 +97,7 @@ def surrogate(value: Column, key: str, attempt: Column) -> Column:
     kind = kind_of(value)
     what = normal(value, kind)
     digest = _draw(key, kind, what, attempt, "a")
+    nth = _nth_key(key, attempt)
     # Mail: letters by digest, at least twelve, then the digit places of the local part; a reserved domain.
     letters = F.translate(F.substring(digest, 1, 14), "0123456789abcdef", "bcdfghklmnprstvw")
     local = F.regexp_extract(value, "^[^@]*", 0)
@@ -100,8 +108,8 @@ def surrogate(value: Column, key: str, attempt: Column) -> Column:
     low, high = F.get(parts, 2) * 256 + F.get(parts, 3), F.get(parts, 0) * 256 + F.get(parts, 1)
 
     def turn(s, i):
-        h = F.pmod(s["h"] + _number(F.sha2(F.concat_ws("|", F.lit(key), i, F.lit("h"), s["l"]), 256), 1, 65536), F.lit(65536))
-        w = F.pmod(s["l"] + _number(F.sha2(F.concat_ws("|", F.lit(key), i, F.lit("w"), h), 256), 1, 65536), F.lit(65536))
+        h = F.pmod(s["h"] + _number(F.sha2(F.concat_ws("|", nth, i, F.lit("h"), s["l"]), 256), 1, 65536), F.lit(65536))
+        w = F.pmod(s["l"] + _number(F.sha2(F.concat_ws("|", nth, i, F.lit("w"), h), 256), 1, 65536), F.lit(65536))
         return F.struct(h.alias("h"), w.alias("l"))
 
     out = F.aggregate(F.sequence(F.lit(1), F.lit(4)), F.struct(high.alias("h"), low.alias("l")), turn)
@@ -109,7 +117,7 @@ def surrogate(value: Column, key: str, attempt: Column) -> Column:
     # Numbers: a telephone's country code stays.
     code = F.regexp_extract(value, r"^\+[0-9]{1,3}(?=[ (.-])", 0)
     rest = F.substring(value, F.length(code) + 1, F.length(value))
-    number = F.concat(code, _digits_in(rest, permuted(F.regexp_replace(rest, "[^0-9]", ""), key, kind)))
+    number = F.concat(code, _digits_in(rest, permuted(F.regexp_replace(rest, "[^0-9]", ""), nth, kind)))
     # Names: title kept, given name of its gender and script, a drawn family name.
     title = F.regexp_extract(value, r"^\S+ ", 0)
     script = F.when(value.rlike(r"\p{IsCyrillic}"), "cyrillic").otherwise("latin")
@@ -157,7 +165,7 @@ def _collisions(each: DataFrame, key: str, rounds: int = 8) -> DataFrame | None:
         drawn = stored(now.withColumn("new", surrogate(F.col("value"), key, F.col("attempt"))).withColumn("out", normal(F.col("new"), F.col("kind"))), f"drawn-{uuid.uuid4().hex[:6]}")
         shared = drawn.groupBy("kind", "out").agg(F.count("*").alias("n"), F.min("what").alias("keeps")).filter("n > 1")
         clash = drawn.join(shared, ["kind", "out"]).filter("what <> keeps").select("kind", "what")
-        taken = drawn.filter("kind in ('email', 'name')").join(each.select("kind", F.col("what").alias("out")), ["kind", "out"], "left_semi").select("kind", "what")
+        taken = drawn.join(each.select("kind", F.col("what").alias("out")), ["kind", "out"], "left_semi").select("kind", "what")
         bad = stored(clash.union(taken).distinct(), "collisions")
         if bad.isEmpty():
             return again

@@ -310,3 +310,18 @@ def test_joint_cutoffs_reach_small_strata(spark, tmp_path):
     assert kept(good + junk, labelled, "few") == every
     left = kept(good + more + junk, labelled + [(i, 1) for i, *_ in more], "enough")
     assert left == (every | {i for i, *_ in more}) - {0} - {i for i, _, lang in junk if lang == "en"}
+
+
+def test_numbers_are_no_other_entity(spark):
+    from pyspark.sql import functions as F
+
+    from bitgrove.llm import surrogate as S
+
+    first = ["123-45-6789", "4111 1111 1111 1111", "+1 (017) 555-7713", "10.0.0.1"]
+    drawn = spark.createDataFrame([(v,) for v in first], "v string").select(S.surrogate(F.col("v"), "surrogates", F.lit(0)).alias("s"))
+    values = first + [r.s for r in drawn.collect()]
+    assert len(set(values)) == 8
+    rows = spark.createDataFrame([(i, f"see {v} here") for i, v in enumerate(values)], "doc_id long, text string")
+    got = [r.text[4:-5] for r in S.replace_entities(rows).orderBy("doc_id").collect()]
+    assert len(set(got)) == 8 and not set(got) & set(values)
+    assert all(re.sub("[0-9]", "0", g) == re.sub("[0-9]", "0", v) for g, v in zip(got, values, strict=True) if "." not in v)
