@@ -30,32 +30,63 @@ KINDS = [*(k for k, *_ in BASE), "markov"]
 def spans(text: Column, pattern: str, kind: str, group: int = 0, least: int = 0) -> Column:
     """Array of (start, kind number, end, value) of the matches, in code points: lengths of matches and of what is between add up."""
     between, found, value = F.split(text, pattern, -1), F.regexp_extract_all(text, F.lit(pattern), F.lit(0)), F.regexp_extract_all(text, F.lit(pattern), F.lit(group))
-    three = F.arrays_zip(between.alias("b"), found.alias("f"), value.alias("v"))
-    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,kind:int,end:int,value:string>>").alias("out"))
+    pieces = F.zip_with(between, F.arrays_zip(found.alias("f"), value.alias("v")), lambda b, m: F.struct(F.length(b).alias("gap"), F.coalesce(F.length(m["f"]), F.lit(0)).alias("size"), m["v"].alias("v")))
 
-    def step(acc, x):
-        at = acc["at"] + F.length(x["b"])
-        end = at + F.coalesce(F.length(x["f"]), F.lit(0))
-        one = F.struct(at.alias("start"), F.lit(KINDS.index(kind)).alias("kind"), end.alias("end"), x["v"].alias("value"))
-        return F.struct(end.alias("at"), F.when(F.length(x["v"]) >= least, F.array_append(acc["out"], one)).otherwise(acc["out"]).alias("out"))
+    def placed(x):
+        before = running(F.transform(x, lambda p: p["gap"] + p["size"]))
+        return let(F.struct(x.alias("x"), before.alias("before")), lambda s: F.transform(s["x"], lambda p, i: F.struct((F.get(s["before"], i) + p["gap"]).alias("start"), F.lit(KINDS.index(kind)).alias("kind"), (F.get(s["before"], i) + p["gap"] + p["size"]).alias("end"), p["v"].alias("value"))))
 
-    return F.aggregate(three, start, step)["out"]
+    return F.filter(let(pieces, placed), lambda s: F.length(s["value"]) >= least)
+
+
+def let(value: Column, then) -> Column:
+    """then(value) with value evaluated once."""
+    return F.get(F.transform(F.array(value), then), F.lit(0))
+
+
+def touches(spans: Column, one: Column) -> Column:
+    """Whether one span overlaps any of the spans, which are in order and apart: those that start before its end are counted by
+    halving, and the last of them decides."""
+    turns = F.ceil(F.log2(F.size(spans) + 1)).cast("int")
+
+    def halve(s, _):
+        mid = F.call_function("div", s["low"] + s["high"], F.lit(2)).cast("int")
+        return F.when(s["low"] >= s["high"], s).when(F.get(spans, mid)["start"] < one["end"], F.struct((mid + 1).alias("low"), s["high"].alias("high"))).otherwise(F.struct(s["low"].alias("low"), mid.alias("high")))
+
+    n = F.aggregate(F.sequence(F.lit(0), turns), F.struct(F.lit(0).alias("low"), F.size(spans).alias("high")), halve)["low"]
+    return (F.size(spans) > 0) & F.coalesce(F.get(spans, n - 1)["end"] > one["start"], F.lit(False))
+
+
+def running(values: Column, block: int = 128) -> Column:
+    """Sum of all values before each place of an array of int. Blocks are summed up by themselves and then moved, so that a text
+    with very many matches costs little more per match than one with few."""
+    empty = F.struct(F.lit(0).alias("at"), F.array().cast("array<int>").alias("out"))
+    add = lambda acc, x: F.struct((acc["at"] + x).alias("at"), F.array_append(acc["out"], acc["at"]).alias("out"))
+
+    def of(v):
+        firsts = F.when(F.size(v) > 0, F.sequence(F.lit(0), F.size(v) - 1, F.lit(block))).otherwise(F.array().cast("array<int>"))
+        blocks = F.transform(firsts, lambda a: F.aggregate(F.transform(F.sequence(a, F.least(a + block, F.size(v)) - 1), lambda i: F.get(v, i)), empty, add))
+        moved = lambda b: let(F.struct(b.alias("b"), F.aggregate(b, empty, lambda acc, x: add(acc, x["at"]))["out"].alias("off")), lambda s: F.flatten(F.transform(s["b"], lambda x, k: F.transform(x["out"], lambda o: o + F.get(s["off"], k)))))
+        return let(blocks, moved)
+
+    return let(values, of)
 
 
 def _none() -> Column:
     return F.array().cast("array<struct<start:int,kind:int,end:int,value:string>>")
 
 
-def _pair(value: Column, at: Column) -> Column:
-    """Number of a pair of neighbouring characters (1-based), or null outside the alphabet."""
-    a, b = F.instr(F.lit(ALPHABET), F.substring(value, at, F.lit(1))), F.instr(F.lit(ALPHABET), F.substring(value, at + 1, F.lit(1)))
-    return F.when((a > 0) & (b > 0), (a - 1) * len(ALPHABET) + b)
+def _pairs(value: Column) -> Column:
+    """Numbers (1-based) of the pairs of neighbouring characters, null outside the alphabet."""
+    codes = F.transform(F.split(value, ""), lambda c: F.when(c != "", F.instr(F.lit(ALPHABET), c)))
+    number = lambda c, i: let(F.struct(F.get(c, i).alias("a"), F.get(c, i + 1).alias("b")), lambda p: F.when((p["a"] > 0) & (p["b"] > 0), (p["a"] - 1) * len(ALPHABET) + p["b"]))
+    return let(codes, lambda c: F.transform(F.when(F.size(c) > 1, F.sequence(F.lit(0), F.size(c) - 2)).otherwise(F.array().cast("array<int>")), lambda i: number(c, i)))
 
 
 def train(samples: DataFrame, smooth: float = 0.5) -> list[float]:
     """samples: value, random (boolean). One log-likelihood ratio per character pair; the counts collected are bounded by the alphabet."""
     size = len(ALPHABET)
-    pairs = samples.filter(F.length("value") > 1).select("random", F.explode(F.transform(F.sequence(F.lit(1), F.length("value") - 1), lambda i: _pair(F.col("value"), i))).alias("pair")).filter("pair is not null")
+    pairs = samples.select("random", F.explode(_pairs(F.col("value"))).alias("pair")).filter("pair is not null")
     counts = {True: [smooth] * size**2, False: [smooth] * size**2}
     for row in pairs.groupBy("random", "pair").count().collect():
         counts[row["random"]][row["pair"] - 1] += row["count"]
@@ -65,13 +96,14 @@ def train(samples: DataFrame, smooth: float = 0.5) -> list[float]:
 
 def default_samples(spark: SparkSession, docs: DataFrame, n_random: int = 3000, n_docs: int = 200) -> DataFrame:
     """Labelled samples. Random: digests in hexadecimal, base64 and upper case. Ordinary: the words of the n_docs (a documented
-    bound) documents with the smallest key, alone, with underscores, hyphens, capitals and short numbers."""
+    bound) documents with the smallest key, their whole texts, alone, with underscores, hyphens, capitals and short numbers."""
     seed = F.sha2(F.concat(F.lit("sample:"), F.col("id").cast("string")), 256)
     coded = F.base64(F.unhex(seed))
     forms = F.array(F.substring(seed, 1, 40), F.substring(coded, 1, 32), F.upper(F.substring(F.regexp_replace(coded, "[+/=]", "Z"), 1, 20)), F.translate(F.substring(coded, 1, 40), "+/", "-_"))
     random = spark.range(n_random).select(F.explode(forms).alias("value"), F.lit(True).alias("random"))
-    few = docs.select("text", F.xxhash64("doc_id").alias("k")).filter("text is not null").orderBy("k", F.xxhash64("text")).limit(n_docs)
-    flat = few.select(F.filter(F.split("text", "[^A-Za-z]+", 2000), lambda w: w.rlike("^[A-Za-z]{2,}$")).alias("w"))
+    # Few texts, but many strings come from them.
+    few = docs.select("text", F.xxhash64("doc_id").alias("k")).filter("text is not null").orderBy("k", F.xxhash64("text")).limit(n_docs).repartition(64)
+    flat = few.select(F.filter(F.split("text", "[^A-Za-z]+", -1), lambda w: w.rlike("^[A-Za-z]{2,}$")).alias("w"))
     k = F.lit(3)
     three = F.transform(F.sequence(F.lit(1), F.greatest(F.size("w") - k, F.lit(1))), lambda i: F.concat_ws("_", F.get("w", i - 1), F.get("w", i), F.get("w", i + 1)))
     named = flat.filter(F.size("w") > 4).select(F.explode(three).alias("v"))
@@ -83,7 +115,9 @@ def scan(docs: DataFrame, table: list[float] | None, margin: float = 12.0, per_p
     """doc_id, n_assign, n_access, n_hex, base_sha256, spans and n_markov for each row of docs (doc_id, text).
 
     Null and empty texts have no span; repeated rows are scanned alike; other columns are ignored, but for those in carry.
-    table: of train(), None for the base patterns only. A Markov span must not touch a base span. An empty table gives no row.
+    table: of train(), None for the base patterns only. A Markov span is a whole run of 20 identifier characters or more with a
+    digit in it, whose ratio reaches margin and per_pair on average; shorter runs and runs of letters alone are not scored. It
+    must not touch a base span. An empty table gives no row.
     """
     text = F.coalesce(F.col("text"), F.lit(""))
     one = docs.select("doc_id", *carry, text.alias("_t"))
@@ -94,8 +128,8 @@ def scan(docs: DataFrame, table: list[float] | None, margin: float = 12.0, per_p
         extra = _none()
     else:
         ratios = F.split(F.lit(",".join(map(str, table))), ",").cast("array<double>")
-        score = lambda v: F.aggregate(F.sequence(F.lit(1), F.length(v) - 1), F.lit(0.0), lambda acc, i: acc + F.coalesce(F.get(ratios, _pair(v, i) - 1), F.lit(0.0)))
-        free = F.filter(spans(F.col("_t"), TOKEN, "markov"), lambda s: s["value"].rlike("[0-9]") & ~F.exists("_base", lambda b: (b["start"] < s["end"]) & (b["end"] > s["start"])))
+        score = lambda v: F.aggregate(_pairs(v), F.lit(0.0), lambda acc, p: acc + F.coalesce(F.get(ratios, p - 1), F.lit(0.0)))
+        free = F.filter(spans(F.col("_t"), TOKEN, "markov"), lambda s: s["value"].rlike("[0-9]") & ~(touches(F.col("_assign"), s) | touches(F.col("_access"), s) | touches(F.col("_hex"), s)))
         extra = F.when(F.col("_t").isNotNull(), F.filter(free, lambda s: score(s["value"]) >= F.greatest(F.lit(margin), per_pair * (F.length(s["value"]) - 1)))).otherwise(_none())
     listed = joined.withColumn("_more", F.transform(extra, lambda s: F.struct(s["start"], s["kind"], s["end"])))
     names = F.array(*(F.lit(k) for k in KINDS))
