@@ -10,6 +10,8 @@ from pyspark.sql import functions as F
 
 #: The white space that separates words, in every operator of this folder.
 SPACES = r"[\x20\x09-\x0D]+"
+#: What a table may take, by its rows and a bound of their size, to be sent to every task.
+BROADCAST_BYTES = 32 << 20
 
 
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:

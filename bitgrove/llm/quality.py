@@ -14,10 +14,10 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored, words
+from .common import BROADCAST_BYTES, stored, words
 
 #: Ratio of a document, and the cutoffs tried, from strict to lenient; a document above the cutoff is rejected.
 RULES = {
@@ -26,7 +26,8 @@ RULES = {
     "duplicate_lines": ("n_dup_lines / n_lines", (0.05, 0.1, 0.2, 0.3, 0.4, 0.5, 0.6, 0.8)),
     "word_length": ("word_chars / n_words", (6.0, 6.5, 7.0, 7.5, 8.0, 9.0, 10.0, 12.0, 15.0, 20.0)),
 }
-MAX_STRATA = 1000
+#: Bytes that the cutoffs of one stratum take in a broadcast, at most.
+STRATUM_BYTES = 512
 
 
 def measured(docs: DataFrame, carry=()) -> DataFrame:
@@ -58,12 +59,20 @@ def _ratio(of: str):
 
 
 def binomial_tail(n: int, p: float, x: int) -> float:
-    """P(at most x of n) in exact terms, summed from logarithms."""
+    """P(at most x of n), in exact terms from the largest on until they add nothing: some square roots of n terms."""
     if x >= n:
         return 1.0
-    log = [math.lgamma(n + 1) - math.lgamma(k + 1) - math.lgamma(n - k + 1) + k * math.log(p) + (n - k) * math.log1p(-p) for k in range(x + 1)]
-    top = max(log)
-    return min(1.0, math.exp(top) * math.fsum(math.exp(v - top) for v in log))
+    below = x < n * p
+    k, end, step = (x, -1, -1) if below else (x + 1, n + 1, 1)
+    log = math.lgamma(n + 1) - math.lgamma(k + 1) - math.lgamma(n - k + 1) + k * math.log(p) + (n - k) * math.log1p(-p)
+    term = total = 1.0
+    for j in range(k, end - step, step):
+        term *= j * (1 - p) / ((n - j + 1) * p) if below else (n - j) * p / ((j + 1) * (1 - p))
+        total += term
+        if term < 1e-18 * total:
+            break
+    part = math.exp(log) * total
+    return min(1.0, part) if below else max(0.0, 1.0 - part)
 
 
 def allowed(n: int, p: float, level: float) -> int:
@@ -77,26 +86,41 @@ def allowed(n: int, p: float, level: float) -> int:
     return low
 
 
+def _log_gamma(z: Column) -> Column:
+    """Logarithm of the gamma function for z of 1 or more: a series at z + 8, led back."""
+    y = z + 8.0
+    series = (y - 0.5) * F.log(y) - y + 0.5 * math.log(2 * math.pi) + 1 / (12 * y) - 1 / (360 * y * y * y) + 1 / (1260 * F.pow(y, F.lit(5.0))) - 1 / (1680 * F.pow(y, F.lit(7.0)))
+    return series - sum((F.log(z + float(i)) for i in range(1, 8)), F.log(z))
+
+
+def tail_at_most(n: Column, p: float, x: Column, level: Column | float) -> Column:
+    """Whether P(at most x of n) is at most level, which is under a quarter: false from the mean n p on, below it the sum of
+    terms from x downwards over ten standard deviations."""
+    n, x = n.cast("double"), x.cast("double")
+    log = _log_gamma(n + 1) - _log_gamma(x + 1) - _log_gamma(n - x + 1) + x * math.log(p) + (n - x) * math.log1p(-p)
+    terms = F.sequence(F.lit(0), F.least(x, F.ceil(10 * F.sqrt(n * (p * (1 - p))) + 60)).cast("int"))
+
+    def add(acc, i):
+        k = x - i
+        return F.struct((acc["term"] * k * ((1 - p) / p) / (n - k + 1)).alias("term"), (acc["total"] + acc["term"]).alias("total"))
+
+    total = F.aggregate(terms, F.struct(F.lit(1.0).alias("term"), F.lit(0.0).alias("total")), add)["total"]
+    return F.when(x < n * p, log + F.log(total) <= F.log(F.lit(level) if isinstance(level, float) else level)).otherwise(F.lit(False))
+
+
 def _good(features: DataFrame, labels: DataFrame) -> DataFrame:
     good = labels.groupBy("doc_id").agg(F.min("quality").alias("quality")).filter("quality = 1").select("doc_id")
     return features.filter("not base_failed").join(good, "doc_id", "left_semi")
 
 
-def cutoffs(features: DataFrame, labels: DataFrame, stratum: str = "lang", risk: float = 0.02, level: float = 0.05) -> dict:
-    """Stratum to rule to cutoff. labels: doc_id, quality (1: good). Collects one row of counts per stratum, MAX_STRATA at most."""
+def cutoffs(features: DataFrame, labels: DataFrame, stratum: str = "lang", risk: float = 0.02, level: float = 0.05) -> DataFrame:
+    """A row per stratum: stratum, and a column per rule with its cutoff, null for none. labels: doc_id, quality (1: good)."""
     held = _good(features, labels)
-    tried = [(rule, c, F.count_if(_ratio(ratio) > c).alias(f"{rule}:{c}")) for rule, (ratio, grid) in RULES.items() for c in grid]
-    rows = held.groupBy(stratum).agg(F.count("*").alias("n"), *(x for *_, x in tried)).limit(MAX_STRATA + 1).collect()
-    if len(rows) > MAX_STRATA:
-        raise ValueError(f"more than {MAX_STRATA} strata")
-    found: dict = {}
-    for row in rows:
-        most = allowed(row["n"], risk / len(RULES), level / max(1, len(tried) * len(rows)))
-        best = found.setdefault(row[stratum], {})
-        for rule, c, _ in tried:
-            if row[f"{rule}:{c}"] <= most:
-                best[rule] = min(c, best.get(rule, math.inf))
-    return found
+    tried = [(rule, c, f"_{r}_{i}") for r, (rule, (_, grid)) in enumerate(RULES.items()) for i, c in enumerate(grid)]
+    counts = stored(held.groupBy(F.col(stratum).alias("_stratum")).agg(F.count("*").alias("_n"), *(F.count_if(_ratio(RULES[rule][0]) > c).alias(name) for rule, c, name in tried)), "counts")
+    share = level / max(1, len(tried) * counts.count())
+    ok = {name: tail_at_most(F.col("_n"), risk / len(RULES), F.col(name), share) for _, _, name in tried}
+    return counts.select("_stratum", *(F.least(*(F.when(ok[name], F.lit(c)) for r, c, name in tried if r == rule)).alias(f"_cut_{rule}") for rule in RULES))
 
 
 def steps() -> list[dict]:
@@ -109,28 +133,23 @@ def least_labels(strata: int, risk: float = 0.02, level: float = 0.05) -> int:
     return math.ceil(math.log(level / max(1, strata)) / math.log1p(-risk))
 
 
-def _over(rules: dict):
+def _over(rules: dict) -> Column:
     out = F.lit(False)
     for rule, c in rules.items():
         out = out | F.coalesce(_ratio(RULES[rule][0]) > c, F.lit(False))
     return out
 
 
-def joint_cutoffs(features: DataFrame, labels: DataFrame, stratum: str = "lang", risk: float = 0.02, level: float = 0.05) -> dict:
+def joint_cutoffs(features: DataFrame, labels: DataFrame, stratum: str = "lang", risk: float = 0.02, level: float = 0.05) -> DataFrame:
     """As cutoffs, by the joint way: the last step before the first that is not allowed."""
     path = steps()
-    rows = _good(features, labels).groupBy(stratum).agg(F.count("*").alias("n"), *(F.count_if(_over(rules)).alias(f"step{t}") for t, rules in enumerate(path))).limit(MAX_STRATA + 1).collect()
-    if len(rows) > MAX_STRATA:
-        raise ValueError(f"more than {MAX_STRATA} strata")
-    found: dict = {}
-    for row in rows:
-        most = allowed(row["n"], risk, level / len(rows))
-        found[row[stratum]] = {}
-        for t, rules in enumerate(path):
-            if row[f"step{t}"] > most:
-                break
-            found[row[stratum]] = rules
-    return found
+    counts = stored(_good(features, labels).groupBy(F.col(stratum).alias("_stratum")).agg(F.count("*").alias("_n"), *(F.count_if(_over(rules)).alias(f"_step{t}") for t, rules in enumerate(path))), "counts")
+    share = level / max(1, counts.count())
+    reached = F.lit(0)
+    for t in reversed(range(len(path))):
+        reached = F.when(tail_at_most(F.col("_n"), risk, F.col(f"_step{t}"), share), 1 + reached).otherwise(0)
+    at = counts.select("_stratum", reached.alias("_reached"))
+    return at.select("_stratum", *(F.get(F.array(*(F.lit(rules[rule]) for rules in path)), F.col("_reached") - 1).alias(f"_cut_{rule}") for rule in RULES))
 
 
 def judge(docs: DataFrame, labels: DataFrame, stratum: str = "lang", risk: float = 0.02, level: float = 0.05, carry=(), joint: bool = False) -> DataFrame:
@@ -142,7 +161,8 @@ def judge(docs: DataFrame, labels: DataFrame, stratum: str = "lang", risk: float
     """
     base = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
     features = stored(measured(docs, tuple(dict.fromkeys([stratum, *carry]))).withColumn("base_failed", base), "features")
-    bad = F.lit(False)
-    for value, rules in (joint_cutoffs if joint else cutoffs)(features, labels, stratum, risk, level).items():
-        bad = bad | (F.col(stratum).eqNullSafe(F.lit(value)) & _over(rules))
-    return features.withColumn("kept", ~F.col("base_failed") & ~bad)
+    cuts = stored((joint_cutoffs if joint else cutoffs)(features, labels, stratum, risk, level), "cutoffs")
+    n, widest = cuts.agg(F.count("*"), F.max(F.length(F.col("_stratum").cast("string")))).first()
+    by = F.broadcast(cuts) if n * (STRATUM_BYTES + 8 * (widest or 0)) <= BROADCAST_BYTES else cuts
+    held = features.join(by, features[stratum].eqNullSafe(cuts["_stratum"]), "left")
+    return held.select(*(features[c] for c in features.columns), (~F.col("base_failed") & ~_over({rule: F.col(f"_cut_{rule}") for rule in RULES})).alias("kept"))
