@@ -8,7 +8,6 @@ Packing runs in pools of a bounded number of tokens, in the order of the input,
 
 from __future__ import annotations
 
-import bisect
 import functools
 import re
 import zlib
@@ -26,8 +25,8 @@ END = 1
 POOL_TOKENS, STEP_TOKENS = 2_000_000, 65_536
 RESULT = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, tier int, step_group long"
 _SPLIT, _ODD = re.compile(r"[\x20\x09-\x0D]+"), re.compile("[\x1c-\x1f]")
-#: Entries that a worker's memory of words holds at most; it is emptied beyond, which changes no result.
-MEMORY_WORDS = 1_000_000
+#: Words and characters that a worker remembers at most; its memory is emptied beyond, which changes no result.
+MEMORY_WORDS, MEMORY_CHARS = 1_000_000, 32_000_000
 
 
 class _Numbers(dict):
@@ -58,7 +57,7 @@ class Tokens:
         self._forget()
 
     def _forget(self) -> None:
-        self.number = _Numbers()
+        self.number, self.chars = _Numbers(), 0
         self.ids, self.cuts, self.used = np.zeros(1 << 16, np.uint32), np.zeros(1 << 14, np.int64), 0
 
     def _encoded(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
@@ -74,6 +73,7 @@ class Tokens:
 
     def _learn(self) -> None:
         new, self.number.new = self.number.new, []
+        self.chars += sum(map(len, new))
         n = len(self.number) - len(new)
         flat, lens = self._encoded(new)
         need = self.used + len(flat)
@@ -90,7 +90,7 @@ class Tokens:
         """The ids of each text, with END behind."""
         out = []
         for at in range(0, len(texts), 256):
-            if len(self.number) > MEMORY_WORDS:
+            if len(self.number) > MEMORY_WORDS or self.chars > MEMORY_CHARS:
                 self._forget()
             get = self.number.__getitem__
             # str.split() also cuts at four separators that the tokenizer does not drop.
@@ -119,24 +119,43 @@ def pack(lengths: list[int], tiers=TIERS) -> list[tuple[int, list[tuple[int, int
     tier that fit its gap; if none fits, the shortest one is cut and its remainder goes back to its own tier. A last sequence
     that stays short moves to the smallest tier that holds it; a smaller gap stays padding.
     """
-    left = sorted((n, i, 0) for i, n in enumerate(lengths) if n)
+    # Rests by length, and one bit per length that has some.
+    held: list[list[tuple[int, int]]] = [[] for _ in range(tiers[-1] + 1)]
+    some = total = 0
+
+    def put(n: int, rest: tuple[int, int]) -> None:
+        nonlocal some, total
+        held[n].append(rest)
+        some |= 1 << n
+        total += n
+
+    def take(n: int) -> tuple[int, int]:
+        nonlocal some, total
+        rest = held[n].pop()
+        if not held[n]:
+            some ^= 1 << n
+        total -= n
+        return rest
+
+    for i, n in enumerate(lengths):
+        if n:
+            put(n, (i, 0))
     out = []
-    while left:
-        n, i, s = left.pop()
-        if n <= tiers[0] and sum(x[0] for x in left) + n < tiers[-1]:
-            tier = next(t for t in tiers if t >= min(tiers[-1], sum(x[0] for x in left) + n))
-        else:
-            tier = next(t for t in tiers if t >= n)
+    while some:
+        whole, n = total, some.bit_length() - 1
+        i, s = take(n)
+        tier = next(t for t in tiers if t >= (min(tiers[-1], whole) if n <= tiers[0] and whole < tiers[-1] else n))
         pieces, gap = [(i, s, n)], tier - n
-        while gap and left:
-            at = bisect.bisect_right(left, (gap, 1 << 60, 0)) - 1
-            n, i, s = left.pop(max(at, 0))
+        while gap and some:
+            fits = some & ((2 << gap) - 1)
+            n = fits.bit_length() - 1 if fits else (some & -some).bit_length() - 1
+            i, s = take(n)
             pieces.append((i, s, min(n, gap)))
             if n > gap:
-                bisect.insort(left, (n - gap, i, s + gap))
+                put(n - gap, (i, s + gap))
             gap -= min(n, gap)
-        held = sum(p[2] for p in pieces)
-        out.append((next(t for t in tiers if t >= held), pieces))
+        size = sum(p[2] for p in pieces)
+        out.append((next(t for t in tiers if t >= size), pieces))
     return out
 
 
