@@ -19,31 +19,66 @@ from pyspark.sql import functions as F
 from . import repeats as R
 from .common import stored
 from .components import components
-from .subtree import window_names, word_names, word_places
+from .subtree import split_words, window_names, word_names, word_numbers
 
 BINS, ROWS = 128, 4
 #: Documents that are compared with one hub in one task; members of a bucket in a part; shingles counted at a time.
 STAR, BLOCK, COLUMNS = 256, 1000, 4096
+#: Shingles that a part of a bucket holds on average, at most.
+BLOCK_SHINGLES = 1_000_000
 SKETCH = "doc_id long, n_shingles long, set_key binary, bands array<long>"
-_LOWER = np.arange(256, dtype=np.uint8)
-_LOWER[65:91] += 32
 _PROBES = np.random.default_rng(7).integers(0, BINS, (256, BINS))
 
 
-def shingle_sets(body: np.ndarray, lens: np.ndarray, size: int) -> list[np.ndarray]:
-    """The sorted distinct shingle names of each of the texts that lie in body one after another."""
-    ends = np.cumsum(lens)
-    body = _LOWER[body]
-    at, to, doc = word_places(body, ends - lens, lens, ends)
-    names = word_names(body, at, to)
-    windows = window_names(names, size)
-    of = np.searchsorted(doc, np.arange(len(lens) + 1))
-    out = []
-    for a, b in zip(of[:-1], of[1:], strict=True):
-        if b - a >= size:
-            out.append(np.unique(windows[a : b - size + 1]))
+def numbered_shingles(texts: list[bytes], size: int):
+    """Shingles of texts, numbered exactly: equal numbers are equal word sequences. Per text the first place and the number of each
+    distinct shingle; and the distinct words with the word number at each place. Shingles grow by pairs of numbers, which are
+    numbered anew at each step."""
+    flat, sizes = split_words([t.lower() for t in texts])
+    numbers, distinct = word_numbers(flat)
+
+    def joined(a, b):
+        return np.unique(a * (b.max(initial=0) + 1) + b, return_inverse=True)[1]
+
+    n = max(len(flat) - size + 1, 0)
+    step, whole = 1, numbers
+    while 2 * step <= size and n:
+        whole, step = joined(whole[:-step], whole[step:]), 2 * step
+    if step < size and n:
+        whole = joined(whole[:n], whole[size - step :][:n])
+    short: dict = {}
+    out, at = [], 0
+    for k in sizes.tolist():
+        if k >= size:
+            found, first = np.unique(whole[at : at + k - size + 1], return_index=True)
+            out.append((at + first, found))
         else:
-            out.append(window_names(R.mixed(names[a:b] + R._ODD[1]), int(b - a)) if b > a else names[:0])
+            # The whole sequence as one shingle, which no longer text has.
+            key = tuple(flat[at : at + k])
+            out.append((np.array([at] * bool(k), np.int64), np.array([len(flat) + short.setdefault(key, len(short))] * bool(k), np.int64)))
+        at += k
+    return out, sizes, numbers, distinct
+
+
+def exact_sets(texts: list[bytes], size: int) -> list[np.ndarray]:
+    """The sorted distinct shingles of each text as numbers that hold among these texts."""
+    return [found for _, found in numbered_shingles(texts, size)[0]]
+
+
+def named_sets(texts: list[bytes], size: int) -> list[tuple[np.ndarray, bytes]]:
+    """Per text the sorted 64-bit names of its distinct shingles, and a digest of their 128-bit names."""
+    sets, sizes, numbers, distinct = numbered_shingles(texts, size)
+    names = word_names(distinct)[numbers]
+    windows = [window_names(names[:, lane], size) for lane in (0, 1)]
+    out, at = [], 0
+    for (first, _), k in zip(sets, sizes.tolist(), strict=True):
+        if k >= size:
+            a, b = (w[first] for w in windows)
+        else:
+            a, b = (window_names(R.mixed(names[at : at + k, lane] + R._ODD[1]), k) if k else names[:0, 0] for lane in (0, 1))
+        order = np.argsort(a)
+        out.append((a[order], hashlib.blake2b(a[order].tobytes() + b[order].tobytes(), digest_size=16).digest()))
+        at += k
     return out
 
 
@@ -73,26 +108,28 @@ def signatures(sets: list[np.ndarray]) -> np.ndarray:
 
 
 def _texts(batch: pa.RecordBatch, column: int):
+    """Rows (from, to) and their texts, a few MB at a time."""
     offsets, data = R.binary_parts(batch.column(column))
     at = 0
     while at < batch.num_rows:
         to = max(at + 1, int(np.searchsorted(offsets, offsets[at] + R.BLOB_BYTES, "right")) - 1)
-        yield at, to, data[offsets[at] : offsets[to]], np.diff(offsets[at : to + 1])
+        yield at, to, [data[a:b].tobytes() for a, b in zip(offsets[at:to].tolist(), offsets[at + 1 : to + 1].tolist(), strict=True)]
         at = to
 
 
 def _sketcher(size: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for at, to, body, lens in _texts(batch, 1):
-                sets = shingle_sets(body, lens, size)
+            for at, to, texts in _texts(batch, 1):
+                named = named_sets(texts, size)
+                sets = [names for names, _ in named]
                 values = signatures(sets)
                 bands = values.reshape(len(sets), BINS // ROWS, ROWS)
                 keys = np.arange(BINS // ROWS, dtype=np.uint64)[None, :] * R._ODD[2]
                 for r in range(ROWS):
                     keys = R.mixed(keys * R._ODD[3] + bands[:, :, r], r)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(at, to - at), pa.array([len(s) for s in sets], pa.int64()), pa.array([hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets], pa.binary()), pa.ListArray.from_arrays(np.arange(0, keys.size + 1, BINS // ROWS, dtype=np.int32), pa.array(keys.ravel().view(np.int64)))],
+                    [batch.column(0).slice(at, to - at), pa.array([len(s) for s in sets], pa.int64()), pa.array([key for _, key in named], pa.binary()), pa.ListArray.from_arrays(np.arange(0, keys.size + 1, BINS // ROWS, dtype=np.int32), pa.array(keys.ravel().view(np.int64)))],
                     names=["doc_id", "n_shingles", "set_key", "bands"],
                 )
 
@@ -103,7 +140,7 @@ def _confirmer(size: int, percent: int):
     def run(table: pa.Table) -> pa.Table:
         table = table.combine_chunks()
         batch = table.to_batches()[0]
-        sets = [s for _, _, body, lens in _texts(batch, 3) for s in shingle_sets(body, lens, size)]
+        sets = exact_sets(batch.column(3).to_pylist(), size)
         ids, other = batch.column(0).to_pylist(), batch.column(2).to_pylist()
         hub = sets[other.index(None)]
         a, b = [], []
@@ -126,9 +163,9 @@ def _linker(size: int, percent: int):
         table = table.sort_by("doc_id").combine_chunks()
         batch = table.to_batches()[0]
         ids, comp = table["doc_id"].to_numpy(), table["comp"].to_numpy()
-        sets = [s for _, _, body, lens in _texts(batch, table.column_names.index("text")) for s in shingle_sets(body, lens, size)]
+        sets = exact_sets(table["text"].to_pylist(), size)
         n = np.array([len(s) for s in sets])
-        names, column = np.unique(np.concatenate(sets), return_inverse=True)
+        _, column = np.unique(np.concatenate(sets), return_inverse=True)
         row = np.repeat(np.arange(len(sets)), n)
         shared = np.bincount(column)[column] > 1
         row, column = row[shared], column[shared]
@@ -172,10 +209,10 @@ def _rest(members: DataFrame, hubs: DataFrame, stars: DataFrame, texts: DataFram
     """Links that the stars missed: buckets whose members, hub apart, still lie in several components are compared within.
     Buckets with the same members are one; large ones are cut into blocks of pairs of parts."""
     comps = components(stars)
-    known = members.join(comps.select(F.col("id").alias("doc_id"), "component_id"), "doc_id", "left").select("key", "doc_id", F.coalesce("component_id", "doc_id").alias("comp"))
+    known = members.join(comps.select(F.col("id").alias("doc_id"), "component_id"), "doc_id", "left").select("key", "doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("comp"))
     aside = known.join(hubs.select("key", F.col("hub.doc_id").alias("hub")), "key")
-    split = aside.groupBy("key").agg(F.count("*").alias("m"), F.bit_xor(F.xxhash64("doc_id")).alias("x"), F.sum(F.pmod(F.xxhash64(F.col("doc_id") + 1), F.lit(1 << 40))).alias("s"), F.min(F.when(F.col("doc_id") != F.col("hub"), F.col("comp"))).alias("low"), F.max(F.when(F.col("doc_id") != F.col("hub"), F.col("comp"))).alias("high")).filter("low < high")
-    split = split.groupBy("m", "x", "s").agg(F.min("key").alias("key")).select("key", F.ceil(F.col("m") / BLOCK).cast("int").alias("parts"))
+    split = aside.groupBy("key").agg(F.count("*").alias("m"), F.sum("n_shingles").alias("total"), F.bit_xor(F.xxhash64("doc_id")).alias("x"), F.sum(F.pmod(F.xxhash64(F.col("doc_id") + 1), F.lit(1 << 40))).alias("s"), F.min(F.when(F.col("doc_id") != F.col("hub"), F.col("comp"))).alias("low"), F.max(F.when(F.col("doc_id") != F.col("hub"), F.col("comp"))).alias("high")).filter("low < high")
+    split = split.groupBy("m", "x", "s").agg(F.min("key").alias("key"), F.max("total").alias("total")).select("key", F.greatest(F.ceil(F.col("m") / BLOCK), F.ceil(F.col("total") / BLOCK_SHINGLES)).cast("int").alias("parts"))
     own = F.pmod(F.xxhash64("doc_id"), F.col("parts")).cast("int")
     dealt = stored(known.join(split, "key").withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).select("key", F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"), "doc_id", "comp"), "rest")
     return stored(dealt.join(texts, "doc_id").groupBy("key", "p", "q").applyInArrow(_linker(size, percent), "a long, b long"), "rest-links")

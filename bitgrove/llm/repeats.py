@@ -21,6 +21,8 @@ from pyspark.sql import functions as F
 from .common import stored, stored_in_buckets
 
 BLOB_BYTES = 4 << 20
+#: Bytes of the input that one bucket of blobs should hold; a table has 100,000 buckets at most.
+BUCKET_BYTES = 1 << 30
 #: Names that one range holds on average, at most.
 RANGE_NAMES = 2 << 20
 #: Stands for a null doc_id inside a blob; such a document counts as the last.
@@ -77,7 +79,11 @@ def blobs_of(docs: DataFrame) -> DataFrame:
     """(doc_id, text) packed into stored blobs. Null texts are empty."""
     spark = docs.sparkSession
     packed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("binary"), F.lit(b"")).alias("text")).mapInArrow(_pack, BLOB_SCHEMA)
-    return stored_in_buckets(packed, "blobs", "block", max(int(spark.conf.get("spark.sql.shuffle.partitions")), 8))
+    size = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    # A table that is no file has no known size; the optimizer then assumes a huge one.
+    known = size if size < 1 << 50 else 0
+    buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 8, min(known // BUCKET_BYTES, 100_000))
+    return stored_in_buckets(packed, "blobs", "block", buckets)
 
 
 class Blob:
@@ -104,16 +110,26 @@ def ranges_for(names: float) -> int:
     return max(4, math.ceil(math.log2(max(names, 1) / RANGE_NAMES)))
 
 
-def messages(block: int, names: np.ndarray, bits: int, width: int, docs: np.ndarray | None = None) -> pa.RecordBatch:
-    """Sorted distinct names of bits + 8 * width bits, one message per range; docs: the smallest document of each name."""
-    wide = 8 * width
-    firsts = (np.arange(1 << bits, dtype=np.uint64) << np.uint64(wide)) if wide < 64 else np.arange(1 << bits, dtype=np.uint64) << np.uint64(64 - bits)
-    cut = np.append(np.searchsorted(names, firsts), len(names))
-    full = np.flatnonzero(np.diff(cut))
-    low = names.astype(np.uint32) if width == 4 else names
-    pay = [planes(low[cut[r] : cut[r + 1]]) for r in full]
-    with_docs = [planes(docs[cut[r] : cut[r + 1]]) if docs is not None else b"" for r in full]
-    return pa.RecordBatch.from_arrays([pa.array(full, pa.int32()), pa.array([block] * len(full), pa.int64()), pa.array(pay, pa.binary()), pa.array(with_docs, pa.binary())], names=["range", "block", "names", "docs"])
+def messages(block: int, low: np.ndarray, ranges: np.ndarray, docs: np.ndarray | None = None) -> pa.RecordBatch:
+    """Names in order of range and low part, one message per range; docs: the smallest document of each name."""
+    full, cut = np.unique(ranges, return_index=True)
+    cut = np.append(cut, len(low))
+    pay = [planes(low[a:b]) for a, b in zip(cut[:-1], cut[1:], strict=True)]
+    with_docs = [planes(docs[a:b]) if docs is not None else b"" for a, b in zip(cut[:-1], cut[1:], strict=True)]
+    return pa.RecordBatch.from_arrays([pa.array(full.astype(np.int32), pa.int32()), pa.array([block] * len(full), pa.int64()), pa.array(pay, pa.binary()), pa.array(with_docs, pa.binary())], names=["range", "block", "names", "docs"])
+
+
+def short_messages(block: int, names: np.ndarray) -> pa.RecordBatch:
+    """As messages, of sorted names whose last 32 bits are sent and whose other bits are the range."""
+    return messages(block, names.astype(np.uint32), names >> np.uint64(32))
+
+
+def by_range(low: np.ndarray, ranges: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Order of names of range and low part, and where a new name begins in it."""
+    order = np.lexsort((low, ranges))
+    low, ranges = low[order], ranges[order]
+    new = np.concatenate([[True], (low[1:] != low[:-1]) | (ranges[1:] != ranges[:-1])]) if len(low) else np.zeros(0, bool)
+    return order, new
 
 
 def _answers(width: int, smaller: bool) -> Callable[[pa.Table], pa.Table]:

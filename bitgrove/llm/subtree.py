@@ -8,7 +8,6 @@ node, that is a repeat. Groups are ranges of prefix names, their number followin
 
 from __future__ import annotations
 
-import functools
 import hashlib
 
 import numpy as np
@@ -20,39 +19,24 @@ from . import repeats as R
 
 SHALLOW = 12
 RESULT = "doc_id long, n_words long, n_removed long, kept_sha256 string"
-_BASE = 0x5851F42D4C957F2D
-_TABLE = R.mixed(R.mixed(np.arange(1, 257, dtype=np.uint64) * R._ODD[1], 2), 3)
-_BLANK = np.isin(np.arange(256), [0x20, *range(0x09, 0x0E)])
 
 
-@functools.lru_cache(4)
-def _powers(n: int, base: int) -> np.ndarray:
-    out = np.full(n, base, np.uint64)
-    out[:1] = 1
-    return np.multiply.accumulate(out)
+def split_words(texts: list[bytes]) -> tuple[list[bytes], np.ndarray]:
+    """The words of all texts in turn, and how many each has. bytes.split() cuts at exactly the operators' white space."""
+    split = [t.split() for t in texts]
+    return [w for x in split for w in x], np.array([len(x) for x in split], np.int64)
 
 
-def word_places(body: np.ndarray, starts: np.ndarray, lens: np.ndarray, ends: np.ndarray):
-    """Start, end and document of each word."""
-    inside = ~_BLANK[body]
-    first = inside.copy()
-    first[1:] &= ~inside[:-1]
-    last = inside.copy()
-    last[:-1] &= ~inside[1:]
-    some = lens > 0
-    first[starts[some]] = inside[starts[some]]
-    last[ends[some] - 1] = inside[ends[some] - 1]
-    at, to = np.flatnonzero(first), np.flatnonzero(last) + 1
-    return at, to, np.searchsorted(ends, at, "right")
+def word_numbers(flat: list[bytes]) -> tuple[np.ndarray, list[bytes]]:
+    """Each word's number among the distinct ones, and these."""
+    distinct = list(set(flat))
+    number = dict(zip(distinct, range(len(distinct)), strict=True))
+    return np.fromiter(map(number.__getitem__, flat), np.int64, len(flat)), distinct
 
 
-def word_names(body: np.ndarray, at: np.ndarray, to: np.ndarray) -> np.ndarray:
-    """64-bit names of the words."""
-    n = max(len(body), R.BLOB_BYTES) + 1
-    sums = np.zeros(len(body) + 1, np.uint64)
-    np.cumsum(_TABLE[body] * _powers(n, _BASE)[: len(body)], out=sums[1:])
-    names = (sums[to] - sums[at]) * _powers(n, pow(_BASE, -1, 2**64))[at]
-    return R.mixed(names + (to - at).astype(np.uint64) * R._ODD[2], 1)
+def word_names(distinct: list[bytes]) -> np.ndarray:
+    """128-bit names of words, as two columns of 64 bits, from a digest of the whole word."""
+    return np.frombuffer(b"".join(hashlib.blake2b(w, digest_size=16).digest() for w in distinct), np.uint64).reshape(-1, 2)
 
 
 def window_names(names: np.ndarray, width: int) -> np.ndarray:
@@ -66,32 +50,40 @@ def window_names(names: np.ndarray, width: int) -> np.ndarray:
     return R.mixed(whole[:n] * R._ODD[3] + whole[width - size :][:n], 2)
 
 
-def _suffixes(blob: R.Blob, width: int):
-    starts = blob.ends - blob.lens
-    at, to, doc = word_places(blob.body, starts, blob.lens, blob.ends)
-    names = word_names(blob.body, at, to)
-    n = np.arange(len(at) - width + 1) if len(at) >= width else np.zeros(0, np.int64)
-    return at, to, doc, names, n[doc[n] == doc[n + width - 1]] if len(n) else n
+def texts_of(blob: R.Blob) -> list[bytes]:
+    body = blob.body.tobytes()
+    return [body[b - n : b] for b, n in zip(blob.ends.tolist(), blob.lens.tolist(), strict=True)]
 
 
-def _grouped(names: np.ndarray, places: np.ndarray):
-    order = np.argsort(names)
-    names, places = names[order], places[order]
-    new = np.concatenate([[True], names[1:] != names[:-1]]) if len(names) else np.zeros(0, bool)
-    size = np.diff(np.append(np.flatnonzero(new), len(names)))
-    group = np.cumsum(new) - 1
-    return names[new], places, group, size > 1
+def _suffixes(blob: R.Blob, width: int):
+    """Words, how many each document has, both name columns of each word, and the places where a window starts."""
+    flat, sizes = split_words(texts_of(blob))
+    numbers, distinct = word_numbers(flat)
+    names = word_names(distinct)[numbers]
+    ends = np.repeat(np.cumsum(sizes), sizes)
+    return flat, sizes, names, np.flatnonzero(np.arange(len(flat)) + width <= ends)
 
 
 def _shallow(blob: R.Blob, width: int, bits: int):
-    at, to, doc, names, fit = _suffixes(blob, width)
-    return at, to, doc, names, _grouped(window_names(names, SHALLOW)[fit] >> np.uint64(32 - bits), fit)
+    flat, sizes, names, fit = _suffixes(blob, width)
+    prefixes = window_names(names[:, 0], SHALLOW)[fit] >> np.uint64(32 - bits)
+    order = np.argsort(prefixes)
+    prefixes, fit = prefixes[order], fit[order]
+    new = np.concatenate([[True], prefixes[1:] != prefixes[:-1]]) if len(prefixes) else np.zeros(0, bool)
+    return flat, sizes, names, (prefixes[new], fit, *_groups(new))
+
+
+def _groups(new: np.ndarray):
+    """Number of the group of each place, and whether each group has two places or more."""
+    return np.cumsum(new) - 1, np.diff(np.append(np.flatnonzero(new), len(new))) > 1
 
 
 def _deep(blob: R.Blob, width: int, bits: int):
-    at, to, doc, names, (prefixes, places, group, local) = _shallow(blob, width, bits)
+    flat, sizes, names, (prefixes, places, group, local) = _shallow(blob, width, bits)
     stay = places[(blob.answer("shallow", len(prefixes)) | local)[group]] if len(places) else places
-    return at, to, doc, _grouped(window_names(names, width)[stay], stay)
+    low, ranges = window_names(names[:, 0], width)[stay], window_names(names[:, 1], width)[stay] >> np.uint64(64 - bits)
+    order, new = R.by_range(low, ranges)
+    return flat, sizes, ((low[order][new], ranges[order][new]), stay[order], *_groups(new))
 
 
 def remove_repeated_words(docs: DataFrame, width: int = 35, with_text: bool = False) -> DataFrame:
@@ -107,28 +99,22 @@ def remove_repeated_words(docs: DataFrame, width: int = 35, with_text: bool = Fa
     texts = blobs.select("block", "ids", "lens", "body")
     total = blobs.select(F.sum(F.length("body"))).first()[0] or 0
     bits = R.ranges_for(total / 5)
-    shallow = R.asked(texts, lambda blob: R.messages(blob.block, _shallow(blob, width, bits)[4][0], bits, 4), "shallow", 4)
+    shallow = R.asked(texts, lambda blob: R.short_messages(blob.block, _shallow(blob, width, bits)[3][0]), "shallow", 4)
     held = R.joined(texts, shallow)
-    deep = R.asked(held, lambda blob: R.messages(blob.block, _deep(blob, width, bits)[3][0], bits, 8), "deep", 8)
+    deep = R.asked(held, lambda blob: R.messages(blob.block, *_deep(blob, width, bits)[2][0]), "deep", 8)
     held = R.joined(texts, shallow.join(deep, "block", "full"))
 
     def finish(batches):
         for batch in batches:
             for i in range(batch.num_rows):
                 blob = R.Blob(batch.slice(i, 1).to_pylist()[0])
-                at, to, doc, (names, places, group, local) = _deep(blob, width, bits)
-                twice = (blob.answer("deep", len(names)) | local)[group] if len(places) else np.zeros(0, bool)
-                gone = R.covered(places[twice], width, len(at))
-                of = np.searchsorted(doc, np.arange(len(blob.ids) + 1))
+                flat, sizes, (names, places, group, local) = _deep(blob, width, bits)
+                twice = (blob.answer("deep", len(names[0])) | local)[group] if len(places) else np.zeros(0, bool)
+                gone = R.covered(places[twice], width, len(flat))
+                of = np.concatenate([[0], np.cumsum(sizes)])
                 n_removed = np.diff(np.concatenate([[0], np.cumsum(gone)])[of])
-                sizes = np.where(gone, 0, to - at + 1)
-                ends = np.cumsum(sizes)
-                take = np.arange(ends[-1] if len(ends) else 0) + np.repeat(at - (ends - sizes), sizes)
-                kept = np.append(blob.body, np.uint8(32))[take]
-                kept[ends[~gone] - 1] = 32
-                kept, cuts = kept.tobytes(), np.concatenate([[0], ends])[of]
-                parts = [kept[a : max(a, b - 1)] for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
-                columns = [pa.array(blob.ids, mask=blob.ids == R.NO_ID), pa.array(np.diff(of).astype(np.int64)), pa.array(n_removed.astype(np.int64)), pa.array([hashlib.sha256(x).hexdigest() for x in parts])]
+                parts = [b" ".join(flat[a:b]) if not n else b" ".join(w for w, x in zip(flat[a:b], gone[a:b].tolist(), strict=True) if not x) for a, b, n in zip(of[:-1].tolist(), of[1:].tolist(), n_removed.tolist(), strict=True)]
+                columns = [pa.array(blob.ids, mask=blob.ids == R.NO_ID), pa.array(sizes), pa.array(n_removed.astype(np.int64)), pa.array([hashlib.sha256(x).hexdigest() for x in parts])]
                 names = ["doc_id", "n_words", "n_removed", "kept_sha256"]
                 yield pa.RecordBatch.from_arrays(columns + [pa.array(parts, pa.binary()).cast(pa.string())] * with_text, names=names + ["kept"] * with_text)
 

@@ -30,13 +30,13 @@ def _eights(body: np.ndarray) -> np.ndarray:
     return np.ndarray(len(body) + 1, "<u8", padded, strides=(1,))
 
 
-def _named(words: np.ndarray, at: np.ndarray, length: int) -> np.ndarray:
-    """64-bit names of the `length` bytes at each place."""
-    name = np.full(len(at), length, np.uint64)
+def _named(words: np.ndarray, at: np.ndarray, length: int, lane: int = 0) -> np.ndarray:
+    """64-bit names of the `length` bytes at each place; lanes are names by other constants."""
+    name = np.full(len(at), length + (lane << 32), np.uint64)
     for k, shift in enumerate([*range(0, length - 8, 8), length - 8]):
         name += words[at + shift]
-        name = R.mixed(name, k)
-        name *= R._ODD[(k + 1) % 4]
+        name = R.mixed(name, k + lane)
+        name *= R._ODD[(k + 1 + 2 * lane) % 4]
     return R.mixed(name, 1)
 
 
@@ -83,18 +83,18 @@ def _candidates(blob: R.Blob, width: int, bits: int):
 
 def _windows(blob: R.Blob, width: int, bits: int):
     doc, live, at = _candidates(blob, width, bits)
-    names = _named(_eights(blob.body), at, width)
-    order = np.argsort(names)
-    names, at = names[order], at[order]
-    new = np.concatenate([[True], names[1:] != names[:-1]]) if len(at) else np.zeros(0, bool)
+    words = _eights(blob.body)
+    low, ranges = _named(words, at, width), _named(words, at, width, 1) >> np.uint64(64 - bits)
+    order, new = R.by_range(low, ranges)
+    low, ranges, at = low[order], ranges[order], at[order]
     starts = np.flatnonzero(new)
     first = np.minimum.reduceat(blob.ids[doc[at]], starts) if len(at) else np.zeros(0, np.int64)
-    return doc, live, at, names[new], np.cumsum(new) - 1, first
+    return doc, live, at, (low[new], ranges[new]), np.cumsum(new) - 1, first
 
 
 def _removed(blob: R.Blob, width: int, bits: int):
     doc, live, at, names, group, first = _windows(blob, width, bits)
-    late = (blob.answer("windows", len(names))[group] if len(at) else np.zeros(0, bool)) | (blob.ids[doc[at]] > first[group])
+    late = (blob.answer("windows", len(names[0]))[group] if len(at) else np.zeros(0, bool)) | (blob.ids[doc[at]] > first[group])
     gone = R.covered(at[late], width, len(blob.body))
     if (~live).any():
         gone |= ((~live) & (blob.lens >= width))[doc]
@@ -128,14 +128,14 @@ def remove_repeated_bytes(docs: DataFrame, width: int = 50, with_text: bool = Fa
     held = R.joined(texts, copies)
 
     def sample(blob):
-        return R.messages(blob.block, _sampled(blob, width, bits)[3], bits, 4)
+        return R.short_messages(blob.block, _sampled(blob, width, bits)[3])
 
     side = copies.join(R.asked(held, sample, "sample", 4), "block", "full")
     held = R.joined(texts, side)
 
     def windows(blob):
         _, _, _, names, _, first = _windows(blob, width, bits)
-        return R.messages(blob.block, names, bits, 8, first)
+        return R.messages(blob.block, *names, first)
 
     side = side.join(R.asked(held, windows, "windows", 8, smaller=True), "block", "full")
     held = R.joined(texts, side)
