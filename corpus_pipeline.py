@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from bitgrove.llm.common import read, stored
@@ -14,10 +14,16 @@ from bitgrove.llm.queries import tokenizer
 from bitgrove.llm.surrogate import replace_entities
 
 
+def _whole(docs: DataFrame) -> Column:
+    """All columns as one, so that none of them can clash with a stage's own."""
+    return F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("_doc")
+
+
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality rules keep, with joint cutoffs. Rows that share a doc_id stay if one of them is kept; null ids count as one."""
     kept = judge(docs, read(spark, sf_dir, "labels"), joint=True).filter("kept").select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(kept.hint("merge"), F.col("doc_id").eqNullSafe(F.col("_id")), "left_semi")
+    held = docs.select(_whole(docs)).join(kept.hint("merge"), F.col("_doc.doc_id").eqNullSafe(F.col("_id")), "left_semi")
+    return held.select("_doc.*")
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -33,18 +39,20 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def pii_surrogates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, with surrogates for personal data in their texts; n_chars follows the text."""
-    others = [c for c in docs.columns if c not in ("doc_id", "text")]
-    out = replace_entities(docs, carry=others)
+    out = replace_entities(docs.select("doc_id", "text", _whole(docs)), carry=("_doc",))
+    changed = {"text": F.col("text")}
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("n_entities") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars")))
-    return out.select(*docs.columns)
+        changed["n_chars"] = F.when(F.col("n_entities") > 0, F.length("text").cast("long")).otherwise(F.col("_doc.n_chars"))
+    return out.select(*(changed.get(c, F.col(f"_doc.`{c}`")).alias(c) for c in docs.columns))
 
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The mixture: documents that the mix takes, those that it takes twice as two rows. Equal rows are taken alike."""
-    keyed = docs.withColumn("_row", F.xxhash64("doc_id", "text", "source"))
-    taken = mix(keyed, carry=("_row",)).filter("n_taken > 0").groupBy("_row").agg(F.max("n_taken").alias("_turns"))
-    return keyed.join(taken.hint("merge"), "_row").withColumn("_turn", F.explode(F.sequence(F.lit(1), F.col("_turns")))).select(*docs.columns)
+    parts = [F.col("doc_id"), F.col("doc_id").isNull(), F.col("text"), F.col("text").isNull(), F.col("source"), F.col("source").isNull()]
+    row = F.struct(F.xxhash64(*parts).alias("a"), F.xxhash64(F.lit(1), *parts).alias("b")).alias("_row")
+    taken = mix(docs.select("doc_id", "text", "source", row), carry=("_row",)).filter("n_taken > 0").groupBy("_row").agg(F.max("n_taken").alias("_turns"))
+    keyed = docs.select(_whole(docs), row).join(taken.hint("merge"), "_row")
+    return keyed.select("_doc", F.explode(F.sequence(F.lit(1), F.col("_turns"))).alias("_turn")).select("_doc.*")
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
