@@ -21,7 +21,8 @@ from .components import components
 
 #: Vectors that codebooks and the radius are fitted on, at most; home vectors of a cell that one task holds.
 SAMPLE, HOMES = 20_000, 2_000
-CELL = 48
+#: Vectors of a cell, about; codewords of a half, at most; vectors of one length from which on they get a grid of their own.
+CELL, WORDS, ENOUGH = 48, 2_048, 1_000
 
 
 def codebook(x: np.ndarray, k: int, rng, rounds: int = 8) -> np.ndarray:
@@ -65,10 +66,14 @@ class Grid:
         rows, cells = [], []
         width = len(self.books[1])
         for i in range(len(x)):
+            # Both halves in order of distance: each step along the first admits a shorter run of the second.
             ia, ib = np.flatnonzero(fa[i] <= self.radius), np.flatnonzero(fb[i] <= self.radius)
-            cost = fa[i][ia][:, None] + fb[i][ib][None]
-            p, q = np.nonzero(cost <= self.radius)
-            order = np.argsort(cost[p, q], kind="stable")
+            ia, ib = ia[np.argsort(fa[i][ia], kind="stable")], ib[np.argsort(fb[i][ib], kind="stable")]
+            a, b = fa[i][ia], fb[i][ib]
+            n = np.searchsorted(b, self.radius - a, "right")
+            p = np.repeat(np.arange(len(a)), n)
+            q = np.arange(len(p)) - np.repeat(np.cumsum(n) - n, n)
+            order = np.argsort(a[p] + b[q], kind="stable")
             cells.append((ia[p] * width + ib[q])[order])
             rows.append(np.full(len(p), i))
         return np.concatenate(rows), np.concatenate(cells)
@@ -77,14 +82,14 @@ class Grid:
         """Whether each vector visits its cell."""
         (_, fa), (_, fb) = self.bounds(x)
         i = np.arange(len(x))
-        return fa[i, cells // len(self.books[1])] + fb[i, cells % len(self.books[1])] <= self.radius
+        return fb[i, cells % len(self.books[1])] <= self.radius - fa[i, cells // len(self.books[1])]
 
 
 def fitted(x: np.ndarray, total: int, least: float, recall: float) -> Grid:
     """A grid whose cells hold about CELL of all vectors, and the radius that keeps the target recall on moved vectors."""
     rng = np.random.default_rng(5)
     half = (x.shape[1] + 1) // 2
-    k = min(1024, max(2, round(math.sqrt(total / CELL))), len(x))
+    k = min(WORDS, max(2, round(math.sqrt(total / CELL))), len(x))
     grid = Grid([codebook(x[:, :half], k, rng), codebook(x[:, half:], k, rng)], 2 * (1 - least))
     y = x[rng.permutation(len(x))[:4000]]
     move = rng.normal(size=y.shape)
@@ -108,57 +113,63 @@ def near_vectors(rows: DataFrame, least: float = 0.95, recall: float = 0.995) ->
     """vec_id, n_links, component_id, kept for each row of rows (vec_id, embedding).
 
     Vectors that are null, empty, zero, or hold null or non-finite components link with nothing; vectors of different lengths
-    do not link; equal vectors always link; rows that share a vec_id are vectors of their own that count as one node. Other
-    columns are ignored. An empty table gives no row.
+    do not link, and each length of ENOUGH vectors has a grid of its own; equal vectors always link; rows that share a vec_id
+    are vectors of their own that count as one node; rows without one link with nothing and are kept. Other columns are ignored.
+    An empty table gives no row.
     """
     base = rows.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("v"))
     fine = F.col("v").isNotNull() & (F.size("v") > 0) & ~F.exists("v", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf"))) & F.exists("v", lambda x: x != 0)
     base = stored(base.withColumn("v", F.when(fine, F.transform("v", lambda x: x + F.lit(0.0)))).withColumn("k", F.when(F.col("v").isNotNull(), F.sha2(F.array_join("v", ","), 256))), "vectors")
-    reps = stored(base.filter("v is not null").groupBy("k").agg(F.min("vec_id").alias("rep"), F.count("*").alias("n"), F.first("v").alias("v")), "distinct")
-    counts, links = [], []
-    for size in sorted(r["d"] for r in reps.select(F.size("v").alias("d")).distinct().limit(1001).collect()):
-        own = reps.filter(F.size("v") == size)
-        edges = _edges(own, size, least, recall)
-        counts.append(edges.select("k", "n_links", "weight"))
-        links.append(edges.filter("star is not null").select(F.col("rep").alias("a"), F.col("star").alias("b")))
-    if not counts:
-        return base.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
-    counts_of, links_of = counts[0], links[0]
-    for c, e in zip(counts[1:], links[1:], strict=True):
-        counts_of, links_of = counts_of.unionByName(c), links_of.unionByName(e)
-    total = counts_of.groupBy("k").agg(F.sum("n_links").alias("near"))
-    parts = components(links_of)
+    reps = stored(base.filter("v is not null and vec_id is not null").groupBy("k").agg(F.min("vec_id").alias("rep"), F.count("*").alias("n"), F.first("v").alias("v")).withColumn("dim", F.size("v")), "distinct")
+    edges = _edges(reps, _grids(reps, least, recall), least)
+    total = edges.groupBy("k").agg(F.sum("n_links").alias("near"))
+    parts = components(edges.filter("star is not null").select(F.col("rep").alias("a"), F.col("star").alias("b")))
     found = reps.select("k", "rep", "n").join(total, "k", "left").join(parts.withColumnRenamed("id", "rep"), "rep", "left")
     found = found.select("k", (F.coalesce("near", F.lit(0)) + F.col("n") - 1).alias("n_links"), F.coalesce("component_id", "rep").alias("component_id"))
-    out = base.select("vec_id", "k").join(found, "k", "left").select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("component_id", "vec_id").alias("component_id"))
-    return out.withColumn("kept", F.col("vec_id") == F.col("component_id"))
+    named = F.when(F.col("vec_id").isNotNull(), F.col("k")).alias("k")
+    out = base.select("vec_id", named).join(found, "k", "left").select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("component_id", "vec_id").alias("component_id"))
+    return out.withColumn("kept", F.col("vec_id").eqNullSafe(F.col("component_id")))
 
 
-def _edges(reps: DataFrame, dim: int, least: float, recall: float) -> DataFrame:
+def _grids(reps: DataFrame, least: float, recall: float) -> dict[int, Grid]:
+    """A grid for each length that enough vectors have, fitted on a bounded sample of them. Vectors of other lengths lie in one
+    cell per length, which is compared whole."""
+    out = {}
+    for row in reps.groupBy("dim").count().filter(F.col("count") >= ENOUGH).collect():
+        few = reps.filter(F.col("dim") == row["dim"]).orderBy("k").limit(SAMPLE).select("v").toArrow()["v"]
+        out[row["dim"]] = fitted(_matrix(few, row["dim"]), row["count"], least, recall)
+    return out
+
+
+def _edges(reps: DataFrame, grids: dict[int, Grid], least: float) -> DataFrame:
     """k, rep, n_links (weighted), star (a smaller vector of the same group of links, or null) of distinct vectors."""
-    total = reps.count()
-    few = reps.orderBy("k").limit(SAMPLE).select("v").toArrow()["v"]
-    grid = fitted(_matrix(few, dim), total, least, recall)
+    names = ["k", "rep", "n", "v", "dim"]
 
     def visit(batches):
         for batch in batches:
-            x = _matrix(batch.column(3), dim)
-            for at in range(0, len(x), 1000):
-                part = batch.slice(at, 1000)
-                home = grid.home(x[at : at + 1000])
-                i, cells = grid.visits(x[at : at + 1000])
-                away = cells != home[i]
-                i, cells = np.concatenate([np.arange(len(home)), i[away]]), np.concatenate([home, cells[away]])
-                yield pa.RecordBatch.from_arrays([pa.array(cells), pa.array(home[i]), *(part.column(c).take(pa.array(i)) for c in range(4))], names=["cell", "home", "k", "rep", "n", "v"])
-
-    dealt = stored(reps.select("k", "rep", "n", "v").mapInArrow(visit, "cell long, home long, k string, rep long, n long, v array<double>"), "visits")
-    crowd = dealt.filter("cell = home").groupBy("cell").agg(F.ceil(F.count("*") / HOMES).cast("int").alias("parts"))
+            dims = batch.column(4).to_numpy(zero_copy_only=False)
+            for dim in np.unique(dims).tolist():
+                same = batch.take(pa.array(np.flatnonzero(dims == dim)))
+                for at in range(0, same.num_rows, 1000):
+                    part = same.slice(at, 1000)
+                    home = i = cells = np.zeros(part.num_rows, np.int64)
+                    i = np.arange(len(home))
+                    if grid := grids.get(dim):
+                        x = _matrix(part.column(3), dim)
+                        home = grid.home(x)
+                        to, reached = grid.visits(x)
+                        away = reached != home[to]
+                        i, cells = np.concatenate([i, to[away]]), np.concatenate([home, reached[away]])
+                    yield pa.RecordBatch.from_arrays([pa.array(cells), pa.array(home[i]), *(part.column(c).take(pa.array(i)) for c in range(5))], names=["cell", "home", *names])
+
+    dealt = stored(reps.select(*names).mapInArrow(visit, "cell long, home long, k string, rep long, n long, v array<double>, dim int"), "visits")
+    crowd = dealt.filter("cell = home").groupBy("dim", "cell").agg(F.ceil(F.count("*") / HOMES).cast("int").alias("parts"))
     blocks = F.sequence(F.lit(0), F.col("parts") - 1)
     own = F.pmod(F.xxhash64("k"), F.col("parts")).cast("int")
-    spread = dealt.join(crowd, "cell").withColumn("own", F.when(F.col("cell") == F.col("home"), own)).withColumn("part", F.explode(blocks))
+    spread = dealt.join(crowd, ["dim", "cell"]).withColumn("own", F.when(F.col("cell") == F.col("home"), own)).withColumn("part", F.explode(blocks))
 
     def meet(table: pa.Table) -> pa.Table:
-        cell, part = table["cell"][0].as_py(), table["part"][0].as_py()
+        dim, cell, part = (table[c][0].as_py() for c in ("dim", "cell", "part"))
         x = _matrix(table["v"], dim)
         rep, home, n = (table[c].to_numpy() for c in ("rep", "home", "n"))
         held = table["own"].fill_null(-1).to_numpy() == part
@@ -182,7 +193,7 @@ def _edges(reps: DataFrame, dim: int, least: float, recall: float) -> DataFrame:
             twice = home[i] > home[j]
             if twice.any():
                 t = np.flatnonzero(twice)
-                drop = t[grid.reaches(x[j[t]], home[i[t]])]
+                drop = t[grids[dim].reaches(x[j[t]], home[i[t]])]
                 keep = np.ones(len(i), bool)
                 keep[drop] = False
                 i, j = i[keep], j[keep]
@@ -194,6 +205,6 @@ def _edges(reps: DataFrame, dim: int, least: float, recall: float) -> DataFrame:
                     star[max(p, q, key=lambda z: rep[z])] = min(p, q, key=lambda z: rep[z])
         hit = np.flatnonzero(links)
         top = np.array([root(int(i)) for i in hit], np.int64)
-        return pa.table({"k": table["k"].take(pa.array(hit)), "rep": rep[hit], "n_links": links[hit], "weight": n[hit], "star": pa.array(rep[top], mask=rep[top] == rep[hit]) if len(hit) else pa.array([], pa.int64())})
+        return pa.table({"k": table["k"].take(pa.array(hit)), "rep": rep[hit], "n_links": links[hit], "star": pa.array(rep[top], mask=rep[top] == rep[hit]) if len(hit) else pa.array([], pa.int64())})
 
-    return stored(spread.groupBy("cell", "part").applyInArrow(meet, "k string, rep long, n_links long, weight long, star long"), "near")
+    return stored(spread.groupBy("dim", "cell", "part").applyInArrow(meet, "k string, rep long, n_links long, star long"), "near")
