@@ -46,26 +46,29 @@ def mix(docs: DataFrame, weights=(5, 2, 1), share: float = 1.5, turns: int = 2,
 
     A null source is a source of its own, the last; null and blank texts have size 0 and are never taken; repeated rows queue
     one after the other; ties in the queue are taken together or not at all; other columns are ignored, but for those named
-    in carry. An empty table gives no row. The order depends on seed, doc_id and source only, so reruns agree.
+    in carry. An empty table gives no row. The order depends on seed, doc_id, source and text only, so reruns agree.
     """
-    key = F.xxhash64(F.lit(seed), "doc_id", "source")
-    sized = stored(docs.select("doc_id", "source", *carry, n_words(F.col("text")).alias("size")).withColumn("key", key), "sizes")
-    targets = stored(source_targets(sized, weights, share, turns), "targets")
+    names = {c: f"_carried{i}" for i, c in enumerate(carry)}
+    kept = list(names.values())
+    key = F.xxhash64(F.lit(seed), "doc_id", "source", "text")
+    sized = stored(docs.select("doc_id", "source", *(F.col(c).alias(n) for c, n in names.items()), n_words(F.col("text")).alias("size"), key.alias("key")), "sizes")
     rows = sized.count()
-    slices = max(16, math.ceil(rows / SLICE_ROWS))
-    part = F.pmod(F.shiftrightunsigned("key", 20), F.lit(slices))
-    sliced = sized.withColumn("slice", part)
-    within = Window.partitionBy("source", "slice").orderBy("key", "doc_id", "size", *carry)
+    # Each source gets slices by its rows, all of about one size.
+    slice_rows = min(SLICE_ROWS, max(200, rows // 256))
+    targets = stored(source_targets(sized, weights, share, turns).join(sized.groupBy(F.col("source").alias("s")).agg(F.ceil(F.count("*") / slice_rows).alias("slices")), F.col("source").eqNullSafe(F.col("s"))).drop("s"), "targets")
+    of = targets.select(F.col("source").alias("of"), "slices")
+    sliced = sized.join(of, F.col("source").eqNullSafe(F.col("of"))).withColumn("slice", F.pmod(F.shiftrightunsigned("key", 20), F.col("slices"))).drop("of", "slices")
+    within = Window.partitionBy("source", "slice").orderBy("key", "doc_id", "size", *kept)
     offsets = sliced.groupBy("source", "slice").agg(F.sum("size").alias("of_slice")).withColumn("before", F.sum("of_slice").over(Window.partitionBy("source").orderBy("slice")) - F.col("of_slice"))
     offsets = offsets.join(targets, offsets.source.eqNullSafe(targets.source)).select(offsets.source, "slice", "before", "source_size", "target")
     queued = sliced.withColumn("upto", F.sum("size").over(within.rowsBetween(Window.unboundedPreceding, 0)))
     at = offsets.select(F.col("source").alias("s"), F.col("slice").alias("p"), "before", "source_size", "target")
     queued = queued.join(at, F.col("source").eqNullSafe(F.col("s")) & (F.col("slice") == F.col("p")))
     finish = [(F.lit(t) * F.col("source_size") + F.col("before") + F.col("upto")) / F.col("target") for t in range(turns)]
-    queued = stored(queued.select("doc_id", *carry, "size", "source_size", "target", *(F.when(F.col("size") > 0, f).alias(f"finish{t}") for t, f in enumerate(finish))), "queue")
+    queued = stored(queued.select("doc_id", *kept, "size", "source_size", "target", *(F.when(F.col("size") > 0, f).alias(f"finish{t}") for t, f in enumerate(finish))), "queue")
     cut = _cut(queued, turns, targets.agg(F.sum("source_size")).first()[0] or 0, share, rows)
     taken = sum((F.when(F.col(f"finish{t}") <= F.lit(cut), 1).otherwise(0) for t in range(turns)), F.lit(0))
-    return queued.select("doc_id", *carry, "size", "source_size", "target", (F.col("size") * taken).cast("long").alias("taken"), taken.alias("n_taken"))
+    return queued.select("doc_id", *(F.col(n).alias(c) for c, n in names.items()), "size", "source_size", "target", (F.col("size") * taken).cast("long").alias("taken"), taken.alias("n_taken"))
 
 
 def _cut(queued: DataFrame, turns: int, total: int, share: float, rows: int) -> float:
