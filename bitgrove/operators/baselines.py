@@ -3,17 +3,14 @@
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
 
-import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.hashing import Spec
 from ..sources.scratch import stored
-from .descent import random_key
+from .descent import coin, random_key
 from .filters import BROADCAST_BYTES, check_pairs, contains, ones, set_bits
-
 #: What a set id takes in a broadcast, at most.
 ID_BYTES = 256
 
@@ -23,35 +20,30 @@ def probe_recover(ids: DataFrame, words: DataFrame, spec: Spec, way: str = "auto
     return contains(ids, words, spec, way)
 
 
+def _ranked(rows: DataFrame, value: str, draws: int, seed: int, what: str) -> DataFrame:
+    """(set_id, draw, value): each draw names the rank it wants among the set's rows in the order of a digest, so it meets one
+    row and not all of them."""
+    placed = stored(rows.withColumn("rank", F.row_number().over(Window.partitionBy("set_id").orderBy(random_key(seed, F.lit(what), "set_id", value), value))), what)
+    many = placed.groupBy("set_id").agg(F.max("rank").alias("n"))
+    tried = many.select("set_id", "n", F.explode(F.sequence(F.lit(0), F.lit(draws - 1))).alias("draw"))
+    aimed = tried.withColumn("rank", F.floor(coin(seed, F.lit(what), "set_id", "draw") * F.col("n")).cast("int") + 1)
+    return aimed.join(placed, ["set_id", "rank"]).select("set_id", "draw", value)
+
+
 def probe_sample(ids: DataFrame, words: DataFrame, spec: Spec, draws: int = 1, seed: int = 1) -> DataFrame:
-    """(set_id, draw, x): a reservoir of one over the positives, as the smallest random key of each draw."""
-    found = stored(contains(ids, words, spec), "positives")
-    tried = found.select("set_id", "x", F.explode(F.sequence(F.lit(0), F.lit(draws - 1))).alias("draw"))
-    picked = tried.groupBy("set_id", "draw").agg(F.min(F.struct(random_key(seed, F.lit("probe"), "set_id", "draw", "x").alias("key"), "x"))["x"].alias("x"))
+    """(set_id, draw, x): uniform draws over the positives of a probe of all ids; null if there is none."""
+    picked = _ranked(contains(ids, words, spec), "x", draws, seed, "probe")
     every = words.select("set_id").distinct().select("set_id", F.explode(F.sequence(F.lit(0), F.lit(draws - 1))).alias("draw"))
     return every.join(picked, ["set_id", "draw"], "left")
 
 
 def probe_reservoir(found: DataFrame, seed: int = 1) -> DataFrame:
-    """The literal reservoir over (set_id, x): within each task the (j+1)-th positive replaces the kept one with chance
-    1/(j+1); tasks' results are merged by their numbers of positives. (set_id, x)."""
-    import random
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from pyspark import TaskContext
-
-        rng, kept, seen = random.Random(f"{seed}:{TaskContext.get().partitionId()}"), {}, {}
-        for batch in batches:
-            for s, x in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                seen[s] = seen.get(s, 0) + 1
-                if rng.random() * seen[s] < 1:
-                    kept[s] = x
-        yield pa.RecordBatch.from_pydict({"set_id": pa.array(list(kept), pa.string()), "x": pa.array(list(kept.values()), pa.int64()), "n": pa.array([seen[s] for s in kept], pa.int64())})
-
-    parts = found.select("set_id", "x").mapInArrow(run, "set_id string, x long, n long")
-    # The smallest of n uniform numbers decides between parts that stand for n positives each.
-    u = F.greatest(F.conv(F.substring(random_key(seed, "set_id", "x", "n"), 1, 12), 16, 10).cast("double") / 2.0**48, F.lit(1e-15))
-    return parts.groupBy("set_id").agg(F.min_by("x", -F.ln(u) / F.col("n")).alias("x"))
+    """The reservoir of one over (set_id, x): walking the positives in order of id, the (j+1)-th replaces the kept one with chance
+    1/(j+1). The last replacement wins, so it is a running count and a maximum. (set_id, x). Coins depend on keys alone."""
+    order = Window.partitionBy("set_id").orderBy("x")
+    walked = found.select("set_id", "x", F.row_number().over(order).alias("j"))
+    replaced = walked.filter(coin(seed, F.lit("reservoir"), "set_id", "x") * F.col("j") < 1)
+    return replaced.groupBy("set_id").agg(F.max_by("x", "j").alias("x"))
 
 
 def preimages(pos: Column, spec: Spec, i: int, domain: int) -> Column:
@@ -79,9 +71,7 @@ def _listed(bits: DataFrame, spec: Spec, domain: int, functions: str) -> DataFra
 
 def preimage_sample(words: DataFrame, spec: Spec, domain: int, draws: int = 1, seed: int = 1) -> DataFrame:
     """(set_id, draw, pos, x): a random set bit, then a random one of the ids that map there and pass; null if none does."""
-    bits = set_bits(words)
-    tried = bits.select("set_id", "pos", F.explode(F.sequence(F.lit(0), F.lit(draws - 1))).alias("draw"))
-    chosen = tried.groupBy("set_id", "draw").agg(F.min(F.struct(random_key(seed, F.lit("bit"), "set_id", "draw", "pos").alias("key"), "pos"))["pos"].alias("pos"))
+    chosen = _ranked(set_bits(words), "pos", draws, seed, "bit")
     fits = check_pairs(_listed(chosen, spec, domain, "all").distinct(), words, spec)
     picked = fits.groupBy("set_id", "draw").agg(F.min(F.struct(random_key(seed, F.lit("pre"), "set_id", "draw", "x").alias("key"), "x"))["x"].alias("x"))
     return chosen.join(picked, ["set_id", "draw"], "left")

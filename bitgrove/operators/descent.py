@@ -13,8 +13,12 @@ from pyspark.sql import functions as F
 
 from ..plans.tree import Tree
 from ..sources.scratch import stored
+from .filters import BROADCAST_BYTES
 from .sweep import Live, mark, probe_leaves
 
+#: What a row of live nodes takes in a broadcast, at most.
+NODE_BYTES = 512
+
 
 def coin(seed: int, *parts: Column | str) -> Column:
     """A number in 0..1 from the digest of its key: the same on every retry and in every partitioning."""
@@ -38,41 +42,55 @@ def viability(live: Live, tree: Tree, found: DataFrame) -> DataFrame:
     return stored(nodes.join(sums, ["set_id", "level", "idx"]).select("set_id", "level", "idx", "weight", "positives", "ands", "probes"), "viability")
 
 
-def _children(nodes: DataFrame, level: int) -> DataFrame:
-    """One row per parent: weight, positives, ands, probes of both live children."""
+def _children(nodes: DataFrame) -> DataFrame:
+    """One row per parent: weight, positives, ands, probes of both live children; level is the children's."""
     left = F.col("idx") % 2 == 0
     sides = [F.max(F.when(left if side == "l" else ~left, F.col(c))).alias(f"{side}_{c}") for side in "lr" for c in ("weight", "positives", "ands", "probes")]
-    return nodes.filter(F.col("level") == level).groupBy("set_id", F.shiftright("idx", 1).alias("parent")).agg(*sides)
+    return stored(nodes.filter("level > 0").groupBy("set_id", "level", F.shiftright("idx", 1).alias("parent")).agg(*sides), "children")
+
 
+def _small(rows: DataFrame) -> DataFrame:
+    """rows for a join: sent to every task if they are few, by a count; else left to the join's own way, which splits hot keys."""
+    return F.broadcast(rows) if rows.count() * NODE_BYTES <= BROADCAST_BYTES else rows
 
-def descend(nodes: DataFrame, live: Live, tree: Tree, draws: int, seed: int, weights: str) -> DataFrame:
+
+def descend(nodes: DataFrame, live: Live, tree: Tree, draws: int | DataFrame, seed: int, weights: str) -> DataFrame:
     """(set_id, draw, idx, intersections, memberships, positives): the leaf that each draw ends in and how many ids it offers; idx is
-    null if the set has none."""
+    null if the set has none. draws: a number for all sets, or a table (set_id, draws).
+
+    All draws of a set meet at its root. While the live nodes are few they are sent to the draws, so that no level shuffles; else
+    each level joins by (set, node)."""
     exact = weights == "exact"
     if live.start:
         raise ValueError("a descent starts at the root")
     root = nodes.filter("level = 0").select("set_id", "positives", "ands", "probes")
-    every = live.sizes.select("set_id").join(root, "set_id", "left").select("set_id", F.explode(F.sequence(F.lit(0), F.lit(draws - 1))).alias("draw"), F.when(F.col("positives") > 0, F.lit(0).cast("long")).alias("idx"), F.when(F.coalesce("positives", F.lit(0)) > 0, F.lit(0)).otherwise(F.coalesce("ands", F.lit(0))).cast("long").alias("intersections"), F.when(F.coalesce("positives", F.lit(0)) > 0, F.lit(0)).otherwise(F.coalesce("probes", F.lit(0))).cast("long").alias("memberships"))
-    paths = every
+    sets = live.sizes.select("set_id")
+    sets = sets.withColumn("draws", F.lit(draws).cast("long")) if isinstance(draws, int) else sets.join(draws.select("set_id", F.col("draws").cast("long").alias("draws")), "set_id")
+    wanted = sets.filter("draws > 0").select("set_id", F.explode(F.sequence(F.lit(0), (F.col("draws") - 1).cast("int"))).alias("draw"))
+    every = wanted.join(_small(root), "set_id", "left").select("set_id", "draw", F.when(F.col("positives") > 0, F.lit(0).cast("long")).alias("idx"), F.when(F.coalesce("positives", F.lit(0)) > 0, F.lit(0)).otherwise(F.coalesce("ands", F.lit(0))).cast("long").alias("intersections"), F.when(F.coalesce("positives", F.lit(0)) > 0, F.lit(0)).otherwise(F.coalesce("probes", F.lit(0))).cast("long").alias("memberships"))
+    paths, children = every, _children(nodes)
+    few = children.count() * NODE_BYTES <= BROADCAST_BYTES
     for level in range(tree.depth):
         if level % 6 == 5:
             paths = stored(paths, f"paths{level}")
-        both = paths.join(_children(nodes, level + 1).withColumnRenamed("parent", "idx"), ["set_id", "idx"], "left")
+        of = children.filter(F.col("level") == level + 1).drop("level").withColumnRenamed("parent", "idx")
+        both = paths.join(F.broadcast(of) if few else of, ["set_id", "idx"], "left")
         w = {s: F.coalesce(F.col(f"{s}_positives" if exact else f"{s}_weight"), F.lit(0)).cast("double") for s in "lr"}
         alive = {s: F.col(f"{s}_weight").isNotNull() for s in "lr"}
         share = F.when(alive["l"] & ~alive["r"], 1.0).when(~alive["l"], 0.0).when(w["l"] + w["r"] > 0, w["l"] / (w["l"] + w["r"])).otherwise(0.5)
-        raw_left = coin(seed, "set_id", "draw", F.lit(level), "idx") < share
+        both = both.withColumn("raw", coin(seed, "set_id", "draw", F.lit(level), "idx") < share)
+        raw_left = F.col("raw")
         yields = {s: F.coalesce(F.col(f"{s}_positives"), F.lit(0)) > 0 for s in "lr"}
         left = F.when(raw_left, yields["l"]).otherwise(~yields["r"])
         vain = lambda c: F.when(raw_left & ~yields["l"], F.coalesce(F.col(f"l_{c}"), F.lit(0))).when(~raw_left & ~yields["r"], F.coalesce(F.col(f"r_{c}"), F.lit(0))).otherwise(F.lit(0))  # noqa: B023, E731
         going = F.col("idx").isNotNull()
         paths = both.select("set_id", "draw", F.when(going, F.col("idx") * 2 + F.when(left, 0).otherwise(1)).alias("idx"), (F.col("intersections") + F.when(going, 2 + vain("ands")).otherwise(0)).alias("intersections"), (F.col("memberships") + F.when(going, vain("probes")).otherwise(0)).alias("memberships"))
     leaf = nodes.filter(F.col("level") == tree.depth).select("set_id", "idx", "probes", "positives")
-    done = stored(paths, "paths").join(leaf, ["set_id", "idx"], "left")
+    done = stored(paths, "paths").join(_small(leaf), ["set_id", "idx"], "left")
     return done.select("set_id", "draw", "idx", "intersections", (F.col("memberships") + F.coalesce("probes", F.lit(0))).alias("memberships"), "positives")
 
 
-def sample_sets(words: DataFrame, tree: Tree, ids: DataFrame, draws: int = 1, seed: int = 1, weights: str = "floored", tau: float | None = None, replace: bool = True) -> DataFrame:
+def sample_sets(words: DataFrame, tree: Tree, ids: DataFrame, draws: int | DataFrame = 1, seed: int = 1, weights: str = "floored", tau: float | None = None, replace: bool = True) -> DataFrame:
     """(set_id, draw, x, idx, intersections, memberships): `draws` ids of each filter, x null if it holds none.
 
     weights: 'paper' (estimated overlap, nodes under tau are not entered), 'floored' (the estimate, FLOOR at least, only nodes
@@ -114,12 +132,11 @@ def path_probabilities(words: DataFrame, tree: Tree, ids: DataFrame, weights: st
     return found.join(chance, ["set_id", "idx"]).join(leaf, ["set_id", "idx"]).select("set_id", "x", (F.col("probability") / F.col("n")).alias("probability"))
 
 
-def rejected_to_uniform(probabilities: DataFrame, draws: int, seed: int) -> DataFrame:
-    """(set_id, draw, x): draws by these probabilities, each kept with a chance that makes those kept uniform."""
-    least = F.min("probability").over(Window.partitionBy("set_id"))
-    upto = F.sum("probability").over(Window.partitionBy("set_id").orderBy("x"))
-    ranges = probabilities.select("set_id", "x", "probability", least.alias("least"), upto.alias("upto"), (upto - F.col("probability")).alias("after"))
-    tries = probabilities.select("set_id").distinct().select("set_id", F.explode(F.sequence(F.lit(0), F.lit(draws - 1))).alias("draw"))
-    aimed = tries.withColumn("u", coin(seed, "set_id", "draw", F.lit("try")))
-    hit = aimed.join(ranges, "set_id").filter("u >= after and u < upto")
-    return hit.filter(coin(seed, "set_id", "draw", F.lit("keep")) < F.col("least") / F.col("probability")).select("set_id", "draw", "x")
+def rejected_to_uniform(words: DataFrame, tree: Tree, ids: DataFrame, draws: int, seed: int, weights: str = "floored") -> DataFrame:
+    """(set_id, draw, x): draws by descents with these weights, each kept with a chance that makes those kept uniform: the least
+    probability of a positive of the set over its own."""
+    chances = stored(path_probabilities(words, tree, ids, weights), "chances")
+    least = chances.groupBy("set_id").agg(F.min("probability").alias("least"))
+    tried = sample_sets(words, tree, ids, draws, seed, weights).filter("x is not null").select("set_id", "draw", "x")
+    known = tried.join(chances, ["set_id", "x"]).join(_small(least), "set_id")
+    return known.filter(coin(seed, "set_id", "draw", F.lit("keep")) < F.col("least") / F.col("probability")).select("set_id", "draw", "x")

@@ -14,6 +14,8 @@ from .filters import check_pairs, ones
 
 #: Weight that "floored" gives to a live branch whose estimate is lower.
 FLOOR = 0.5
+#: Nodes that a job may look at for each level it takes besides the first, and the most levels it takes.
+BLOCK_ROWS, MOST_LEVELS = 200_000, 5
 
 
 def start_level(tree: Tree, fill: float = 0.95) -> int:
@@ -46,21 +48,52 @@ def _weighed(rows: DataFrame, tree: Tree, weights: str, tau: float | None) -> Da
     return rows.withColumn("weight", F.greatest(value, F.lit(0.0))).withColumn("live", keep)
 
 
+def _block(frontier: int, left: int) -> int:
+    """How many levels to look at in one job: more while few nodes are live."""
+    levels = 1
+    while levels < min(left, MOST_LEVELS) and frontier << (levels + 1) <= BLOCK_ROWS:
+        levels += 1
+    return levels
+
+
 def mark(words: DataFrame, tree: Tree, weights: str = "floored", tau: float | None = None, start: int | None = None) -> Live:
     """Live nodes per set and level. A node is entered if its parent is live; a node without a common bit is never live, which
-    loses no member. tau: nodes with a smaller estimate are not live either, which may. Each level is one join of the thin
-    frontier with the words of its children and of the filters, both by equal keys."""
+    loses no member. tau: nodes with a smaller estimate are not live either, which may.
+
+    A job takes several levels while the frontier is thin. Nodes looked at meet their set's words first and the tree's words by
+    (level, node, word) then, so neither the root nor any other node is a key that all sets share. Nodes below a dead one of the
+    same job are dropped at its end."""
     start = 0 if start is None else min(start, tree.depth)
     sizes = stored(ones(words).withColumn("n_hat", estimate_size(F.col("ones"), tree.spec.m, tree.spec.k)), "sizes")
     frontier, out = sizes.select("set_id", F.explode(F.sequence(F.lit(0).cast("long"), F.lit((1 << start) - 1).cast("long"))).alias("idx")), None
-    for level in range(start, tree.depth + 1):
-        near = frontier.join(tree.level(level), "idx").join(words.withColumnRenamed("bits", "asked"), ["set_id", "word_no"])
-        shared = near.groupBy("set_id", "idx").agg(F.sum(F.bit_count(F.col("bits").bitwiseAND(F.col("asked")))).cast("long").alias("both"))
-        node = tree.nodes.filter(F.col("level") == level).select("idx", F.col("ones").alias("node_ones"), "occupied")
-        seen = frontier.join(node, "idx").join(shared, ["set_id", "idx"], "left").fillna(0, ["both"]).join(sizes, "set_id")
-        marked = stored(_weighed(seen, tree, weights, tau).select("set_id", F.lit(level).alias("level"), "idx", "both", "occupied", "weight", "live"), f"level{level}")
+    asked, many = words.withColumnRenamed("bits", "asked"), sizes.count() << start
+    level = start
+    while level <= tree.depth:
+        last = min(tree.depth, level + _block(many, tree.depth - level + 1) - 1)
+        # Nodes below a frontier node, numbered as in a heap: 1 is the node itself.
+        below = F.explode(F.sequence(F.lit(1), F.lit((1 << (last - level + 1)) - 1)))
+        depth = F.floor(F.log2("heap") + 1e-9).cast("int")
+        seen = frontier.withColumnRenamed("idx", "top").withColumn("heap", below).withColumn("down", depth)
+        seen = seen.select("set_id", "top", "heap", (F.lit(level) + F.col("down")).alias("level"), (F.call_function("shiftleft", F.col("top"), F.col("down")) + F.col("heap") - F.call_function("shiftleft", F.lit(1), F.col("down"))).alias("idx"))
+        node = tree.nodes.filter(F.col("level").between(level, last)).select("level", "idx", F.col("ones").alias("node_ones"), "occupied")
+        seen = seen.join(node, ["level", "idx"])
+        at = tree.words.filter(F.col("level").between(level, last)).select("level", "idx", "word_no", "bits")
+        near = seen.select("set_id", "level", "idx").join(asked, "set_id").join(at, ["level", "idx", "word_no"])
+        shared = near.groupBy("set_id", "level", "idx").agg(F.sum(F.bit_count(F.col("bits").bitwiseAND(F.col("asked")))).cast("long").alias("both"))
+        full = seen.join(shared, ["set_id", "level", "idx"], "left").fillna(0, ["both"]).join(sizes, "set_id")
+        weighed = _weighed(full, tree, weights, tau)
+        if last > level:
+            # A node is reached if no node above it in its heap is dead or missing.
+            of = weighed.groupBy("set_id", "top").agg(F.collect_list(F.when(F.col("live"), F.col("heap"))).alias("_alive"), F.collect_list(F.struct("heap", "level", "idx", "both", "occupied", "weight", "live")).alias("_nodes"))
+            ups = lambda h: F.transform(F.sequence(F.lit(1), F.greatest(F.floor(F.log2(h) + 1e-9).cast("int"), F.lit(1))), lambda d: F.call_function("shiftright", h, d))
+            reached = F.filter("_nodes", lambda x: (x["heap"] == 1) | F.forall(ups(x["heap"]), lambda h: F.array_contains("_alive", h)))
+            weighed = of.select("set_id", F.explode(reached).alias("n")).select("set_id", "n.level", "n.idx", "n.both", "n.occupied", "n.weight", "n.live")
+        marked = stored(weighed.select("set_id", F.col("level").cast("int").alias("level"), "idx", "both", "occupied", "weight", "live"), f"level{level}")
         out = marked if out is None else out.unionByName(marked)
-        frontier = marked.filter("live").select("set_id", F.explode(F.array(F.col("idx") * 2, F.col("idx") * 2 + 1)).alias("idx"))
+        alive = marked.filter(F.col("live") & (F.col("level") == last))
+        frontier = alive.select("set_id", F.explode(F.array(F.col("idx") * 2, F.col("idx") * 2 + 1)).alias("idx"))
+        level = last + 1
+        many = 2 * alive.count() if level <= tree.depth else 0
     return Live(start, out, sizes)
 
 

@@ -7,18 +7,20 @@ import math
 
 from .functions import theory as T
 from .functions.hashing import Spec, make_spec, sql_murmur3, sql_positions
-from .workloads import ACCURACY_TARGETS, DENSE, DEPTH, FAMILY_SPECS, FRACTIONS, GRID_ACCURACY, GRID_M, SPARSE, SPEC, TAGS
+from .sources.collections import kept_ranges
+from .workloads import ACCURACY_TARGETS, DENSE, DEPTH, FAMILY_SPECS, FRACTIONS, GRID_ACCURACY, GRID_M, LAYOUTS, PART_DEPTH, PART_DRAWS, ROUNDS, SPARSE, SPEC, TAGS
+from .workloads import NATIONS as NATION_SPEC
 
 ORDERS = "SELECT max(o_orderkey) + 1 AS M FROM orders"
 CUSTOMERS = "SELECT max(c_custkey) + 1 AS M FROM customer"
 
 
-def suppliers(most: int = 20) -> str:
-    return f"SELECT DISTINCT l_suppkey::VARCHAR AS set_id, l_orderkey AS x FROM lineitem WHERE l_suppkey < {most}"
+def suppliers() -> str:
+    return "SELECT DISTINCT l_suppkey::VARCHAR AS set_id, l_orderkey AS x FROM lineitem"
 
 
-def parts(most: int = 3) -> str:
-    return f"SELECT DISTINCT l_partkey::VARCHAR AS set_id, l_orderkey AS x FROM lineitem WHERE l_partkey < {most}"
+def parts() -> str:
+    return "SELECT DISTINCT l_partkey::VARCHAR AS set_id, l_orderkey AS x FROM lineitem"
 
 
 FLAGS = "SELECT DISTINCT l_returnflag AS set_id, l_orderkey AS x FROM lineitem"
@@ -69,14 +71,14 @@ def sweep_ops(sets: str, spec: Spec, depth: int, start: int, method: str = "") -
     return f"SELECT set_id, {method}count(*) FILTER (level > {start}) AS intersections, coalesce(sum(occ) FILTER (level = {depth} AND keep), 0)::BIGINT AS memberships, count(*) FILTER (keep) AS nodes_visited, count(*) FILTER (level = {depth} AND keep) AS leaves_probed FROM ({seen}) GROUP BY set_id"
 
 
-def drawn(spec: Spec, depth: int, draws: int, weights: str, seed: int = 1) -> str:
-    """CTEs reach (positives, ands, probes of live nodes) and path{depth}, then samples (set_id, draw, x, intersections, memberships)."""
+def drawn(spec: Spec, depth: int, draws: int | str, weights: str, seed: int = 1) -> str:
+    """draws: a number, or an expression over n, the size of a set. CTEs reach (positives, ands, probes of live nodes) and path{depth}, then samples (set_id, draw, x, intersections, memberships)."""
     w = "positives" if weights == "exact" else "weight"
     out = f""", atleaf AS MATERIALIZED (SELECT l.set_id, l.idx, f.x FROM live{depth} l JOIN (SELECT set_id, x, (x << {depth}) // M AS idx FROM found, dom) f ON f.set_id = l.set_id AND f.idx = l.idx),
     hits AS (SELECT l.set_id, l.level, l.idx, count(*) AS positives FROM live l JOIN atleaf f ON f.set_id = l.set_id AND (f.idx >> ({depth} - l.level)) = l.idx GROUP BY ALL),
     cost AS (SELECT a.set_id, a.level, a.idx, 2 * count(*) FILTER (b.level < {depth}) AS ands, coalesce(sum(b.occ) FILTER (b.level = {depth}), 0)::BIGINT AS probes FROM live a JOIN live b ON a.set_id = b.set_id AND b.level >= a.level AND (b.idx >> (b.level - a.level)) = a.idx GROUP BY ALL),
     reach AS MATERIALIZED (SELECT l.set_id, l.level, l.idx, l.weight, coalesce(h.positives, 0) AS positives, c.ands, c.probes FROM live l JOIN cost c USING (set_id, level, idx) LEFT JOIN hits h USING (set_id, level, idx)),
-    path0 AS (SELECT f.set_id, draw, CASE WHEN positives > 0 THEN 0::BIGINT END AS idx, CASE WHEN coalesce(positives, 0) > 0 THEN 0 ELSE coalesce(ands, 0) END AS ands, CASE WHEN coalesce(positives, 0) > 0 THEN 0 ELSE coalesce(probes, 0) END AS probes FROM filt f CROSS JOIN range({draws}) d(draw) LEFT JOIN reach r ON r.set_id = f.set_id AND r.level = 0)"""
+    path0 AS (SELECT f.set_id, draw, CASE WHEN positives > 0 THEN 0::BIGINT END AS idx, CASE WHEN coalesce(positives, 0) > 0 THEN 0 ELSE coalesce(ands, 0) END AS ands, CASE WHEN coalesce(positives, 0) > 0 THEN 0 ELSE coalesce(probes, 0) END AS probes FROM (SELECT set_id, unnest(range(0, ({draws})::BIGINT)) AS draw FROM filt JOIN (SELECT set_id, count(*) AS n FROM sets GROUP BY set_id) USING (set_id)) f LEFT JOIN reach r ON r.set_id = f.set_id AND r.level = 0)"""
     for at in range(depth):
         coin = f"('0x' || substr(md5(concat_ws(':', '{seed}', p.set_id, draw, '{at}', p.idx)), 1, 8))::BIGINT / 4294967296::DOUBLE"
         share = f"CASE WHEN l.weight IS NOT NULL AND r.weight IS NULL THEN 1.0 WHEN l.weight IS NULL THEN 0.0 WHEN coalesce(l.{w}, 0) + coalesce(r.{w}, 0) > 0 THEN coalesce(l.{w}, 0)::DOUBLE / (coalesce(l.{w}, 0) + coalesce(r.{w}, 0)) ELSE 0.5 END"
@@ -91,10 +93,25 @@ def drawn(spec: Spec, depth: int, draws: int, weights: str, seed: int = 1) -> st
       FROM path{depth} p LEFT JOIN reach o ON o.set_id = p.set_id AND o.level = {depth} AND o.idx = p.idx LEFT JOIN ranked f ON f.set_id = p.set_id AND f.idx = p.idx AND f.rank = floor({pick} * o.positives)::BIGINT + 1)"""
 
 
-def sampling(sets: str, draws: int, weights: str = "floored", tau: float | None = None, spec: Spec = SPEC, depth: int = DEPTH, domain: str = ORDERS, ids: str | None = None) -> str:
+def _coin(seed: int, parts: str) -> str:
+    return f"('0x' || substr(md5(concat_ws(':', '{seed}', {parts})), 1, 8))::BIGINT / 4294967296::DOUBLE"
+
+
+def _placed(rows: str, value: str, what: str, draws: int = 5, seed: int = 2) -> str:
+    """CTE chosen (set_id, draw, value): draws by the rank that a coin names."""
+    return f""", placed AS (SELECT set_id, {value}, row_number() OVER (PARTITION BY set_id ORDER BY md5(concat_ws(':', '{seed}', '{what}', set_id, {value})), {value}) AS rank FROM {rows}),
+    chosen AS (SELECT t.set_id, t.draw, p.{value} FROM (SELECT set_id, draw, floor({_coin(seed, f"'{what}', set_id, draw")} * n)::BIGINT + 1 AS rank FROM (SELECT set_id, count(*) AS n FROM placed GROUP BY set_id), range({draws}) d(draw)) t JOIN placed p ON p.set_id = t.set_id AND p.rank = t.rank)"""
+
+
+def sampling(sets: str, draws: int | str, weights: str = "floored", tau: float | None = None, spec: Spec = SPEC, depth: int = DEPTH, domain: str = ORDERS, ids: str | None = None) -> str:
     return base(sets, spec, domain, ids) + tree(spec, depth) + live(spec, depth, "paper" if weights == "paper" else "floored", tau) + drawn(spec, depth, draws, weights)
 
 
+def _nation_draws(weights: str) -> str:
+    """ROUNDS draws per customer of a nation; only the printed weights leave out nodes by estimate, with the threshold unset."""
+    return sampling(NATIONS, f"{ROUNDS} * n", weights, None, NATION_SPEC, DEPTH, CUSTOMERS)
+
+
 def values(names: str, rows) -> str:
     return f"(VALUES {', '.join('(' + ', '.join(f'{v!r}::DOUBLE' if isinstance(v, float) else repr(v) for v in r) + ')' for r in rows)}) v({names})"
 
@@ -132,12 +149,12 @@ def _hash_family() -> str:
         src = lambda q: f"({sql_murmur3(q)})" if murmur else f"({q})"  # noqa: B023, E731
         pos = ", ".join(sql_positions(spec))
         ids = src("SELECT unnest(range(0, (SELECT max(o_orderkey) + 1 FROM orders)::BIGINT)) AS x")
-        out.append(f"SELECT '{family}' AS family, set_id, count(*) AS n FROM (SELECT set_id, x FROM (SELECT x, unnest([0, 1, 2]) AS i, unnest([{pos}]) AS pos FROM {ids}) JOIN (SELECT DISTINCT set_id, unnest([{pos}]) AS pos FROM {src(suppliers(5))}) USING (pos) GROUP BY ALL HAVING count(DISTINCT i) = 3) GROUP BY set_id")
+        out.append(f"SELECT '{family}' AS family, set_id, count(*) AS n FROM (SELECT set_id, x FROM (SELECT x, unnest([0, 1, 2]) AS i, unnest([{pos}]) AS pos FROM {ids}) JOIN (SELECT DISTINCT set_id, unnest([{pos}]) AS pos FROM {src(suppliers())}) USING (pos) GROUP BY ALL HAVING count(DISTINCT i) = 3) GROUP BY set_id")
     return " UNION ALL ".join(out)
 
 
 def _path_probability() -> str:
-    head = base(suppliers(10)) + tree(SPEC, DEPTH)
+    head = base(suppliers()) + tree(SPEC, DEPTH)
     out = []
     for weights, tau in (("paper", 0.0), ("floored", None), ("exact", None)):
         w = "positives::DOUBLE" if weights == "exact" else "weight"
@@ -155,26 +172,21 @@ def _sparse(x: str) -> str:
 
 
 def _kept(fraction: float, layout: str) -> str:
-    import hashlib
-
-    keep = int(256 * fraction + 0.5)
-    part = "((x << 8) // 2147483647)"
-    return f"{part} < {keep}" if layout == "clustered" else f"{part} IN ({', '.join(map(str, sorted(range(256), key=lambda r: hashlib.md5(str(r).encode()).hexdigest())[:keep]))})"
+    return f"((x << 8) // 2147483647) IN ({', '.join(map(str, kept_ranges(fraction, layout)))})"
 
 
-SPARSE_SETS = f"SELECT set_id, {_sparse('x')} AS x FROM ({suppliers(5)})"
+SPARSE_SETS = f"SELECT set_id, {_sparse('x')} AS x FROM ({suppliers()})"
 SPARSE_IDS = f"SELECT {_sparse('o_orderkey')} AS x FROM orders"
 SPARSE_DOM = "SELECT 2147483647::BIGINT AS M"
 
 
-def _fraction(inner, layouts=("uniform", "clustered"), fractions=FRACTIONS) -> str:
+def _fraction(inner, layouts=LAYOUTS, fractions=FRACTIONS) -> str:
     return " UNION ALL ".join(f"(SELECT '{lay}' AS layout, {f}::DOUBLE AS fraction, q.* FROM ({base(f'SELECT * FROM ({SPARSE_SETS}) WHERE {_kept(f, lay)}', SPARSE, SPARSE_DOM, f'SELECT * FROM ({SPARSE_IDS}) WHERE {_kept(f, lay)}')}{inner}) q)" for lay in layouts for f in fractions)
 
 
 TOKENS = "SELECT DISTINCT t AS set_id, doc_id AS x FROM (SELECT doc_id, unnest(regexp_split_to_array(lower(text), '[^a-z]+')) AS t FROM documents) WHERE t <> ''"
 TAG_SETS = f"SELECT set_id, x FROM ({TOKENS}) QUALIFY count(*) OVER (PARTITION BY set_id) >= 0.05 * (SELECT count(*) FROM documents)"
 USERS = "SELECT DISTINCT event_type || '/' || strftime(ts, '%Y-%m-%d') AS set_id, user_id AS x FROM events WHERE user_id IS NOT NULL"
-THIRDS = "SELECT c_custkey AS x FROM customer WHERE c_custkey % 3 IN (0, 1)"
 LEFT = "SELECT c_custkey AS x FROM customer, (SELECT max(c_custkey) + 1 AS d FROM customer) WHERE c_custkey < d // 4 OR c_custkey >= d // 2 OR c_custkey % 2 = 0"
 
 
@@ -186,7 +198,7 @@ def _measured() -> str:
     out = []
     for target in ACCURACY_TARGETS:
         spec = make_spec(round(T.size_for(600, 15_000, target)), domain=150_000)
-        out.append(f"(SELECT {target}::DOUBLE AS target, {spec.m}::BIGINT AS m, round(avg(n / p::DOUBLE), 6) AS accuracy FROM ({base(suppliers(10), spec)} SELECT s.set_id, s.n, f.p FROM (SELECT set_id, count(*) AS n FROM sets GROUP BY ALL) s JOIN (SELECT set_id, count(*) AS p FROM found GROUP BY ALL) f USING (set_id)))")
+        out.append(f"(SELECT {target}::DOUBLE AS target, {spec.m}::BIGINT AS m, round(avg(n / p::DOUBLE), 6) AS accuracy FROM ({base(suppliers(), spec)} SELECT s.set_id, s.n, f.p FROM (SELECT set_id, count(*) AS n FROM sets GROUP BY ALL) s JOIN (SELECT set_id, count(*) AS p FROM found GROUP BY ALL) f USING (set_id)))")
     return " UNION ALL ".join(out)
 
 
@@ -203,7 +215,35 @@ def _params() -> str:
     m = _size("1000", "domain", "accuracy")
     deep = "(SELECT min(i) FROM range(0, 40) r(i) WHERE domain / pow(2.0::DOUBLE, i) <= 2 OR (domain / pow(2.0::DOUBLE, i)) / log2(domain / pow(2.0::DOUBLE, i)) <= ratio)"
     return f"""SELECT domain, accuracy, ratio, round(m)::BIGINT AS m, depth, round(domain / pow(2.0::DOUBLE, depth), 3) AS leaf, round((pow(2.0::DOUBLE, depth + 1) - 1) * m / 8 / 1048576, 3) AS mb, round((pow(2.0::DOUBLE, depth) - 2) * m / 8 / 1048576, 3) AS mb_tabulated, round(m * ln(2) / 9000, 3) AS critical_leaf
-    FROM (SELECT *, {m} AS m, {deep} AS depth FROM (SELECT d::BIGINT AS domain, a AS accuracy, q AS ratio FROM {values('d', [(d,) for d in GRID_M[1:]])}, {values('a', [(a,) for a in GRID_ACCURACY]).replace(' v(', ' w(')}, {values('q', [(120.0,), (1500.0,)]).replace(' v(', ' y(')}))"""
+    FROM (SELECT *, {m} AS m, {deep} AS depth FROM (SELECT d::BIGINT AS domain, a AS accuracy, q AS ratio FROM {values('d', [(d,) for d in GRID_M])}, {values('a', [(a,) for a in GRID_ACCURACY]).replace(' v(', ' w(')}, {values('q', [(120.0,), (1500.0,)]).replace(' v(', ' y(')}))"""
+
+
+def _start_level() -> str:
+    """The sweep from each of the upper levels; the one that counts is the first that is not nearly full."""
+    full = " + ".join(f"(1 - pow(1 - 1.0::DOUBLE / {SPEC.m}, {SPEC.k} * M / {2**at}::DOUBLE) > 0.95)::INT" for at in range(DEPTH))
+    each = (f"(SELECT q.* FROM ({base(suppliers())}{tree(SPEC, DEPTH)}{live(SPEC, DEPTH, start=at)} {sweep_ops('', SPEC, DEPTH, at)}) q, ({ORDERS}) o WHERE {full} = {at})" for at in range(4))
+    return " UNION ALL ".join(each)
+
+
+def _noreplace(sets: str, draws: int, seed: int = 1) -> str:
+    """Draws take the ids of their leaf in the order of a digest; those that find none left take unused ids of the set."""
+    head = sampling(sets, draws).rsplit(", samples AS", 1)[0]
+    return head + f""", turn AS (SELECT *, row_number() OVER (PARTITION BY set_id, idx ORDER BY draw) AS rank FROM path{DEPTH}),
+    first AS (SELECT p.set_id, p.draw, f.x, p.ands::BIGINT AS intersections, (p.probes + coalesce(o.probes, 0))::BIGINT AS memberships FROM turn p LEFT JOIN reach o ON o.set_id = p.set_id AND o.level = {DEPTH} AND o.idx = p.idx LEFT JOIN ranked f ON f.set_id = p.set_id AND f.idx = p.idx AND f.rank = p.rank),
+    spare AS (SELECT a.set_id, a.x, row_number() OVER (PARTITION BY a.set_id ORDER BY md5(concat_ws(':', '{seed}', 'spare', a.set_id, a.x)), a.x) AS rank FROM atleaf a WHERE NOT EXISTS (SELECT 1 FROM first f WHERE f.set_id = a.set_id AND f.x = a.x)),
+    short AS (SELECT *, row_number() OVER (PARTITION BY set_id ORDER BY draw) AS rank FROM first WHERE x IS NULL)
+    SELECT * FROM first WHERE x IS NOT NULL UNION ALL SELECT s.set_id, s.draw, p.x, s.intersections, s.memberships FROM short s LEFT JOIN spare p ON p.set_id = s.set_id AND p.rank = s.rank"""
+
+
+def _rejection(sets: str, draws: int, seed: int) -> str:
+    """Draws with the floored weights, thinned by the exact chance of what they hit."""
+    chain = "c0 AS (SELECT set_id, idx, 1.0::DOUBLE AS p FROM reach WHERE level = 0 AND positives > 0)"
+    for at in range(1, DEPTH + 1):
+        chain += f", c{at} AS (SELECT a.set_id, a.idx, u.p * CASE WHEN sum(weight) OVER s > 0 THEN weight / sum(weight) OVER s ELSE 1.0::DOUBLE / count(*) OVER s END AS p FROM reach a JOIN c{at - 1} u ON u.set_id = a.set_id AND a.idx // 2 = u.idx WHERE a.level = {at} AND a.positives > 0 WINDOW s AS (PARTITION BY a.set_id, a.idx // 2))"
+    head = base(sets) + tree(SPEC, DEPTH) + live(SPEC, DEPTH) + drawn(SPEC, DEPTH, draws, "floored", seed)
+    return head + f""", {chain}, pr AS (SELECT f.set_id, f.x, c.p / count(*) OVER (PARTITION BY f.set_id, f.idx) AS p FROM atleaf f JOIN c{DEPTH} c USING (set_id, idx)),
+    low AS (SELECT set_id, min(p) AS least FROM pr GROUP BY set_id)
+    SELECT s.set_id, s.draw::INT AS draw, s.x FROM samples s JOIN pr ON pr.set_id = s.set_id AND pr.x = s.x JOIN low ON low.set_id = s.set_id WHERE {_coin(seed, "s.set_id, s.draw, 'keep'")} < least / p"""
 
 
 ORACLES = {
@@ -212,7 +252,7 @@ ORACLES = {
     "q_positions_murmur3": _positions("murmur3"),
     "q_positions_md5": _positions("md5"),
     "q_filter_ones": base(suppliers()) + " SELECT set_id, count(*) AS ones FROM bits GROUP BY set_id",
-    "q_filter_words": base(suppliers(5)) + " SELECT set_id, pos FROM bits",
+    "q_filter_words": base(suppliers()) + " SELECT set_id, pos FROM bits",
     "q_membership": base(suppliers()) + " " + DIGEST,
     "q_union": base(suppliers()) + f" SELECT set_id, count(*) AS ones FROM ({PAIRED}) GROUP BY set_id",
     "q_intersection_ones": base(suppliers()) + " SELECT (a.set_id::INT // 2)::VARCHAR AS set_id, count(*) AS ones FROM bits a JOIN bits b ON a.pos = b.pos AND a.set_id::INT % 2 = 0 AND b.set_id::INT = a.set_id::INT + 1 GROUP BY ALL",
@@ -226,41 +266,45 @@ ORACLES = {
     "q_tree_pow2": _pow2() + " " + NODES,
     "q_tree_one_pass": base("SELECT 'a' AS set_id, 0::BIGINT AS x") + tree(SPEC, 4) + " SELECT level, idx, t1 AS ones FROM node",
     "q_tree_occupied_nodes": base("SELECT 'a' AS set_id, 0::BIGINT AS x", SPARSE, SPARSE_DOM, f"SELECT {_sparse('c_custkey')} AS x FROM customer") + tree(SPARSE, 12) + " SELECT level, count(*) AS n_nodes, sum(occ)::BIGINT AS occupied, sum(t1)::BIGINT AS ones FROM node GROUP BY level",
-    "q_tree_growth": base("SELECT 'a' AS set_id, 0::BIGINT AS x", SPEC, CUSTOMERS, THIRDS) + tree(SPEC, DEPTH) + " " + NODES,
+    "q_tree_growth": base("SELECT 'a' AS set_id, 0::BIGINT AS x", SPEC, CUSTOMERS, CUST_ROWS) + tree(SPEC, DEPTH) + " " + NODES,
     "q_tree_rebuild": base("SELECT 'a' AS set_id, 0::BIGINT AS x", SPEC, CUSTOMERS, LEFT) + tree(SPEC, DEPTH) + " " + NODES,
     "q_tree_truncated": base(suppliers()) + tree(SPEC, 2) + live(SPEC, 2, start=1) + " " + sweep_ops("", SPEC, 2, 1),
     "q_tree_memory": base("SELECT 'a' AS set_id, 0::BIGINT AS x") + tree(SPEC, DEPTH) + f" SELECT level, n_nodes, n_nodes * {SPEC.words * 8} AS dense_bytes, word_rows FROM (SELECT level, count(*) AS n_nodes FROM node GROUP BY level) JOIN (SELECT level, count(*) AS word_rows FROM (SELECT DISTINCT level, idx, pos // 64 FROM nodebits) GROUP BY level) USING (level)",
     "q_sample_one": sampling(suppliers(), 1) + " SELECT * FROM samples",
-    "q_sample_many_replace": sampling(suppliers(10), 20) + " SELECT * FROM samples",
-    "q_sample_paper": sampling(suppliers(10), 10, "paper", 0.0) + " SELECT * FROM samples",
-    "q_sample_exact": sampling(suppliers(10), 20, "exact") + " SELECT * FROM samples",
-    "q_sample_ops": sampling(suppliers(10), 20) + " SELECT set_id, count(*) AS draws, sum(intersections)::BIGINT AS intersections, sum(memberships)::BIGINT AS memberships FROM samples GROUP BY set_id",
+    "q_sample_many_replace": sampling(suppliers(), 20) + " SELECT * FROM samples",
+    "q_sample_paper": sampling(suppliers(), 10, "paper", 0.0) + " SELECT * FROM samples",
+    "q_sample_exact": sampling(suppliers(), 20, "exact") + " SELECT * FROM samples",
+    "q_sample_ops": sampling(suppliers(), 20) + " SELECT set_id, count(*) AS draws, sum(intersections)::BIGINT AS intersections, sum(memberships)::BIGINT AS memberships FROM samples GROUP BY set_id",
     "q_path_probability": _path_probability(),
     "q_recover_safe": base(suppliers()) + " " + DIGEST,
     "q_recover_threshold": base(suppliers()) + tree(SPEC, DEPTH) + live(SPEC, DEPTH, "paper", 15.0) + f", kept AS (SELECT f.set_id, f.x FROM found f, dom, live{DEPTH} l WHERE l.set_id = f.set_id AND l.idx = (f.x << {DEPTH}) // M) " + RECOVERY.replace("FROM found", "FROM kept"),
-    "q_recover_ops": base(parts(10)) + tree(SPEC, DEPTH) + live(SPEC, DEPTH, start=2) + " " + sweep_ops("", SPEC, DEPTH, 2),
-    "q_probe_sample": base(suppliers(10)) + " SELECT set_id, draw, arg_min(x, md5(concat_ws(':', '2', 'probe', set_id, draw, x))) AS x FROM found, range(5) d(draw) GROUP BY ALL",
+    "q_recover_ops": base(parts()) + tree(SPEC, DEPTH) + live(SPEC, DEPTH, start=2) + " " + sweep_ops("", SPEC, DEPTH, 2),
+    "q_probe_sample": base(suppliers()) + _placed("found", "x", "probe") + " SELECT set_id, draw, x FROM chosen",
+    "q_probe_reservoir": base(suppliers()) + f", walked AS (SELECT set_id, x, row_number() OVER (PARTITION BY set_id ORDER BY x) AS j FROM found) SELECT set_id, arg_max(x, j) AS x FROM walked WHERE {_coin(2, "'reservoir', set_id, x")} * j < 1 GROUP BY set_id",
     "q_probe_recover": base(suppliers()) + " " + DIGEST,
-    "q_preimage_sample": base(suppliers(10)) + ", chosen AS (SELECT set_id, draw, arg_min(pos, md5(concat_ws(':', '2', 'bit', set_id, draw, pos))) AS pos FROM bits, range(5) d(draw) GROUP BY ALL), fits AS (SELECT DISTINCT c.set_id, c.draw, f.x FROM chosen c JOIN idpos p USING (pos) JOIN found f ON f.set_id = c.set_id AND f.x = p.x) SELECT c.set_id, c.draw, c.pos, arg_min(f.x, md5(concat_ws(':', '2', 'pre', c.set_id, c.draw, f.x))) AS x FROM chosen c LEFT JOIN fits f ON f.set_id = c.set_id AND f.draw = c.draw GROUP BY ALL",
-    **{f"q_preimage_{n}": base(suppliers(5)) + " " + DIGEST for n in ("set_bits", "first_function", "unset_bits", "auto")},
+    "q_preimage_sample": base(suppliers()) + _placed("bits", "pos", "bit") + ", fits AS (SELECT DISTINCT c.set_id, c.draw, f.x FROM chosen c JOIN idpos p USING (pos) JOIN found f ON f.set_id = c.set_id AND f.x = p.x) SELECT c.set_id, c.draw, c.pos, arg_min(f.x, md5(concat_ws(':', '2', 'pre', c.set_id, c.draw, f.x))) AS x FROM chosen c LEFT JOIN fits f ON f.set_id = c.set_id AND f.draw = c.draw GROUP BY ALL",
+    **{f"q_preimage_{n}": base(suppliers()) + " " + DIGEST for n in ("set_bits", "first_function", "unset_bits", "auto")},
     "q_truth": f"SELECT set_id, count(*) AS n, sum(x)::BIGINT AS sum_x FROM ({suppliers()}) GROUP BY set_id",
     "q_precision_recall": base(suppliers()) + f" SELECT *, round(n_both / n_found::DOUBLE, 6) AS precision, round(n_both / n_true::DOUBLE, 6) AS recall FROM ({RECOVERY})",
-    "q_chi_square": sampling(parts(), 2000, "exact") + " " + chi("samples", "sets"),
-    "q_chi_square_floored": sampling(parts(), 2000) + " " + chi("samples", "sets"),
-    "w_chi_square": " UNION ALL ".join(f"(SELECT '{w}' AS weights, q.* FROM ({sampling(parts(), 2000, w)} {chi('samples', 'found')}) q)" for w in ("floored", "exact")),
-    "q_accuracy": sampling(parts(), 2000, "exact") + " SELECT s.set_id, count(*) AS draws, round(avg(CASE WHEN t.x IS NULL THEN 0 ELSE 1 END), 6) AS accuracy FROM samples s LEFT JOIN sets t ON t.set_id = s.set_id AND t.x = s.x WHERE s.x IS NOT NULL GROUP BY s.set_id",
-    "q_draw_histogram": sampling(parts(), 2000, "exact") + " SELECT set_id, (x * 10 // M + 1)::BIGINT AS bucket, count(*) AS draws FROM samples, dom WHERE x IS NOT NULL GROUP BY ALL",
+    "q_chi_square": _nation_draws("exact") + " " + chi("samples", "sets"),
+    "q_chi_square_floored": _nation_draws("floored") + " " + chi("samples", "sets"),
+    "w_chi_square": " UNION ALL ".join(f"(SELECT '{w}' AS weights, q.* FROM ({_nation_draws(w)} {chi('samples', 'found')}) q)" for w in ("paper", "floored", "exact")),
+    "q_accuracy": _nation_draws("exact") + " SELECT s.set_id, count(*) AS draws, round(avg(CASE WHEN t.x IS NULL THEN 0 ELSE 1 END), 6) AS accuracy FROM samples s LEFT JOIN sets t ON t.set_id = s.set_id AND t.x = s.x WHERE s.x IS NOT NULL GROUP BY s.set_id",
+    "q_draw_histogram": _nation_draws("exact") + " SELECT set_id, (x * 10 // M + 1)::BIGINT AS bucket, count(*) AS draws FROM samples, dom WHERE x IS NOT NULL GROUP BY ALL",
     "q_theory": _theory(),
-    "w_sample_uniform_ops": sampling(suppliers(10), 20) + " SELECT set_id, round(avg(intersections), 6) AS tree_intersections, round(avg(memberships), 6) AS tree_memberships, 0::BIGINT AS probe_intersections, any_value(M)::BIGINT AS probe_memberships FROM samples, dom GROUP BY set_id",
+    "w_sample_uniform_ops": sampling(suppliers(), 20) + " SELECT set_id, round(avg(intersections), 6) AS tree_intersections, round(avg(memberships), 6) AS tree_memberships, 0::BIGINT AS probe_intersections, any_value(M)::BIGINT AS probe_memberships FROM samples, dom GROUP BY set_id",
     "w_sample_clustered_ops": sampling(RUNS, 20) + " SELECT set_id, round(avg(intersections), 6) AS intersections, round(avg(memberships), 6) AS memberships FROM samples GROUP BY set_id",
     "w_hash_family": _hash_family(),
     "w_params_table": _params(),
     "w_measured_accuracy": _measured(),
-    "w_recover_ops": base(parts(10)) + tree(SPEC, DEPTH) + live(SPEC, DEPTH) + f" SELECT set_id, method, intersections, memberships FROM ({sweep_ops('', SPEC, DEPTH, 0, "'tree' AS method, ")}) UNION ALL SELECT set_id, 'probe', 0, M FROM filt, dom UNION ALL SELECT set_id, 'preimage', 0, memberships FROM ({PREIMAGE})",
-    "w_preimage_density": base(f"{FLAGS} UNION ALL SELECT * FROM ({suppliers(2)}) UNION ALL SELECT 'p' || set_id, x FROM ({parts(2)})") + f" SELECT set_id, ones, CASE WHEN ones * 2 <= {SPEC.m} THEN 'set' ELSE 'unset' END AS side, listed, memberships FROM (SELECT set_id, count(*) AS ones FROM bits GROUP BY ALL) JOIN ({PREIMAGE}) USING (set_id)",
-    "w_fraction_memory": _fraction(tree(SPARSE, 7) + " SELECT count(*) AS n_nodes, sum(t1)::BIGINT AS ones FROM node"),
+    "w_recover_ops": base(parts()) + tree(SPEC, DEPTH) + live(SPEC, DEPTH) + f" SELECT set_id, method, intersections, memberships FROM ({sweep_ops('', SPEC, DEPTH, 0, "'tree' AS method, ")}) UNION ALL SELECT set_id, 'probe', 0, M FROM filt, dom UNION ALL SELECT set_id, 'preimage', 0, memberships FROM ({PREIMAGE})",
+    "w_preimage_density": base(f"{FLAGS} UNION ALL SELECT * FROM ({suppliers()}) UNION ALL SELECT 'p' || set_id, x FROM ({parts()})") + f" SELECT set_id, ones, CASE WHEN ones * 2 <= {SPEC.m} THEN 'set' ELSE 'unset' END AS side, listed, memberships FROM (SELECT set_id, count(*) AS ones FROM bits GROUP BY ALL) JOIN ({PREIMAGE}) USING (set_id)",
+    "w_fraction_memory": _fraction(tree(SPARSE, PART_DEPTH) + " SELECT count(*) AS n_nodes, coalesce(sum(t1), 0)::BIGINT AS ones FROM node"),
     "w_fraction_accuracy": _fraction(f" SELECT set_id, n_true, n_found, round(n_both / nullif(n_found, 0)::DOUBLE, 6) AS precision FROM ({RECOVERY})"),
-    "w_fraction_sample": "SELECT fraction, set_id, intersections, memberships FROM (" + _fraction(tree(SPARSE, 7) + live(SPARSE, 7) + drawn(SPARSE, 7, 20, "floored") + " SELECT set_id, round(avg(intersections), 6) AS intersections, round(avg(memberships), 6) AS memberships FROM samples GROUP BY set_id", ("clustered",), FRACTIONS[:2]) + ")",
+    "w_fraction_sample": _fraction(tree(SPARSE, PART_DEPTH) + live(SPARSE, PART_DEPTH) + drawn(SPARSE, PART_DEPTH, PART_DRAWS, "floored") + " SELECT count(*) AS draws, sum(intersections)::BIGINT AS intersections, sum(memberships)::BIGINT AS memberships FROM samples", fractions=(0.1, 0.5, 1.0)),
+    "w_start_level": _start_level(),
+    "q_sample_many_noreplace": _noreplace(suppliers(), 50),
+    "q_sample_rejection": _rejection(suppliers(), 50, 3),
     "w_tag_filters": base(TAG_SETS, TAGS, "SELECT max(doc_id) + 1 AS M FROM documents") + f" SELECT set_id, n_true, n_found FROM ({RECOVERY})",
     "w_user_tags": base(USERS, TAGS, "SELECT max(user_id) + 1 AS M FROM events") + f" SELECT set_id, n_true, n_found FROM ({RECOVERY})",
     "w_adjacency": base(NATIONS, SPEC, CUSTOMERS) + " " + RECOVERY,

@@ -47,28 +47,52 @@ class Tree:
         return node_of(x, self.depth, self.domain, self.cut)
 
 
-def _rolled(leaves: DataFrame, depth: int, keys: list[str], aggs: list[Column]) -> DataFrame:
-    """All levels from the leaves up: each from the one below, with ever fewer rows."""
+#: Levels that one shuffle rolls up. Words of a level go to their ancestors on this many levels at once and are OR-ed before
+#: they move; the next shuffle starts from the topmost of these.
+AT_ONCE = 4
+
+
+def rolled(leaves: DataFrame, depth: int, keys: list[str], aggs: list[Column]) -> DataFrame:
+    """All levels from the leaves (idx, keys, values) up, a few levels a shuffle, with ever fewer rows."""
     out = level = leaves
-    for at in range(depth - 1, -1, -1):
-        level = level.withColumn("idx", F.shiftright("idx", 1)).groupBy("idx", *keys).agg(*aggs).withColumn("level", F.lit(at))
-        out = out.unionByName(level)
+    for top in range(depth, 0, -AT_ONCE):
+        ups = F.sequence(F.lit(max(0, top - AT_ONCE)), F.lit(top - 1))
+        above = level.withColumn("level", F.explode(ups)).withColumn("idx", F.call_function("shiftright", F.col("idx"), F.lit(top) - F.col("level")))
+        above = above.groupBy("level", "idx", *keys).agg(*aggs)
+        out = out.unionByName(above)
+        level = above.filter(F.col("level") == max(0, top - AT_ONCE))
     return out
 
 
-def build_tree(ids: DataFrame, spec: Spec, domain: int, depth: int, cut: str = "even") -> Tree:
-    """Tree of the ids (x) of a domain 0..domain-1: all of them, or those in use. Repeated and null ids change nothing."""
+def _range_size(idx: Column, level: Column, domain: int, cut: str) -> Column:
+    """How many ids of 0..domain-1 a node covers."""
+    if cut == "pow2":
+        shift = F.lit((domain - 1).bit_length()) - level
+        low, high = F.call_function("shiftleft", idx, shift), F.call_function("shiftleft", idx + 1, shift)
+    else:
+        two = F.call_function("shiftleft", F.lit(1).cast("long"), level)
+        first = lambda i: F.call_function("div", i * domain + two - 1, two)
+        low, high = first(idx), first(idx + 1)
+    return F.greatest(F.least(high, F.lit(domain).cast("long")) - F.least(low, F.lit(domain).cast("long")), F.lit(0).cast("long"))
+
+
+def build_tree(ids: DataFrame, spec: Spec, domain: int, depth: int, cut: str = "even", complete: bool = False) -> Tree:
+    """Tree of the ids (x) of a domain 0..domain-1: all of them (complete, as the caller says), or those in use. Repeated and null
+    ids change nothing."""
     placed = ids.filter("x is not null").select("x", node_of(F.col("x"), depth, domain, cut).alias("idx"))
     leaves = stored(words_by(placed, ["idx"], spec).withColumn("level", F.lit(depth)), "leaves")
-    words = stored(_rolled(leaves, depth, ["word_no"], [F.bit_or("bits").alias("bits")]), "tree")
-    held = placed.distinct().groupBy("idx").agg(F.count("*").alias("occupied")).withColumn("level", F.lit(depth))
-    occupied = _rolled(held, depth, [], [F.sum("occupied").alias("occupied")])
+    words = stored(rolled(leaves, depth, ["word_no"], [F.bit_or("bits").alias("bits")]), "tree")
     set_bits = words.groupBy("level", "idx").agg(F.sum(F.bit_count("bits")).cast("long").alias("ones"))
-    return Tree(spec, domain, depth, words, stored(occupied.join(set_bits, ["level", "idx"]).select("level", "idx", "occupied", "ones"), "nodes"), cut)
+    if complete:
+        nodes = set_bits.withColumn("occupied", _range_size(F.col("idx"), F.col("level"), domain, cut))
+    else:
+        held = placed.distinct().groupBy("idx").agg(F.count("*").alias("occupied")).withColumn("level", F.lit(depth))
+        nodes = rolled(held, depth, [], [F.sum("occupied").alias("occupied")]).join(set_bits, ["level", "idx"])
+    return Tree(spec, domain, depth, words, stored(nodes.select("level", "idx", "occupied", "ones"), "nodes"), cut)
 
 
 def complete_tree(spark: SparkSession, spec: Spec, domain: int, depth: int, cut: str = "even") -> Tree:
-    return build_tree(spark.range(domain).select(F.col("id").alias("x")), spec, domain, depth, cut)
+    return build_tree(spark.range(domain).select(F.col("id").alias("x")), spec, domain, depth, cut, complete=True)
 
 
 def one_pass_words(ids: DataFrame, spec: Spec, domain: int, depth: int) -> DataFrame:
@@ -97,10 +121,10 @@ def rebuild_range(tree: Tree, ids: DataFrame, low: int, high: int) -> Tree:
     redone = words_by(ids.filter("x is not null").withColumn("idx", leaf).filter(F.col("idx").between(first, last)), ["idx"], tree.spec)
     kept = tree.level(tree.depth).filter(~F.col("idx").between(first, last))
     leaves = stored(kept.unionByName(redone).withColumn("level", F.lit(tree.depth)), "leaves")
-    words = stored(_rolled(leaves, tree.depth, ["word_no"], [F.bit_or("bits").alias("bits")]), "tree")
+    words = stored(rolled(leaves, tree.depth, ["word_no"], [F.bit_or("bits").alias("bits")]), "tree")
     held = ids.filter("x is not null").distinct().groupBy(leaf.alias("idx")).agg(F.count("*").alias("occupied")).withColumn("level", F.lit(tree.depth))
     set_bits = words.groupBy("level", "idx").agg(F.sum(F.bit_count("bits")).cast("long").alias("ones"))
-    occupied = _rolled(held, tree.depth, [], [F.sum("occupied").alias("occupied")])
+    occupied = rolled(held, tree.depth, [], [F.sum("occupied").alias("occupied")])
     return replace(tree, words=words, nodes=stored(occupied.join(set_bits, ["level", "idx"]).select("level", "idx", "occupied", "ones"), "nodes"))
 
 

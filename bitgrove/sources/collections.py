@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import hashlib
+import random
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -27,14 +30,12 @@ def pairs(rows: DataFrame, set_id: Column | str, x: Column | str) -> DataFrame:
     return rows.select(s.cast("string").alias("set_id"), v.cast("long").alias("x")).filter("x is not null and set_id is not null").distinct()
 
 
-def orders_by_supplier(spark, sf_dir, most: int | None = 20):
-    """The suppliers below most, as the SQL twins have them; None: every supplier."""
-    rows = table(spark, sf_dir, "lineitem")
-    return pairs(rows if most is None else rows.filter(F.col("l_suppkey") < most), "l_suppkey", "l_orderkey")
+def orders_by_supplier(spark, sf_dir):
+    return pairs(table(spark, sf_dir, "lineitem"), "l_suppkey", "l_orderkey")
 
 
-def orders_by_part(spark, sf_dir, most: int = 3):
-    return pairs(table(spark, sf_dir, "lineitem").filter(F.col("l_partkey") < most), "l_partkey", "l_orderkey")
+def orders_by_part(spark, sf_dir):
+    return pairs(table(spark, sf_dir, "lineitem"), "l_partkey", "l_orderkey")
 
 
 def orders_by_flag(spark, sf_dir):
@@ -80,16 +81,22 @@ def sparse_id(x: Column) -> Column:
     return F.pmod(x * 48271 + 11, F.lit(SPARSE_DOMAIN))
 
 
-def domain_part(x: Column, fraction: float, layout: str, domain: int = SPARSE_DOMAIN) -> Column:
-    """Whether an id lies in the kept ones of 256 equal ranges: the first ('clustered'), or those of smallest digest."""
-    keep = int(256 * fraction + 0.5)
-    part = F.call_function("div", F.shiftleft(x, 8), F.lit(domain).cast("long"))
+def kept_ranges(fraction: float, layout: str, ranges: int = 256) -> list[int]:
+    """The ranges of a domain part: those of smallest digest ('uniform'), or drawn as clustered sets are ('clustered')."""
+    keep = int(ranges * fraction + 0.5)
     if layout == "clustered":
-        return part < keep
-    import hashlib
+        return sorted(ClusteredDraws(ranges, 10.0, 42).drawn(keep))
+    return sorted(sorted(range(ranges), key=lambda r: hashlib.md5(str(r).encode()).hexdigest())[:keep])
+
 
-    chosen = sorted(range(256), key=lambda r: hashlib.md5(str(r).encode()).hexdigest())[:keep]
-    return part.isin(chosen)
+def range_of(x: Column, domain: int = SPARSE_DOMAIN, bits: int = 8) -> Column:
+    """Which of the 2**bits equal ranges of the domain holds x."""
+    return F.call_function("div", F.shiftleft(x, bits), F.lit(domain).cast("long"))
+
+
+def domain_part(x: Column, fraction: float, layout: str, domain: int = SPARSE_DOMAIN) -> Column:
+    """Whether an id lies in the kept ones of 256 equal ranges."""
+    return range_of(x, domain).isin(kept_ranges(fraction, layout))
 
 
 def uniform_set(spark: SparkSession, domain: int, n: int, seed: int = 42) -> DataFrame:
@@ -98,43 +105,126 @@ def uniform_set(spark: SparkSession, domain: int, n: int, seed: int = 42) -> Dat
     return keyed.orderBy("key").limit(n).select(F.lit("u").alias("set_id"), "x")
 
 
+class ClusteredDraws:
+    """Draws without replacement that cluster: a drawn id leaves half of its probability to the nearest undrawn id on each side
+    (all of it, if there is one side only); then every id gives p per cent of its probability, which those two share alike.
+
+    Ids that never neighboured a drawn one all have one probability, so only the others are kept: their surplus over it, in a
+    tree of partial sums, times a common factor that the p per cent shrink. A draw costs the logarithm of the draws so far,
+    whatever the domain."""
+
+    def __init__(self, domain: int, p: float, seed: int):
+        self.domain, self.keep, self.rng = domain, 1 - p / 100, random.Random(seed)
+        self.base, self.factor, self.n = 1.0, 1.0, 0
+        self.ids: list[int] = []
+        self.place: dict[int, int] = {}
+        self.tree = [0.0, 0.0]
+        self.beside = {-1: {}, 1: {}}
+        self.gone: set[int] = set()
+
+    def _surplus(self, place: int) -> float:
+        """Surplus at a place, before the factor."""
+        value, at, low = self.tree[place], place - 1, place - (place & -place)
+        while at > low:
+            value -= self.tree[at]
+            at -= at & -at
+        return max(value, 0.0)
+
+    def _add(self, place: int, by: float) -> None:
+        while place < len(self.tree):
+            self.tree[place] += by
+            place += place & -place
+
+    def _grow(self, x: int, by: float) -> None:
+        if (at := self.place.get(x)) is None:
+            if len(self.ids) + 1 >= len(self.tree):
+                old = [self._surplus(i) for i in range(1, len(self.ids) + 1)]
+                self._fill(old, 2 * len(self.tree))
+            self.ids.append(x)
+            at = self.place[x] = len(self.ids)
+        self._add(at, by / self.factor)
+
+    def _fill(self, values: list[float], size: int) -> None:
+        self.tree = [0.0, *values] + [0.0] * (size - len(values) - 1)
+        for i in range(1, size):
+            if (up := i + (i & -i)) < size:
+                self.tree[up] += self.tree[i]
+
+    def _next(self, x: int, step: int) -> int | None:
+        """The nearest undrawn id on one side; walked ways are shortened."""
+        skip, way, at = self.beside[step], [], x + step
+        while at in self.gone:
+            way.append(at)
+            at = skip.get(at, at + step)
+        for w in way:
+            skip[w] = at
+        return at if 0 <= at < self.domain else None
+
+    def mass(self, x: int) -> float:
+        """Unscaled probability of an id; all add up to the size of the domain."""
+        return 0.0 if x in self.gone else self.base + (self._surplus(self.place[x]) * self.factor if x in self.place else 0.0)
+
+    def _pick(self) -> int:
+        plain = self.base * (self.domain - len(self.gone))
+        extra = self._total() * self.factor
+        u = self.rng.random() * (plain + extra)
+        if u >= plain and extra > 0:
+            u, at, step = (u - plain) / self.factor, 0, len(self.tree) >> 1
+            while step:
+                if at + step < len(self.tree) and self.tree[at + step] <= u:
+                    at += step
+                    u -= self.tree[at]
+                step >>= 1
+            x = self.ids[min(at, len(self.ids) - 1)]
+            if x not in self.gone:
+                return x
+        for _ in range(64):
+            if (x := self.rng.randrange(self.domain)) not in self.gone:
+                return x
+        # Nearly all are drawn: the undrawn ones are few enough to list.
+        return self.rng.choice([x for x in range(self.domain) if x not in self.gone])
+
+    def _total(self) -> float:
+        total, at = 0.0, len(self.tree) - 1
+        while at:
+            total += self.tree[at]
+            at -= at & -at
+        return total
+
+    def take(self, x: int) -> None:
+        """Takes x out and moves probabilities."""
+        own = self.mass(x)
+        if x in self.place:
+            self._add(self.place[x], -self._surplus(self.place[x]))
+        self.gone.add(x)
+        near = [v for v in (self._next(x, -1), self._next(x, 1)) if v is not None]
+        for v in near:
+            self._grow(v, own / len(near))
+        if self.keep < 1 and near:
+            self.base *= self.keep
+            self.factor *= self.keep
+            for v in near:
+                self._grow(v, self.domain * (1 - self.keep) / len(near))
+            if self.factor < 1e-100:
+                values = [self._surplus(i) * self.factor for i in range(1, len(self.ids) + 1)]
+                self.factor = 1.0
+                self._fill(values, len(self.tree))
+
+    def drawn(self, n: int) -> list[int]:
+        out = []
+        for _ in range(min(n, self.domain)):
+            out.append(self._pick())
+            self.take(out[-1])
+        return out
+
+
 def clustered_set(spark: SparkSession, domain: int, n: int, sets: int = 1, p: float = 10.0, seed: int = 42) -> DataFrame:
-    """Sets drawn one id after another: half of a drawn id's mass goes to each nearest undrawn neighbour, and after every
-    fiftieth draw each id gives p per cent of its mass to its two neighbours (p = 0: none). One task per set; (set_id, x)."""
+    """Sets of clustered draws, one task per set, in memory that follows n alone; (set_id, x)."""
     import pandas as pd
 
     def make(pdf: pd.DataFrame) -> pd.DataFrame:
-        import numpy as np
-
         s = int(pdf.s[0])
-        rng = np.random.default_rng(seed + s)
-        mass, left, right = np.ones(domain), np.arange(domain) - 1, np.arange(domain) + 1
-        alive, out = np.ones(domain, bool), []
-        for _ in range(min(n, domain)):
-            total = np.cumsum(mass)
-            x = int(np.searchsorted(total, rng.random() * total[-1], "right"))
-            x = min(x, domain - 1)
-            while not alive[x]:
-                x = int(right[x]) if right[x] < domain else int(left[x])
-            out.append(x)
-            a, b, w = int(left[x]), int(right[x]), mass[x]
-            alive[x], mass[x] = False, 0.0
-            near = [v for v in (a, b) if 0 <= v < domain]
-            for v in near:
-                mass[v] += w / len(near)
-            if a >= 0:
-                right[a] = b
-            if b < domain:
-                left[b] = a
-            if p and len(out) % 50 == 0:
-                on = np.flatnonzero(alive)
-                give = mass[on] * p / 100
-                spread = mass[on] - give
-                spread[1:] += give[:-1] / 2
-                spread[:-1] += give[1:] / 2
-                spread[0] += give[0] / 2
-                spread[-1] += give[-1] / 2
-                mass[on] = spread
+        out = ClusteredDraws(domain, p, seed + s).drawn(n)
         return pd.DataFrame({"set_id": [f"c{s}"] * len(out), "x": out})
 
     return spark.range(sets).withColumnRenamed("id", "s").groupBy("s").applyInPandas(make, "set_id string, x long")

@@ -52,8 +52,7 @@ def op_range_join(spark, sf_dir):
 def op_asof(spark, sf_dir):
     """For each purchase the last earlier view of the user, by one window over both."""
     e = _t(spark, sf_dir, "events").select("user_id", "ts", "event_id", "event_type")
-    kinds = [r[0] for r in e.select("event_type").distinct().orderBy("event_type").limit(100).collect()]
-    left, right = kinds[0], kinds[-1]
+    left, right = e.agg(F.min("event_type"), F.max("event_type")).first()
     before = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)
     seen = e.filter(F.col("event_type").isin(left, right)).withColumn("last", F.last(F.when(F.col("event_type") == right, F.col("event_id")), ignorenulls=True).over(before))
     return seen.filter(F.col("event_type") == left).select("event_id", F.col("last").alias("last_id"))
@@ -108,7 +107,7 @@ def op_grouping_sets(spark, sf_dir):
 
 
 def op_pivot_accuracy(spark, sf_dir):
-    li = _t(spark, sf_dir, "lineitem").filter("l_suppkey < 10")
+    li = _t(spark, sf_dir, "lineitem")
     return li.groupBy("l_suppkey").pivot("l_returnflag", ["A", "N", "R"]).agg(F.count("l_orderkey")).select("l_suppkey", *(F.coalesce(F.col(c), F.lit(0)).alias(f"n_{c.lower()}") for c in "ANR"))
 
 
@@ -120,7 +119,7 @@ def op_rank_estimates(spark, sf_dir):
 
 def op_neighbour_gap(spark, sf_dir):
     w = Window.partitionBy("set_id").orderBy("x")
-    gaps = C.orders_by_supplier(spark, sf_dir, 5).select("set_id", "x", (F.col("x") - F.lag("x").over(w)).alias("before"), (F.lead("x").over(w) - F.col("x")).alias("after"), F.nth_value("x", 2).over(w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("second"))
+    gaps = C.orders_by_supplier(spark, sf_dir).select("set_id", "x", (F.col("x") - F.lag("x").over(w)).alias("before"), (F.lead("x").over(w) - F.col("x")).alias("after"), F.nth_value("x", 2).over(w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("second"))
     return gaps.groupBy("set_id").agg(F.max("before").alias("widest"), F.min("after").alias("closest"), F.max("second").alias("second"))
 
 
@@ -139,7 +138,7 @@ def op_topk_sets(spark, sf_dir):
 
 def _two(spark, sf_dir):
     li = _t(spark, sf_dir, "lineitem")
-    return (li.filter(f"l_suppkey = {s}").select("l_orderkey") for s in (0, 1))
+    return (li.filter(F.col("l_returnflag") == s).select("l_orderkey") for s in ("A", "R"))
 
 
 def op_set_union(spark, sf_dir):
@@ -183,13 +182,13 @@ def op_theory_scalars(spark, sf_dir):
 
 
 def op_array_sets(spark, sf_dir):
-    sets = C.orders_by_supplier(spark, sf_dir, 5).groupBy("set_id").agg(F.sort_array(F.collect_set("x")).alias("xs"))
+    sets = C.orders_by_supplier(spark, sf_dir).groupBy("set_id").agg(F.sort_array(F.collect_set("x")).alias("xs"))
     return sets.select("set_id", F.size("xs").cast("long").alias("n"), F.element_at("xs", 1).alias("low"), F.aggregate("xs", F.lit(0).cast("long"), lambda a, x: a + x % 97).alias("checksum"), F.array_contains("xs", 5).alias("has_5"), F.size(F.filter("xs", lambda x: x % 2 == 0)).cast("long").alias("even"))
 
 
 def op_map_words(spark, sf_dir):
     """Filters as maps from word number to bits: how many words, and how many with more than 32 bits set."""
-    words = L.build_filters(C.orders_by_supplier(spark, sf_dir, 5), SPEC)
+    words = L.build_filters(C.orders_by_supplier(spark, sf_dir), SPEC)
     maps = words.groupBy("set_id").agg(F.map_from_entries(F.collect_list(F.struct("word_no", "bits"))).alias("m"))
     return maps.select("set_id", F.size(F.map_keys("m")).cast("long").alias("words"), F.size(F.map_filter("m", lambda k, v: F.bit_count(v) > 12)).cast("long").alias("crowded"))
 
@@ -218,7 +217,7 @@ def op_string_keys(spark, sf_dir):
 
 QUERIES = {name: f for name, f in list(globals().items()) if name.startswith("op_")}
 
-_LI = "SELECT l_orderkey FROM lineitem WHERE l_suppkey = {}"
+_LI = "SELECT l_orderkey FROM lineitem WHERE l_returnflag = '{}'"
 _LEAF = "((x << 5) // (SELECT max(o_orderkey) + 1 FROM orders))"
 ORACLES = {
     "op_scan_prune": "SELECT o_orderkey, o_custkey FROM orders WHERE o_orderkey BETWEEN 100 AND 199",
@@ -235,21 +234,21 @@ ORACLES = {
     "op_cube_metrics": "SELECT o_orderstatus, o_orderpriority, count(*) AS n, grouping_id(o_orderstatus, o_orderpriority)::BIGINT AS g FROM orders GROUP BY CUBE (o_orderstatus, o_orderpriority)",
     "op_rollup_levels": "SELECT n_regionkey, n_nationkey, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY ROLLUP (n_regionkey, n_nationkey)",
     "op_grouping_sets": "SELECT l_returnflag, l_linenumber, count(*) AS n FROM lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linenumber), ())",
-    "op_pivot_accuracy": "SELECT l_suppkey, count(*) FILTER (l_returnflag = 'A') AS n_a, count(*) FILTER (l_returnflag = 'N') AS n_n, count(*) FILTER (l_returnflag = 'R') AS n_r FROM lineitem WHERE l_suppkey < 10 GROUP BY l_suppkey",
+    "op_pivot_accuracy": "SELECT l_suppkey, count(*) FILTER (l_returnflag = 'A') AS n_a, count(*) FILTER (l_returnflag = 'N') AS n_n, count(*) FILTER (l_returnflag = 'R') AS n_r FROM lineitem GROUP BY l_suppkey",
     "op_rank_estimates": f"SELECT set_id, n, (row_number() OVER (ORDER BY n DESC, set_id))::INT AS position, (rank() OVER (ORDER BY n DESC))::INT AS rank, (dense_rank() OVER (ORDER BY n DESC))::INT AS dense, (ntile(4) OVER (ORDER BY n DESC, set_id))::INT AS quarter, round(percent_rank() OVER (ORDER BY n DESC), 6) AS share, round(cume_dist() OVER (ORDER BY n DESC), 6) AS upto FROM (SELECT set_id, count(*) AS n FROM ({suppliers()}) GROUP BY set_id)",
-    "op_neighbour_gap": f"SELECT set_id, max(x - p) AS widest, min(q - x) AS closest, max(s) AS second FROM (SELECT set_id, x, lag(x) OVER w AS p, lead(x) OVER w AS q, nth_value(x, 2) OVER (PARTITION BY set_id ORDER BY x ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS s FROM ({suppliers(5)}) WINDOW w AS (PARTITION BY set_id ORDER BY x)) GROUP BY set_id",
+    "op_neighbour_gap": f"SELECT set_id, max(x - p) AS widest, min(q - x) AS closest, max(s) AS second FROM (SELECT set_id, x, lag(x) OVER w AS p, lead(x) OVER w AS q, nth_value(x, 2) OVER (PARTITION BY set_id ORDER BY x ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS s FROM ({suppliers()}) WINDOW w AS (PARTITION BY set_id ORDER BY x)) GROUP BY set_id",
     "op_running_occupancy": f"SELECT leaf, n, (sum(n) OVER (ORDER BY leaf ROWS UNBOUNDED PRECEDING))::BIGINT AS upto, (sum(n) OVER (ORDER BY leaf RANGE BETWEEN 2 PRECEDING AND 2 FOLLOWING))::BIGINT AS around FROM (SELECT {_LEAF} AS leaf, count(*) AS n FROM (SELECT DISTINCT l_orderkey AS x FROM lineitem) GROUP BY leaf)",
     "op_topk_sets": "SELECT l_partkey::VARCHAR AS set_id, count(DISTINCT l_orderkey) AS n FROM lineitem GROUP BY l_partkey ORDER BY n DESC, set_id LIMIT 10",
-    "op_set_union": f"SELECT l_orderkey, count(*) AS n FROM ({_LI.format(0)} UNION ALL {_LI.format(1)}) GROUP BY l_orderkey",
-    "op_set_intersect": f"SELECT l_orderkey, count(*) AS n FROM ({_LI.format(0)} INTERSECT ALL {_LI.format(1)}) GROUP BY l_orderkey",
-    "op_set_except": f"SELECT l_orderkey, count(*) AS n FROM ({_LI.format(0)} EXCEPT ALL {_LI.format(1)}) GROUP BY l_orderkey",
+    "op_set_union": f"SELECT l_orderkey, count(*) AS n FROM ({_LI.format('A')} UNION ALL {_LI.format('R')}) GROUP BY l_orderkey",
+    "op_set_intersect": f"SELECT l_orderkey, count(*) AS n FROM ({_LI.format('A')} INTERSECT ALL {_LI.format('R')}) GROUP BY l_orderkey",
+    "op_set_except": f"SELECT l_orderkey, count(*) AS n FROM ({_LI.format('A')} EXCEPT ALL {_LI.format('R')}) GROUP BY l_orderkey",
     "op_stratified_sample": "SELECT o_orderstatus, o_orderkey FROM orders QUALIFY row_number() OVER (PARTITION BY o_orderstatus ORDER BY md5(o_orderkey::VARCHAR)) <= 10",
     "op_tokens": "SELECT t AS set_id, count(DISTINCT doc_id) AS n FROM (SELECT doc_id, unnest(regexp_split_to_array(lower(text), '[^a-z]+')) AS t FROM documents) WHERE t <> '' GROUP BY t HAVING count(DISTINCT doc_id) >= 0.05 * (SELECT count(*) FROM documents)",
     "op_page_hosts": "SELECT regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS set_id, count(DISTINCT page_id) AS n FROM pages GROUP BY 1",
     "op_day_sets": "SELECT event_type || '/' || strftime(ts, '%Y-%m-%d') AS set_id, count(DISTINCT user_id) AS n, min(user_id) AS low, max(user_id) AS high FROM events WHERE user_id IS NOT NULL GROUP BY 1",
     "op_theory_scalars": f"SELECT set_id, round(pow(1 - exp(-3.0::DOUBLE * n / {SPEC.m}), 3), 9) AS fp, round(1 - exp(9.0::DOUBLE * n * ln(1 - 1.0::DOUBLE / {SPEC.m})), 9) AS overlap, round(ln(({SPEC.m}::DOUBLE - n) / {SPEC.m}) / (3 * ln(1 - 1.0::DOUBLE / {SPEC.m})), 6) AS size, {sql_positions(SPEC, 'n')[0]} AS first FROM (SELECT set_id, count(*) AS n FROM ({suppliers()}) GROUP BY set_id)",
-    "op_array_sets": f"SELECT set_id, count(*) AS n, min(x) AS low, sum(x % 97)::BIGINT AS checksum, bool_or(x = 5) AS has_5, count(*) FILTER (x % 2 = 0) AS even FROM ({suppliers(5)}) GROUP BY set_id",
-    "op_map_words": base(suppliers(5)) + " SELECT set_id, count(*) AS words, count(*) FILTER (n > 12) AS crowded FROM (SELECT set_id, pos // 64, count(*) AS n FROM bits GROUP BY ALL) GROUP BY set_id",
+    "op_array_sets": f"SELECT set_id, count(*) AS n, min(x) AS low, sum(x % 97)::BIGINT AS checksum, bool_or(x = 5) AS has_5, count(*) FILTER (x % 2 = 0) AS even FROM ({suppliers()}) GROUP BY set_id",
+    "op_map_words": base(suppliers()) + " SELECT set_id, count(*) AS words, count(*) FILTER (n > 12) AS crowded FROM (SELECT set_id, pos // 64, count(*) AS n FROM bits GROUP BY ALL) GROUP BY set_id",
     "op_json_sets": "SELECT json_extract_string(props, '$.k') AS set_id, count(DISTINCT user_id) AS n FROM events WHERE user_id IS NOT NULL GROUP BY 1",
     "op_window_filters": f"SELECT event_type, day, count(DISTINCT pos) AS ones FROM (SELECT event_type, strftime(ts, '%Y-%m-%d') AS day, unnest([{', '.join(sql_positions(TAGS, 'user_id'))}]) AS pos FROM events WHERE user_id IS NOT NULL) GROUP BY ALL",
     "op_size_estimate": base(suppliers()) + f" SELECT set_id, round(ln(({SPEC.m}::DOUBLE - ones) / {SPEC.m}) / (3 * ln(1 - 1.0::DOUBLE / {SPEC.m})), 6) AS by_filter, exact, true AS sketch_near FROM (SELECT set_id, count(*) AS ones FROM bits GROUP BY ALL) JOIN (SELECT set_id, count(*) AS exact FROM sets GROUP BY ALL) USING (set_id)",

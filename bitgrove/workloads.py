@@ -34,8 +34,8 @@ def _orders(spark, sf_dir):
     return domain, C.all_ids(spark, domain)
 
 
-def _suppliers(spark, sf_dir, most=20, spec=SPEC):
-    pairs = C.orders_by_supplier(spark, sf_dir, most)
+def _suppliers(spark, sf_dir, spec=SPEC):
+    pairs = C.orders_by_supplier(spark, sf_dir)
     return pairs, L.build_filters(pairs, spec)
 
 
@@ -46,8 +46,8 @@ def _rows(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every supplier's order set recovered from its filter by the pruned sweep: set_id, n_true, n_found, n_both, precision, recall."""
     domain, ids = _orders(spark, sf_dir)
-    pairs, words = _suppliers(spark, sf_dir, None)
-    return M.recovery(recover(words, X.build_tree(ids, SPEC, domain, DEPTH), ids), pairs)
+    pairs, words = _suppliers(spark, sf_dir)
+    return M.recovery(recover(words, X.build_tree(ids, SPEC, domain, DEPTH, complete=True), ids), pairs)
 
 
 # Filter layer
@@ -66,7 +66,7 @@ def q_filter_ones(spark, sf_dir):
 
 
 def q_filter_words(spark, sf_dir):
-    return L.set_bits(_suppliers(spark, sf_dir, 5)[1])
+    return L.set_bits(_suppliers(spark, sf_dir)[1])
 
 
 def q_membership(spark, sf_dir):
@@ -134,7 +134,7 @@ def q_leaf_choice(spark, sf_dir):
 
 def q_tree_complete_ones(spark, sf_dir):
     domain, ids = _orders(spark, sf_dir)
-    return X.build_tree(ids, SPEC, domain, DEPTH).nodes.select(F.col("level").cast("long").alias("level"), "idx", "occupied", "ones")
+    return X.build_tree(ids, SPEC, domain, DEPTH, complete=True).nodes.select(F.col("level").cast("long").alias("level"), "idx", "occupied", "ones")
 
 
 def _sparse_orders(spark, sf_dir):
@@ -148,7 +148,7 @@ def q_tree_occupied_nodes(spark, sf_dir):
 
 def q_tree_pow2(spark, sf_dir):
     domain, ids = _orders(spark, sf_dir)
-    return X.build_tree(ids, SPEC, domain, DEPTH, "pow2").nodes.select(F.col("level").cast("long").alias("level"), "idx", "occupied", "ones")
+    return X.build_tree(ids, SPEC, domain, DEPTH, "pow2", complete=True).nodes.select(F.col("level").cast("long").alias("level"), "idx", "occupied", "ones")
 
 
 def q_tree_one_pass(spark, sf_dir):
@@ -161,7 +161,7 @@ def q_tree_growth(spark, sf_dir):
     domain = C.domain_of(spark, sf_dir, "customer", "c_custkey")
     ids = C.table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("x"))
     old = X.build_tree(ids.filter("x % 3 = 0"), SPEC, domain, DEPTH)
-    return X.grow(old, ids.filter("x % 3 = 1")).nodes.select(F.col("level").cast("long").alias("level"), "idx", "occupied", "ones")
+    return X.grow(old, ids.filter("x % 3 <> 0")).nodes.select(F.col("level").cast("long").alias("level"), "idx", "occupied", "ones")
 
 
 def q_tree_rebuild(spark, sf_dir):
@@ -174,23 +174,23 @@ def q_tree_rebuild(spark, sf_dir):
 def q_tree_truncated(spark, sf_dir):
     domain, ids = _orders(spark, sf_dir)
     words = _suppliers(spark, sf_dir)[1]
-    cut = X.truncated(X.build_tree(ids, SPEC, domain, DEPTH), 2)
+    cut = X.truncated(X.build_tree(ids, SPEC, domain, DEPTH, complete=True), 2)
     return recover_ops(mark(words, cut, start=1), cut)
 
 
 def q_tree_memory(spark, sf_dir):
     domain, ids = _orders(spark, sf_dir)
-    return X.tree_memory(X.build_tree(ids, SPEC, domain, DEPTH))
+    return X.tree_memory(X.build_tree(ids, SPEC, domain, DEPTH, complete=True))
 
 
 # Sampling
 
 
-def _sampled(weights, draws, most=10, replace=True, tau=None):
+def _sampled(weights, draws, replace=True, tau=None):
     def query(spark, sf_dir):
         domain, ids = _orders(spark, sf_dir)
-        words = _suppliers(spark, sf_dir, most)[1]
-        out = sample_sets(words, X.build_tree(ids, SPEC, domain, DEPTH), ids, draws, 1, weights, tau, replace)
+        words = _suppliers(spark, sf_dir)[1]
+        out = sample_sets(words, X.build_tree(ids, SPEC, domain, DEPTH, complete=True), ids, draws, 1, weights, tau, replace)
         return out.select("set_id", F.col("draw").cast("long").alias("draw"), "x", F.col("intersections").cast("long").alias("intersections"), F.col("memberships").cast("long").alias("memberships"))
 
     return query
@@ -203,16 +203,14 @@ def q_sample_ops(spark, sf_dir):
 
 def q_sample_rejection(spark, sf_dir):
     domain, ids = _orders(spark, sf_dir)
-    words = _suppliers(spark, sf_dir, None)[1]
-    p = stored(path_probabilities(words, X.build_tree(ids, SPEC, domain, DEPTH), ids, "exact"), "p")
-    return rejected_to_uniform(p, 50, 3)
+    return rejected_to_uniform(_suppliers(spark, sf_dir)[1], X.build_tree(ids, SPEC, domain, DEPTH, complete=True), ids, 50, 3)
 
 
 def q_path_probability(spark, sf_dir):
     """Exact distance from uniform over the positives, per kind of weight."""
     domain, ids = _orders(spark, sf_dir)
-    words = _suppliers(spark, sf_dir, 10)[1]
-    tree = X.build_tree(ids, SPEC, domain, DEPTH)
+    words = _suppliers(spark, sf_dir)[1]
+    tree = X.build_tree(ids, SPEC, domain, DEPTH, complete=True)
     found = stored(B.probe_recover(ids, words, SPEC), "found")
     out = None
     for weights, tau in (("paper", 0.0), ("floored", None), ("exact", None)):
@@ -231,30 +229,30 @@ def _digest(found):
 def q_recover_safe(spark, sf_dir):
     domain, ids = _orders(spark, sf_dir)
     words = _suppliers(spark, sf_dir)[1]
-    return _digest(recover(words, X.build_tree(ids, SPEC, domain, DEPTH), ids))
+    return _digest(recover(words, X.build_tree(ids, SPEC, domain, DEPTH, complete=True), ids))
 
 
 def q_recover_threshold(spark, sf_dir):
     domain, ids = _orders(spark, sf_dir)
     pairs, words = _suppliers(spark, sf_dir)
-    return M.recovery(recover(words, X.build_tree(ids, SPEC, domain, DEPTH), ids, tau=15.0, start=0), pairs).select("set_id", "n_true", "n_found", "n_both")
+    return M.recovery(recover(words, X.build_tree(ids, SPEC, domain, DEPTH, complete=True), ids, tau=15.0, start=0), pairs).select("set_id", "n_true", "n_found", "n_both")
 
 
 def q_recover_ops(spark, sf_dir):
     domain, ids = _orders(spark, sf_dir)
-    pairs = C.orders_by_part(spark, sf_dir, 10)
-    tree = X.build_tree(ids, SPEC, domain, DEPTH)
+    pairs = C.orders_by_part(spark, sf_dir)
+    tree = X.build_tree(ids, SPEC, domain, DEPTH, complete=True)
     return recover_ops(mark(L.build_filters(pairs, SPEC), tree, start=2), tree)
 
 
 def q_probe_sample(spark, sf_dir):
     domain, ids = _orders(spark, sf_dir)
-    return B.probe_sample(ids, _suppliers(spark, sf_dir, 10)[1], SPEC, 5, 2).select("set_id", F.col("draw").cast("long").alias("draw"), "x")
+    return B.probe_sample(ids, _suppliers(spark, sf_dir)[1], SPEC, 5, 2).select("set_id", F.col("draw").cast("long").alias("draw"), "x")
 
 
 def q_probe_reservoir(spark, sf_dir):
     domain, ids = _orders(spark, sf_dir)
-    return B.probe_reservoir(B.probe_recover(ids, _suppliers(spark, sf_dir, None)[1], SPEC), 2)
+    return B.probe_reservoir(B.probe_recover(ids, _suppliers(spark, sf_dir)[1], SPEC), 2)
 
 
 def q_probe_recover(spark, sf_dir):
@@ -264,13 +262,13 @@ def q_probe_recover(spark, sf_dir):
 
 def q_preimage_sample(spark, sf_dir):
     domain = C.domain_of(spark, sf_dir)
-    return B.preimage_sample(_suppliers(spark, sf_dir, 10)[1], SPEC, domain, 5, 2).select("set_id", F.col("draw").cast("long").alias("draw"), "pos", "x")
+    return B.preimage_sample(_suppliers(spark, sf_dir)[1], SPEC, domain, 5, 2).select("set_id", F.col("draw").cast("long").alias("draw"), "pos", "x")
 
 
-def _preimage(bits, functions="all", most=5):
+def _preimage(bits, functions="all"):
     def query(spark, sf_dir):
         domain, ids = _orders(spark, sf_dir)
-        return _digest(B.preimage_recover(_suppliers(spark, sf_dir, most)[1], SPEC, domain, ids, bits, functions))
+        return _digest(B.preimage_recover(_suppliers(spark, sf_dir)[1], SPEC, domain, ids, bits, functions))
 
     return query
 
@@ -282,28 +280,40 @@ def q_truth(spark, sf_dir):
 # Measures
 
 
-def _draws_of_parts(spark, sf_dir, weights):
-    domain, ids = _orders(spark, sf_dir)
-    pairs = C.orders_by_part(spark, sf_dir)
-    samples = sample_sets(L.build_filters(pairs, SPEC), X.build_tree(ids, SPEC, domain, DEPTH), ids, 2000, 1, weights)
-    return domain, pairs, samples
+#: Draws per member of the uniformity test.
+ROUNDS = 130
+#: Filters of customers by nation, sized for 60 of 1,500.
+NATIONS = make_spec(950, domain=150_000)
+
+
+def _nations(spark, sf_dir):
+    domain = C.domain_of(spark, sf_dir, "customer", "c_custkey")
+    return domain, C.all_ids(spark, domain), C.customers_by_nation(spark, sf_dir)
+
+
+def _draws_of_nations(spark, sf_dir, weights):
+    """ROUNDS draws for each customer of a nation."""
+    domain, ids, pairs = _nations(spark, sf_dir)
+    draws = pairs.groupBy("set_id").agg((F.count("*") * ROUNDS).alias("draws"))
+    samples = sample_sets(L.build_filters(pairs, NATIONS), X.build_tree(ids, NATIONS, domain, DEPTH, complete=True), ids, draws, 1, weights)
+    return domain, pairs, stored(samples, "samples")
 
 
 def _chi(weights):
     def query(spark, sf_dir):
-        _, pairs, samples = _draws_of_parts(spark, sf_dir, weights)
+        _, pairs, samples = _draws_of_nations(spark, sf_dir, weights)
         return M.chi_square(samples, pairs).select("set_id", "n", "draws", r6("q").alias("q"), "df", r6("p_value").alias("p_value"))
 
     return query
 
 
 def q_accuracy(spark, sf_dir):
-    _, pairs, samples = _draws_of_parts(spark, sf_dir, "exact")
+    _, pairs, samples = _draws_of_nations(spark, sf_dir, "exact")
     return M.accuracy(samples, pairs).select("set_id", "draws", r6("accuracy").alias("accuracy"))
 
 
 def q_draw_histogram(spark, sf_dir):
-    domain, _, samples = _draws_of_parts(spark, sf_dir, "exact")
+    domain, _, samples = _draws_of_nations(spark, sf_dir, "exact")
     return M.draw_histogram(samples, domain)
 
 
@@ -337,7 +347,7 @@ def w_sample_uniform_ops(spark, sf_dir):
 def w_sample_clustered_ops(spark, sf_dir):
     domain, ids = _orders(spark, sf_dir)
     words = L.build_filters(C.orders_by_key_run(spark, sf_dir), SPEC)
-    got = sample_sets(words, X.build_tree(ids, SPEC, domain, DEPTH), ids, 20, 1, "floored")
+    got = sample_sets(words, X.build_tree(ids, SPEC, domain, DEPTH, complete=True), ids, 20, 1, "floored")
     return got.groupBy("set_id").agg(r6(F.avg("intersections")).alias("intersections"), r6(F.avg("memberships")).alias("memberships"))
 
 
@@ -352,7 +362,7 @@ def w_clustered_generator(spark, sf_dir):
 
 def w_hash_family(spark, sf_dir):
     domain, ids = _orders(spark, sf_dir)
-    pairs, out = C.orders_by_supplier(spark, sf_dir, 5), None
+    pairs, out = C.orders_by_supplier(spark, sf_dir), None
     for family, spec in FAMILY_SPECS.items():
         one = _digest(B.probe_recover(ids, L.build_filters(pairs, spec), spec)).select(F.lit(family).alias("family"), "set_id", "n")
         out = one if out is None else out.unionByName(one)
@@ -361,7 +371,7 @@ def w_hash_family(spark, sf_dir):
 
 def w_params_table(spark, sf_dir):
     rows = []
-    for d in GRID_M[1:]:
+    for d in GRID_M:
         for a in GRID_ACCURACY:
             m = T.size_for(1000, d, a)
             for ratio in (120.0, 1500.0):
@@ -373,24 +383,23 @@ def w_params_table(spark, sf_dir):
 
 def w_chi_square(spark, sf_dir):
     """Uniformity over all positives, per kind of weight."""
-    domain, ids = _orders(spark, sf_dir)
-    words = L.build_filters(C.orders_by_part(spark, sf_dir), SPEC)
-    found = stored(B.probe_recover(ids, words, SPEC), "found")
+    _, ids, pairs = _nations(spark, sf_dir)
+    found = stored(B.probe_recover(ids, L.build_filters(pairs, NATIONS), NATIONS), "found")
     out = None
-    for weights in ("floored", "exact"):
-        _, _, samples = _draws_of_parts(spark, sf_dir, weights)
+    for weights in ("paper", "floored", "exact"):
+        _, _, samples = _draws_of_nations(spark, sf_dir, weights)
         one = M.chi_square(samples, found).select(F.lit(weights).alias("weights"), "set_id", "n", "draws", r6("q").alias("q"), "df", r6("p_value").alias("p_value"))
         out = one if out is None else out.unionByName(one)
     return out
 
 
-ACCURACY_TARGETS = (0.5, 0.7, 0.9)
+ACCURACY_TARGETS = (0.5, 0.6, 0.7, 0.8, 0.9, 0.99)
 
 
 def w_measured_accuracy(spark, sf_dir):
     """Members over positives, averaged over sets, where filters are sized for a target at n = 600 of 15,000."""
     domain, ids = _orders(spark, sf_dir)
-    pairs, out = C.orders_by_supplier(spark, sf_dir, 10), None
+    pairs, out = C.orders_by_supplier(spark, sf_dir), None
     n = pairs.groupBy("set_id").agg(F.count("*").alias("n"))
     for target in ACCURACY_TARGETS:
         spec = make_spec(round(T.size_for(600, 15_000, target)), domain=150_000)
@@ -403,8 +412,8 @@ def w_measured_accuracy(spark, sf_dir):
 def w_recover_ops(spark, sf_dir):
     """Work of reconstruction by tree, probe and preimages."""
     domain, ids = _orders(spark, sf_dir)
-    tree = X.build_tree(ids, SPEC, domain, DEPTH)
-    words = L.build_filters(C.orders_by_part(spark, sf_dir, 10), SPEC)
+    tree = X.build_tree(ids, SPEC, domain, DEPTH, complete=True)
+    words = L.build_filters(C.orders_by_part(spark, sf_dir), SPEC)
     swept = recover_ops(mark(words, tree), tree).select("set_id", F.lit("tree").alias("method"), "intersections", "memberships")
     probed = words.select("set_id").distinct().select("set_id", F.lit("probe").alias("method"), F.lit(0).cast("long").alias("intersections"), F.lit(domain).cast("long").alias("memberships"))
     listed = B.preimage_ops(words, SPEC, domain).select("set_id", F.lit("preimage").alias("method"), F.lit(0).cast("long").alias("intersections"), "memberships")
@@ -414,47 +423,62 @@ def w_recover_ops(spark, sf_dir):
 def w_preimage_density(spark, sf_dir):
     """How full filters of growing sets are, which side the preimage walk takes, and what it lists."""
     domain = C.domain_of(spark, sf_dir)
-    pairs = C.orders_by_flag(spark, sf_dir).unionByName(C.orders_by_supplier(spark, sf_dir, 2)).unionByName(C.orders_by_part(spark, sf_dir, 2).withColumn("set_id", F.concat(F.lit("p"), F.col("set_id"))))
+    pairs = C.orders_by_flag(spark, sf_dir).unionByName(C.orders_by_supplier(spark, sf_dir)).unionByName(C.orders_by_part(spark, sf_dir).withColumn("set_id", F.concat(F.lit("p"), F.col("set_id"))))
     return B.preimage_ops(L.build_filters(pairs, SPEC), SPEC, domain)
 
 
-FRACTIONS = (0.2, 0.5, 1.0)
+FRACTIONS = (0.1, 0.2, 0.3, 0.4, 0.5, 0.6, 0.7, 0.8, 0.9, 1.0)
+LAYOUTS = ("uniform", "clustered")
+#: Depth of the tree over parts of the domain, and draws from each of its filters.
+PART_DEPTH, PART_DRAWS = 7, 20
 
 
-def _fractions(spark, sf_dir):
-    ids = _sparse_orders(spark, sf_dir)
-    pairs = C.orders_by_supplier(spark, sf_dir, 5).withColumn("x", C.sparse_id(F.col("x")))
-    for layout in ("uniform", "clustered"):
-        for fraction in FRACTIONS:
-            keep = C.domain_part(F.col("x"), fraction, layout)
-            yield layout, fraction, ids.filter(keep), pairs.filter(keep)
+def _parts(spark):
+    """(layout, fraction, part): the kept ones of 256 ranges in every case."""
+    rows = [(lay, f, r) for lay in LAYOUTS for f in FRACTIONS for r in C.kept_ranges(f, lay)]
+    return F.broadcast(_rows(spark, rows, "layout string, fraction double, part long"))
 
 
 def w_fraction_memory(spark, sf_dir):
-    out = None
-    for layout, fraction, ids, _ in _fractions(spark, sf_dir):
-        one = X.build_tree(ids, SPARSE, C.SPARSE_DOMAIN, 7).nodes.agg(F.count("*").alias("n_nodes"), F.sum("ones").alias("ones")).select(F.lit(layout).alias("layout"), F.lit(fraction).alias("fraction"), "n_nodes", "ones")
-        out = one if out is None else out.unionByName(one)
-    return out
+    """Nodes and set bits of the occupied tree over each part of the domain: the words of 256 ranges are made once and rolled up
+    for all cases together."""
+    ids = _sparse_orders(spark, sf_dir).withColumn("part", C.range_of(F.col("x")))
+    held = stored(L.words_by(ids, ["part"], SPARSE), "ranges").join(_parts(spark), "part")
+    leaves = held.groupBy("layout", "fraction", F.shiftright("part", 8 - PART_DEPTH).alias("idx"), "word_no").agg(F.bit_or("bits").alias("bits")).withColumn("level", F.lit(PART_DEPTH))
+    words = X.rolled(stored(leaves.select("idx", "layout", "fraction", "word_no", "bits", "level"), "leaves"), PART_DEPTH, ["layout", "fraction", "word_no"], [F.bit_or("bits").alias("bits")])
+    each = words.groupBy("layout", "fraction").agg(F.count_distinct("level", "idx").alias("n_nodes"), F.sum(F.bit_count("bits")).cast("long").alias("ones"))
+    cases = _rows(spark, [(lay, f) for lay in LAYOUTS for f in FRACTIONS], "layout string, fraction double")
+    return cases.join(each, ["layout", "fraction"], "left").fillna(0, ["n_nodes", "ones"])
+
+
+def _cased(spark, rows):
+    """Rows with x, once for every case that keeps x; the case is part of the set's name."""
+    return rows.withColumn("part", C.range_of(F.col("x"))).join(_parts(spark), "part").drop("part")
 
 
 def w_fraction_accuracy(spark, sf_dir):
-    """Members over positives among the ids in use."""
-    out = None
-    for layout, fraction, ids, pairs in _fractions(spark, sf_dir):
-        found = M.recovery(B.probe_recover(ids, L.build_filters(pairs, SPARSE), SPARSE), pairs)
-        one = found.select(F.lit(layout).alias("layout"), F.lit(fraction).alias("fraction"), "set_id", "n_true", "n_found", r6("precision").alias("precision"))
-        out = one if out is None else out.unionByName(one)
-    return out
+    """Members over positives among the ids in use, for every supplier's filter without the ids that a case leaves out."""
+    pairs = _cased(spark, C.orders_by_supplier(spark, sf_dir).withColumn("x", C.sparse_id(F.col("x"))))
+    case = F.concat_ws("/", "layout", F.col("fraction").cast("string"), "set_id").alias("set_id")
+    words = L.build_filters(pairs.select(case, "x"), SPARSE)
+    ids = stored(_cased(spark, _sparse_orders(spark, sf_dir)), "ids")
+    filters = L.as_arrays(words, SPARSE).withColumn("layout", F.split_part("set_id", F.lit("/"), F.lit(1))).withColumn("fraction", F.split_part("set_id", F.lit("/"), F.lit(2)).cast("double"))
+    found = ids.join(filters, ["layout", "fraction"]).filter(L.holds(F.col("filter"), F.col("x"), SPARSE)).select("set_id", "x")
+    got = M.recovery(found, pairs.select(case, "x"))
+    part = lambda i: F.split_part("set_id", F.lit("/"), F.lit(i))
+    return got.select(part(1).alias("layout"), part(2).cast("double").alias("fraction"), part(3).alias("set_id"), "n_true", "n_found", r6("precision").alias("precision"))
 
 
 def w_fraction_sample(spark, sf_dir):
+    """Work of draws from every supplier's filter over each part of the domain, averaged over suppliers and draws."""
+    ids, pairs = _sparse_orders(spark, sf_dir), C.orders_by_supplier(spark, sf_dir).withColumn("x", C.sparse_id(F.col("x")))
     out = None
-    for layout, fraction, ids, pairs in _fractions(spark, sf_dir):
-        if layout == "clustered" and fraction < 1:
-            tree = X.build_tree(ids, SPARSE, C.SPARSE_DOMAIN, 7)
-            got = sample_sets(L.build_filters(pairs, SPARSE), tree, ids, 20, 1, "floored")
-            one = got.groupBy("set_id").agg(r6(F.avg("intersections")).alias("intersections"), r6(F.avg("memberships")).alias("memberships")).select(F.lit(fraction).alias("fraction"), "*")
+    for layout in LAYOUTS:
+        for fraction in (0.1, 0.5, 1.0):
+            keep = C.domain_part(F.col("x"), fraction, layout)
+            tree = X.build_tree(ids.filter(keep), SPARSE, C.SPARSE_DOMAIN, PART_DEPTH)
+            got = sample_sets(L.build_filters(pairs.filter(keep), SPARSE), tree, ids.filter(keep), PART_DRAWS, 1, "floored")
+            one = got.agg(F.count("*").alias("draws"), F.sum("intersections").cast("long").alias("intersections"), F.sum("memberships").cast("long").alias("memberships")).select(F.lit(layout).alias("layout"), F.lit(fraction).alias("fraction"), "*")
             out = one if out is None else out.unionByName(one)
     return out
 
@@ -465,8 +489,8 @@ TAGS = make_spec(4000, domain=150_000)
 def w_tag_filters(spark, sf_dir):
     """Filters of frequent words over documents, recovered over all documents."""
     domain = C.domain_of(spark, sf_dir, "documents", "doc_id")
-    pairs = stored(C.docs_by_token(spark, sf_dir), "tokens")
-    found = B.probe_recover(C.all_ids(spark, domain), L.build_filters(pairs, TAGS), TAGS)
+    pairs, ids = stored(C.docs_by_token(spark, sf_dir), "tokens"), C.all_ids(spark, domain)
+    found = recover(L.build_filters(pairs, TAGS), X.build_tree(ids, TAGS, domain, DEPTH, complete=True), ids)
     return M.recovery(found, pairs).select("set_id", "n_true", "n_found")
 
 
@@ -479,7 +503,7 @@ def w_user_tags(spark, sf_dir):
 def w_adjacency(spark, sf_dir):
     domain = C.domain_of(spark, sf_dir, "customer", "c_custkey")
     pairs, ids = C.customers_by_nation(spark, sf_dir), C.all_ids(spark, domain)
-    return M.recovery(recover(L.build_filters(pairs, SPEC), X.build_tree(ids, SPEC, domain, DEPTH), ids), pairs).select("set_id", "n_true", "n_found", "n_both")
+    return M.recovery(recover(L.build_filters(pairs, SPEC), X.build_tree(ids, SPEC, domain, DEPTH, complete=True), ids), pairs).select("set_id", "n_true", "n_found", "n_both")
 
 
 def w_growth(spark, sf_dir):
@@ -498,8 +522,8 @@ def w_sweep(spark, sf_dir):
 
 def w_start_level(spark, sf_dir):
     domain, ids = _orders(spark, sf_dir)
-    tree = X.build_tree(ids, SPEC, domain, DEPTH)
-    words = _suppliers(spark, sf_dir, None)[1]
+    tree = X.build_tree(ids, SPEC, domain, DEPTH, complete=True)
+    words = _suppliers(spark, sf_dir)[1]
     return recover_ops(mark(words, tree, start=start_level(tree)), tree)
 
 
@@ -513,9 +537,9 @@ QUERIES = {
         w_sample_uniform_ops, w_sample_clustered_ops, w_clustered_generator, w_hash_family, w_params_table, w_chi_square, w_measured_accuracy, w_recover_ops, w_preimage_density,
         w_fraction_memory, w_fraction_accuracy, w_fraction_sample, w_tag_filters, w_user_tags, w_adjacency, w_growth, w_sweep, w_start_level,
     )},
-    "q_sample_one": _sampled("floored", 1, 20),
+    "q_sample_one": _sampled("floored", 1),
     "q_sample_many_replace": _sampled("floored", 20),
-    "q_sample_many_noreplace": _sampled("floored", 50, None, replace=False),
+    "q_sample_many_noreplace": _sampled("floored", 50, replace=False),
     "q_sample_paper": _sampled("paper", 10, tau=0.0),
     "q_sample_exact": _sampled("exact", 20),
     "q_preimage_set_bits": _preimage("set"),
