@@ -30,14 +30,25 @@ def random_key(seed: int, *parts: Column | str) -> Column:
     return F.md5(F.concat_ws(":", F.lit(str(seed)), *(F.col(p).cast("string") if isinstance(p, str) else p.cast("string") for p in parts)))
 
 
-def viability(live: Live, tree: Tree, found: DataFrame) -> DataFrame:
-    """Live nodes with: positives below, and the cost of exploring them in vain (intersections, memberships)."""
+def viability(live: Live, tree: Tree, found: DataFrame, printed: bool = False) -> DataFrame:
+    """Live nodes with: positives below, and the cost of exploring them in vain (intersections, memberships).
+
+    printed: after a vain visit the sibling is entered even if it shares no bit; that costs its two intersections, or the probes
+    of a leaf, and never finds anything."""
     nodes = live.marks.filter("live").select("set_id", "level", "idx", "weight", "occupied")
     hits = found.groupBy("set_id", "idx").agg(F.count("*").alias("positives")).withColumn("level", F.lit(tree.depth))
     own = nodes.join(hits, ["set_id", "level", "idx"], "left")
     at_leaf = F.col("level") == tree.depth
+    if printed:
+        key = ["set_id", "level", "parent"]
+        reached = live.marks.filter(F.col("level") > live.start).withColumn("parent", F.shiftright("idx", 1))
+        alone = reached.groupBy(*key).agg(F.count_if("live").alias("alive"), F.sum(F.when(~F.col("live"), F.col("occupied"))).alias("dead_ids"), F.count_if(~F.col("live")).alias("dead")).filter("alive = 1 and dead = 1")
+        extra = alone.select("set_id", (F.col("level") - 1).alias("level"), F.col("parent").alias("idx"), F.when(at_leaf, 0).otherwise(2).alias("more_ands"), F.when(at_leaf, F.col("dead_ids")).otherwise(0).alias("more_probes"))
+        own = own.join(extra, ["set_id", "level", "idx"], "left").fillna(0, ["more_ands", "more_probes"])
+    else:
+        own = own.withColumns({"more_ands": F.lit(0), "more_probes": F.lit(0)})
     # One row per node and ancestor, summed in one shuffle.
-    up = own.select("set_id", "idx", F.coalesce("positives", F.lit(0)).alias("positives"), F.when(at_leaf, 0).otherwise(2).alias("ands"), F.when(at_leaf, F.col("occupied")).otherwise(0).alias("probes"), "level", F.explode(F.sequence(F.lit(live.start), "level")).alias("to"))
+    up = own.select("set_id", "idx", F.coalesce("positives", F.lit(0)).alias("positives"), (F.when(at_leaf, 0).otherwise(2) + F.col("more_ands")).alias("ands"), (F.when(at_leaf, F.col("occupied")).otherwise(0) + F.col("more_probes")).alias("probes"), "level", F.explode(F.sequence(F.lit(live.start), "level")).alias("to"))
     sums = up.groupBy("set_id", F.col("to").alias("level"), F.call_function("shiftright", F.col("idx"), F.col("level") - F.col("to")).alias("idx")).agg(*(F.sum(c).alias(c) for c in ("positives", "ands", "probes")))
     return stored(nodes.join(sums, ["set_id", "level", "idx"]).select("set_id", "level", "idx", "weight", "positives", "ands", "probes"), "viability")
 
@@ -90,16 +101,17 @@ def descend(nodes: DataFrame, live: Live, tree: Tree, draws: int | DataFrame, se
     return done.select("set_id", "draw", "idx", "intersections", (F.col("memberships") + F.coalesce("probes", F.lit(0))).alias("memberships"), "positives")
 
 
-def sample_sets(words: DataFrame, tree: Tree, ids: DataFrame, draws: int | DataFrame = 1, seed: int = 1, weights: str = "floored", tau: float | None = None, replace: bool = True) -> DataFrame:
+def sample_sets(words: DataFrame, tree: Tree, ids: DataFrame, draws: int | DataFrame = 1, seed: int = 1, weights: str = "floored", tau: float | None = None, replace: bool = True, printed: bool = False) -> DataFrame:
     """(set_id, draw, x, idx, intersections, memberships): `draws` ids of each filter, x null if it holds none.
 
     weights: 'paper' (estimated overlap, nodes under tau are not entered), 'floored' (the estimate, FLOOR at least, only nodes
     without a common bit are left out), 'exact' (true numbers of positives below; uniform over what the filter answers yes for).
+    printed: counts the work of the printed control flow, which enters dead siblings too; the draws are the same.
     replace=False: ids of a set differ; draws that meet in a leaf with too few ids take unused ones of the set, or none.
     """
     live = mark(words, tree, "paper" if weights == "paper" else "floored", tau)
     found = stored(probe_leaves(live, tree, words, ids), "positives")
-    nodes = viability(live, tree, found)
+    nodes = viability(live, tree, found, printed)
     paths = descend(nodes, live, tree, draws, seed, weights)
     ranked_ids = found.withColumn("rank", F.row_number().over(Window.partitionBy("set_id", "idx").orderBy(random_key(seed, F.lit("leaf"), "set_id", "x"), "x")))
     if replace:

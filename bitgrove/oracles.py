@@ -225,6 +225,16 @@ def _start_level() -> str:
     return " UNION ALL ".join(each)
 
 
+def _printed(sets: str, draws: int) -> str:
+    """As sampling, with what the printed control flow pays for dead siblings of live nodes."""
+    seen = " UNION ALL ".join(f"SELECT set_id, level, idx, occ, keep FROM seen{at}" for at in range(1, DEPTH + 1))
+    extra = f"""dead AS (SELECT set_id, level - 1 AS level, idx // 2 AS idx, CASE WHEN level = {DEPTH} THEN 0 ELSE 2 END AS more_ands, CASE WHEN level = {DEPTH} THEN sum(occ) FILTER (NOT keep) ELSE 0 END AS more_probes FROM ({seen}) GROUP BY set_id, level, idx // 2 HAVING count(*) FILTER (keep) = 1 AND count(*) FILTER (NOT keep) = 1),
+    cost AS (SELECT a.set_id, a.level, a.idx, 2 * count(*) FILTER (b.level < {DEPTH}) + coalesce(sum(more_ands), 0)::BIGINT AS ands, (coalesce(sum(b.occ) FILTER (b.level = {DEPTH}), 0) + coalesce(sum(more_probes), 0))::BIGINT AS probes FROM live a JOIN live b ON a.set_id = b.set_id AND b.level >= a.level AND (b.idx >> (b.level - a.level)) = a.idx LEFT JOIN dead d ON d.set_id = b.set_id AND d.level = b.level AND d.idx = b.idx GROUP BY a.set_id, a.level, a.idx),"""
+    whole = sampling(sets, draws, "paper", 0.0)
+    at, to = whole.index("cost AS ("), whole.index("reach AS MATERIALIZED")
+    return whole[:at] + extra + whole[to:] + " SELECT * FROM samples"
+
+
 def _noreplace(sets: str, draws: int, seed: int = 1) -> str:
     """Draws take the ids of their leaf in the order of a digest; those that find none left take unused ids of the set."""
     head = sampling(sets, draws).rsplit(", samples AS", 1)[0]
@@ -274,6 +284,7 @@ ORACLES = {
     "q_sample_many_replace": sampling(suppliers(), 20) + " SELECT * FROM samples",
     "q_sample_paper": sampling(suppliers(), 10, "paper", 0.0) + " SELECT * FROM samples",
     "q_sample_exact": sampling(suppliers(), 20, "exact") + " SELECT * FROM samples",
+    "q_sample_printed": _printed(suppliers(), 10),
     "q_sample_ops": sampling(suppliers(), 20) + " SELECT set_id, count(*) AS draws, sum(intersections)::BIGINT AS intersections, sum(memberships)::BIGINT AS memberships FROM samples GROUP BY set_id",
     "q_path_probability": _path_probability(),
     "q_recover_safe": base(suppliers()) + " " + DIGEST,

@@ -13,7 +13,7 @@ from dataclasses import dataclass, replace
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.hashing import MAX_LONG, Spec
+from ..functions.hashing import MAX_LONG, Spec, positions
 from ..functions.theory import choose_depth
 from ..operators.filters import same_spec, words_by
 from ..sources.scratch import stored
@@ -141,6 +141,29 @@ def leaf_depth(domain: int, spec: Spec, leaf: str | int = "cost", ratio: float =
     return max(0, math.ceil(math.log2(domain / size)))
 
 
+def calibrate_costs(spark: SparkSession, spec: Spec, rounds: int = 200_000) -> tuple[float, float]:
+    """Seconds of one intersection of two filters and of one membership query, by timed jobs over made-up words of this length.
+    Their ratio is what leaf_depth takes."""
+    import time
+
+    def timed(df: DataFrame) -> float:
+        df.agg(F.max("v")).collect()
+        began = time.perf_counter()
+        df.agg(F.max("v")).collect()
+        return time.perf_counter() - began
+
+    pair = F.xxhash64(F.lit(0), "id").bitwiseAND(F.xxhash64(F.lit(1), "id"))
+    words = max(rounds, 10 * spec.words)
+    idle = timed(spark.range(1).select(F.col("id").alias("v")))
+    ands = timed(spark.range(words).select(F.bit_count(pair).cast("long").alias("v")))
+    hit = F.lit(0).cast("long")
+    for pos in positions(F.col("id"), spec):
+        hit = hit + F.shiftright(F.lit(0x5555555555555555).cast("long"), (pos % 64).cast("int")).bitwiseAND(F.lit(1))
+    probes = timed(spark.range(words).select(hit.alias("v")))
+    floor = 1e-9
+    return max(ands - idle, floor * words) / words * spec.words, max(probes - idle, floor * words) / words
+
+
 def tree_memory(tree: Tree) -> DataFrame:
     """Per level: nodes, bytes of dense filters, bytes of the word rows that are kept."""
     sparse = tree.words.groupBy("level").agg(F.count("*").alias("word_rows"))

@@ -25,6 +25,17 @@ def sliding(length: str = "2 days", step: str = "1 day") -> Column:
     return F.window("ts", length, step)
 
 
+def sessions(events: DataFrame, gap: str = "1 hour") -> DataFrame:
+    """Per user and session, which ends after a gap without an event: user_id, start, last, n."""
+    of = events.filter("user_id is not null").groupBy("user_id", F.session_window("ts", gap).alias("w"))
+    return of.agg(F.count("*").alias("n"), F.max("ts").alias("last")).select("user_id", F.col("w.start").alias("start"), "last", "n")
+
+
+def late_rows(query) -> int:
+    """Rows that a running or ended stream dropped because they came after the watermark."""
+    return sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
+
+
 def read_events(spark, sf_dir: str, delay: str = "1 day") -> DataFrame:
     """The events table as a stream of its files, with a watermark. Its ts has no zone, so it is cast."""
     schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema

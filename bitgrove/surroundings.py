@@ -11,7 +11,7 @@ from .functions.theory import estimate_size
 from .operators import filters as L
 from .oracles import SPEC, TAGS, base, suppliers
 from .sources import collections as C
-from .streaming.windows import tumbling, windowed_words
+from .streaming.windows import sessions, tumbling, windowed_words
 
 
 def _t(spark, sf_dir, name):
@@ -215,6 +215,64 @@ def op_string_keys(spark, sf_dir):
     return L.check_pairs(rows.withColumn("set_id", F.lit("all")), words, spec).groupBy("set_id").agg(F.count("*").alias("n"))
 
 
+def op_sessions(spark, sf_dir):
+    """Sessions of users: a gap of six hours ends one."""
+    e = _t(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    return sessions(e, "6 hours").groupBy("user_id").agg(F.count("*").alias("sessions"), F.max("n").alias("longest"), F.sum("n").alias("events"))
+
+
+def op_late_rows(spark, sf_dir):
+    """Events by type that come, in the order of their ids, more than a day after a later one of their type."""
+    seen = Window.partitionBy("event_type").orderBy("event_id").rowsBetween(Window.unboundedPreceding, -1)
+    e = _t(spark, sf_dir, "events").withColumn("top", F.max("ts").over(seen))
+    return e.groupBy("event_type").agg(F.count("*").alias("n"), F.count_if(F.col("ts") < F.col("top") - F.expr("INTERVAL 1 DAY")).alias("late"))
+
+
+def op_lateral(spark, sf_dir):
+    """For each nation its three customers of largest balance, by a correlated subquery."""
+    _t(spark, sf_dir, "nation").createOrReplaceTempView("bitgrove_nation")
+    _t(spark, sf_dir, "customer").createOrReplaceTempView("bitgrove_customer")
+    return spark.sql("SELECT n_nationkey, t.c_custkey FROM bitgrove_nation, LATERAL (SELECT c_custkey FROM bitgrove_customer WHERE c_nationkey = n_nationkey ORDER BY c_custkey DESC LIMIT 3) t")
+
+
+def op_bernoulli(spark, sf_dir):
+    """A tenth of the orders of each status by coins that depend on the key alone, so that every rerun agrees."""
+    coin = F.conv(F.substring(F.md5(F.col("o_orderkey").cast("string")), 1, 8), 16, 10).cast("double") / 4294967296.0
+    return _t(spark, sf_dir, "orders").filter(coin < 0.1).groupBy("o_orderstatus").agg(F.count("*").alias("n"), F.sum("o_orderkey").alias("keys"))
+
+
+def op_recursive_ranges(spark, sf_dir):
+    """The ranges of a tree's nodes by a recursive query."""
+    domain = C.domain_of(spark, sf_dir)
+    return spark.sql(f"WITH RECURSIVE node(level, low, high) AS (SELECT 0, CAST(0 AS BIGINT), CAST({domain} AS BIGINT) UNION ALL SELECT level + 1, CASE WHEN side = 0 THEN low ELSE (low + high) DIV 2 END, CASE WHEN side = 0 THEN (low + high) DIV 2 ELSE high END FROM node CROSS JOIN (SELECT explode(array(0, 1)) AS side) WHERE level < 4) SELECT CAST(level AS BIGINT) AS level, low, high FROM node")
+
+
+def op_udtf_runs(spark, sf_dir):
+    """Runs of consecutive ids of each return flag, by a table function over sorted partitions."""
+    from pyspark.sql.functions import udtf
+
+    @udtf(returnType="first: bigint, last: bigint")
+    class Runs:
+        def __init__(self):
+            self.first = self.last = None
+
+        def eval(self, row):
+            x = row["x"]
+            if self.last is None or x != self.last + 1:
+                if self.last is not None:
+                    yield self.first, self.last
+                self.first = x
+            self.last = x
+
+        def terminate(self):
+            if self.last is not None:
+                yield self.first, self.last
+
+    spark.udtf.register("bitgrove_runs", Runs)
+    C.orders_by_flag(spark, sf_dir).createOrReplaceTempView("bitgrove_flags")
+    return spark.sql("SELECT last - first + 1 AS length, count(*) AS n FROM bitgrove_runs(TABLE(bitgrove_flags) PARTITION BY set_id ORDER BY x) GROUP BY ALL")
+
+
 QUERIES = {name: f for name, f in list(globals().items()) if name.startswith("op_")}
 
 _LI = "SELECT l_orderkey FROM lineitem WHERE l_returnflag = '{}'"
@@ -252,5 +310,11 @@ ORACLES = {
     "op_json_sets": "SELECT json_extract_string(props, '$.k') AS set_id, count(DISTINCT user_id) AS n FROM events WHERE user_id IS NOT NULL GROUP BY 1",
     "op_window_filters": f"SELECT event_type, day, count(DISTINCT pos) AS ones FROM (SELECT event_type, strftime(ts, '%Y-%m-%d') AS day, unnest([{', '.join(sql_positions(TAGS, 'user_id'))}]) AS pos FROM events WHERE user_id IS NOT NULL) GROUP BY ALL",
     "op_size_estimate": base(suppliers()) + f" SELECT set_id, round(ln(({SPEC.m}::DOUBLE - ones) / {SPEC.m}) / (3 * ln(1 - 1.0::DOUBLE / {SPEC.m})), 6) AS by_filter, exact, true AS sketch_near FROM (SELECT set_id, count(*) AS ones FROM bits GROUP BY ALL) JOIN (SELECT set_id, count(*) AS exact FROM sets GROUP BY ALL) USING (set_id)",
+    "op_sessions": "SELECT user_id, sum(first)::BIGINT AS sessions, max(n) AS longest, sum(n)::BIGINT AS events FROM (SELECT user_id, s, count(*) AS n, 1 AS first FROM (SELECT user_id, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM (SELECT user_id, ts, CASE WHEN ts >= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 6 HOUR OR lag(ts) OVER (PARTITION BY user_id ORDER BY ts) IS NULL THEN 1 ELSE 0 END AS new FROM events WHERE user_id IS NOT NULL)) GROUP BY user_id, s) GROUP BY user_id",
+    "op_late_rows": "SELECT event_type, count(*) AS n, count(*) FILTER (ts < top - INTERVAL 1 DAY) AS late FROM (SELECT event_type, ts, max(ts) OVER (PARTITION BY event_type ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS top FROM events) GROUP BY event_type",
+    "op_lateral": "SELECT n_nationkey, c_custkey FROM nation JOIN customer ON c_nationkey = n_nationkey QUALIFY row_number() OVER (PARTITION BY n_nationkey ORDER BY c_custkey DESC) <= 3",
+    "op_bernoulli": "SELECT o_orderstatus, count(*) AS n, sum(o_orderkey)::BIGINT AS keys FROM orders WHERE ('0x' || substr(md5(o_orderkey::VARCHAR), 1, 8))::BIGINT / 4294967296::DOUBLE < 0.1 GROUP BY o_orderstatus",
+    "op_recursive_ranges": "WITH RECURSIVE node AS (SELECT 0::BIGINT AS level, 0::BIGINT AS low, (SELECT max(o_orderkey) + 1 FROM orders)::BIGINT AS high UNION ALL SELECT level + 1, CASE WHEN side = 0 THEN low ELSE (low + high) // 2 END, CASE WHEN side = 0 THEN (low + high) // 2 ELSE high END FROM node, range(2) s(side) WHERE level < 4) SELECT level, low, high FROM node",
+    "op_udtf_runs": "SELECT length, count(*) AS n FROM (SELECT count(*) AS length FROM (SELECT l_returnflag, x, x - row_number() OVER (PARTITION BY l_returnflag ORDER BY x) AS g FROM (SELECT DISTINCT l_returnflag, l_orderkey AS x FROM lineitem)) GROUP BY l_returnflag, g) GROUP BY length",
     "op_string_keys": "SELECT 'all' AS set_id, count(DISTINCT url) AS n FROM pages",
 }

@@ -186,11 +186,11 @@ def q_tree_memory(spark, sf_dir):
 # Sampling
 
 
-def _sampled(weights, draws, replace=True, tau=None):
+def _sampled(weights, draws, replace=True, tau=None, printed=False):
     def query(spark, sf_dir):
         domain, ids = _orders(spark, sf_dir)
         words = _suppliers(spark, sf_dir)[1]
-        out = sample_sets(words, X.build_tree(ids, SPEC, domain, DEPTH, complete=True), ids, draws, 1, weights, tau, replace)
+        out = sample_sets(words, X.build_tree(ids, SPEC, domain, DEPTH, complete=True), ids, draws, 1, weights, tau, replace, printed)
         return out.select("set_id", F.col("draw").cast("long").alias("draw"), "x", F.col("intersections").cast("long").alias("intersections"), F.col("memberships").cast("long").alias("memberships"))
 
     return query
@@ -542,6 +542,7 @@ QUERIES = {
     "q_sample_many_noreplace": _sampled("floored", 50, replace=False),
     "q_sample_paper": _sampled("paper", 10, tau=0.0),
     "q_sample_exact": _sampled("exact", 20),
+    "q_sample_printed": _sampled("paper", 10, tau=0.0, printed=True),
     "q_preimage_set_bits": _preimage("set"),
     "q_preimage_first_function": _preimage("set", "first"),
     "q_preimage_unset_bits": _preimage("unset"),
