@@ -34,7 +34,7 @@ def numbered_shingles(texts: list[bytes], size: int):
     """Shingles of texts, numbered exactly: equal numbers are equal word sequences. Per text the first place and the number of each
     distinct shingle; and the distinct words with the word number at each place. Shingles grow by pairs of numbers, which are
     numbered anew at each step."""
-    flat, sizes = split_words([t.lower() for t in texts])
+    flat, sizes = split_words(texts, lower=True)
     numbers, distinct = word_numbers(flat)
 
     def joined(a, b):
@@ -54,7 +54,7 @@ def numbered_shingles(texts: list[bytes], size: int):
             out.append((at + first, found))
         else:
             # The whole sequence as one shingle, which no longer text has.
-            key = tuple(flat[at : at + k])
+            key = tuple(flat[at : at + k].view(pa.large_binary()).to_pylist())
             out.append((np.array([at] * bool(k), np.int64), np.array([len(flat) + short.setdefault(key, len(short))] * bool(k), np.int64)))
         at += k
     return out, sizes, numbers, distinct

@@ -12,6 +12,7 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -21,17 +22,20 @@ SHALLOW = 12
 RESULT = "doc_id long, n_words long, n_removed long, kept_sha256 string"
 
 
-def split_words(texts: list[bytes]) -> tuple[list[bytes], np.ndarray]:
-    """The words of all texts in turn, and how many each has. bytes.split() cuts at exactly the operators' white space."""
-    split = [t.split() for t in texts]
-    return [w for x in split for w in x], np.array([len(x) for x in split], np.int64)
+def split_words(texts: list[bytes] | pa.Array, lower: bool = False) -> tuple[pa.Array, np.ndarray]:
+    """The words of all texts in turn, and how many each has. The kernel cuts at exactly the operators' white space, byte by byte,
+    so texts need not be valid UTF-8."""
+    column = pa.array(texts, pa.large_binary()).view(pa.large_string())
+    parts = pc.ascii_split_whitespace(pc.ascii_lower(column) if lower else column)
+    flat, offsets = parts.values, parts.offsets.to_numpy()
+    some = pc.not_equal(pc.binary_length(flat), 0).to_numpy(zero_copy_only=False)
+    return flat.filter(pa.array(some)), np.diff(np.concatenate([[0], np.cumsum(some)])[offsets])
 
 
-def word_numbers(flat: list[bytes]) -> tuple[np.ndarray, list[bytes]]:
+def word_numbers(flat: pa.Array) -> tuple[np.ndarray, list[bytes]]:
     """Each word's number among the distinct ones, and these."""
-    distinct = list(set(flat))
-    number = dict(zip(distinct, range(len(distinct)), strict=True))
-    return np.fromiter(map(number.__getitem__, flat), np.int64, len(flat)), distinct
+    coded = flat.dictionary_encode()
+    return coded.indices.to_numpy().astype(np.int64), coded.dictionary.view(pa.large_binary()).to_pylist()
 
 
 def word_names(distinct: list[bytes]) -> np.ndarray:
@@ -113,7 +117,9 @@ def remove_repeated_words(docs: DataFrame, width: int = 35, with_text: bool = Fa
                 gone = R.covered(places[twice], width, len(flat))
                 of = np.concatenate([[0], np.cumsum(sizes)])
                 n_removed = np.diff(np.concatenate([[0], np.cumsum(gone)])[of])
-                parts = [b" ".join(flat[a:b]) if not n else b" ".join(w for w, x in zip(flat[a:b], gone[a:b].tolist(), strict=True) if not x) for a, b, n in zip(of[:-1].tolist(), of[1:].tolist(), n_removed.tolist(), strict=True)]
+                left = np.concatenate([[0], np.cumsum(sizes - n_removed)])
+                kept = pa.LargeListArray.from_arrays(pa.array(left), flat.filter(pa.array(~gone)))
+                parts = pc.binary_join(kept, pa.scalar(" ", pa.large_string())).view(pa.large_binary()).to_pylist()
                 columns = [pa.array(blob.ids, mask=blob.ids == R.NO_ID), pa.array(sizes), pa.array(n_removed.astype(np.int64)), pa.array([hashlib.sha256(x).hexdigest() for x in parts])]
                 names = ["doc_id", "n_words", "n_removed", "kept_sha256"]
                 yield pa.RecordBatch.from_arrays(columns + [pa.array(parts, pa.binary()).cast(pa.string())] * with_text, names=names + ["kept"] * with_text)
