@@ -20,13 +20,14 @@ def main() -> None:
     from bitgrove import workloads as W
     from bitgrove.functions.hashing import make_spec
     from bitgrove.functions.theory import size_for
-    from bitgrove.operators.baselines import probe_sample
+    from bitgrove.operators.baselines import probe_recover, probe_sample
     from bitgrove.operators.descent import sample_sets
     from bitgrove.operators.filters import build_filters
+    from bitgrove.operators.sweep import recover
     from bitgrove.plans.tree import complete_tree
     from bitgrove.sources import collections as C
 
-    queries: dict[str, object] = {n: W.QUERIES[n] for n in ("q_filter_ones", "q_membership", "q_tree_complete_ones", "q_recover_safe", "q_probe_recover", "q_preimage_first_function", "q_sample_many_replace", "q_sample_exact", "w_recover_ops", "w_fraction_memory")}
+    queries: dict[str, object] = {n: W.QUERIES[n] for n in ("q_filter_ones", "q_membership", "q_tree_complete_ones", "q_recover_safe", "q_probe_recover", "q_preimage_first_function", "q_sample_many_replace", "q_sample_exact", "w_recover_ops", "w_fraction_memory", "w_tag_filters")}
     queries["flagship"] = W.flagship
     domain = 1_000_000
     spec = make_spec(round(size_for(1000, domain, 0.9)), domain=domain)
@@ -41,9 +42,21 @@ def main() -> None:
         return sample_sets(words, trees["t"], C.all_ids(s, domain), 10_000, 1, "exact")
 
     def drawn_by_probe(s, _):
-        return probe_sample(C.all_ids(s, domain), build_filters(C.uniform_set(s, domain, 1000), spec), spec, 1000)
+        return probe_sample(C.all_ids(s, domain), build_filters(C.uniform_set(s, domain, 1000), spec), spec, 10_000)
 
-    queries |= {"b_tree_creation_1e6": creation, "b_sample_10000_draws_1e6": drawn_by_tree, "b_probe_1000_draws_1e6": drawn_by_probe}
+    def recovered_by_tree(s, _):
+        return recover(build_filters(C.clustered_set(s, domain, 1000, 20), spec), trees["t"], C.all_ids(s, domain))
+
+    def recovered_by_probe(s, _):
+        return probe_recover(C.all_ids(s, domain), build_filters(C.clustered_set(s, domain, 1000, 20), spec), spec)
+
+    def by_family(family):
+        other = make_spec(spec.m, family=family, domain=domain)
+        return lambda s, _: probe_recover(C.all_ids(s, domain), build_filters(C.uniform_set(s, domain, 1000), other), other)
+
+    # Batches of tree and probe are alike: as many draws, the same sets.
+    queries |= {"b_tree_creation_1e6": creation, "b_sample_10000_draws_1e6": drawn_by_tree, "b_probe_10000_draws_1e6": drawn_by_probe, "b_recover_tree_1e6": recovered_by_tree, "b_recover_probe_1e6": recovered_by_probe}
+    queries |= {f"b_probe_{f}": by_family(f) for f in ("affine_mod_m", "affine_mod_p", "murmur3", "md5")}
     spark.range(1000).agg(F.sum("id")).collect()
     took: dict[str, float | None] = {}
     for name, q in queries.items():

@@ -158,7 +158,7 @@ def calibrate_costs(spark: SparkSession, spec: Spec, rounds: int = 200_000) -> t
     ands = timed(spark.range(words).select(F.bit_count(pair).cast("long").alias("v")))
     hit = F.lit(0).cast("long")
     for pos in positions(F.col("id"), spec):
-        hit = hit + F.shiftright(F.lit(0x5555555555555555).cast("long"), (pos % 64).cast("int")).bitwiseAND(F.lit(1))
+        hit = hit + F.call_function("shiftright", F.lit(0x5555555555555555).cast("long"), (pos % 64).cast("int")).bitwiseAND(F.lit(1))
     probes = timed(spark.range(words).select(hit.alias("v")))
     floor = 1e-9
     return max(ands - idle, floor * words) / words * spec.words, max(probes - idle, floor * words) / words
