@@ -318,10 +318,192 @@ def test_numbers_are_no_other_entity(spark):
     from bitgrove.llm import surrogate as S
 
     first = ["123-45-6789", "4111 1111 1111 1111", "+1 (017) 555-7713", "10.0.0.1"]
-    drawn = spark.createDataFrame([(v,) for v in first], "v string").select(S.surrogate(F.col("v"), "surrogates", F.lit(0)).alias("s"))
-    values = first + [r.s for r in drawn.collect()]
+    kind = S.kind_of(F.col("v"))
+    drawn = spark.createDataFrame([(v,) for v in first], "v string").select("v", S.surrogate(kind, S.normal(F.col("v"), kind), "surrogates", F.lit(0)).alias("s")).collect()
+    laid = [r.s if "." in r.s else re.sub(r"[0-9]", lambda m, d=iter(re.sub(r"\D", "", r.s)): next(d), r.v) for r in drawn]
+    values = first + laid
     assert len(set(values)) == 8
     rows = spark.createDataFrame([(i, f"see {v} here") for i, v in enumerate(values)], "doc_id long, text string")
     got = [r.text[4:-5] for r in S.replace_entities(rows).orderBy("doc_id").collect()]
     assert len(set(got)) == 8 and not set(got) & set(values)
     assert all(re.sub("[0-9]", "0", g) == re.sub("[0-9]", "0", v) for g, v in zip(got, values, strict=True) if "." not in v)
+
+
+def plain_entities(text):
+    """Found pieces (start, end, kind, canonical form), by patterns written anew; names with their document-wide repeats."""
+    kinds = {
+        "email": r"(?<![\w.%+-])[\w.%+-]+@[\w-]+(?:\.[\w-]+){1,126}",
+        "ip": r"(?<![\w.])(?:\d{1,3}\.){3}\d{1,3}(?!\d|\.\d)",
+        "phone": r"(?<!\w)(?:\+\d{1,3}[ .-]?)?(?:\(\d{2,4}\)|\d{3})[ .-]?\d{3}[ .-]\d{4}(?!\d)",
+        "card": r"(?<!\w)\d{4}([ -]?)\d{4}\1\d{4}\1\d{1,7}(?!\w)",
+        "ssn": r"(?<![\d-])\d{3}-\d{2}-\d{4}(?![\d-])",
+    }
+    out = []
+    for kind, p in kinds.items():
+        for m in re.finditer(p, text, re.ASCII if kind != "email" else 0):
+            if kind == "ip" and any(int(x) > 255 or (len(x) > 1 and x[0] == "0") for x in m[0].split(".")):
+                continue
+            out.append((m.start(), m.end(), kind, m[0]))
+    return out
+
+
+def luhn(digits):
+    total = 0
+    for k, d in enumerate(reversed(digits)):
+        v = int(d) * (1 + k % 2)
+        total += v - 9 if v > 9 else v
+    return total % 10 == 0
+
+
+def test_surrogates_of_all_documents(spark, docs):
+    """Against plain Python: nothing but entities changes, the same one always alike, different ones never; formats stay."""
+    from bitgrove.llm import surrogate as S
+
+    before = {r.doc_id: r.text for r in docs.collect()}
+    after = {r.doc_id: r.text for r in S.replace_entities(docs).collect()}
+    seen, back = {}, {}
+    n = 0
+    for i, text in before.items():
+        if not text:
+            assert after[i] == text
+            continue
+        found = sorted(plain_entities(text))
+        at, cut, rest = 0, 0, after[i]
+        if re.search(r"\b(?:Mrs|Ms|Miss|Mr|Frau|Herr|Madame|Mme|Monsieur|Señora?|Sra?|Госпожа|Господин)\b", text):
+            continue
+        for a, b, kind, value in found:
+            if a < at:
+                continue
+            gap = text[at:a]
+            assert rest.startswith(gap, cut), (i, value)
+            cut += len(gap)
+            m = re.match(r"[a-z]+[._+-]?\d*@mail\d\.example\.org" if kind == "email" else r"\d+\.\d+\.\d+\.\d+" if kind == "ip" else re.sub(r"\d", r"\\d", re.escape(value)), rest[cut:])
+            assert m and m[0] != value, (i, kind, value, rest[cut : cut + 40])
+            key = (kind, value.lower() if kind == "email" else re.sub(r"[^\d.]", "", value) if kind != "ip" else value)
+            made = m[0] if kind in ("email", "ip") else re.sub(r"\D", "", m[0])
+            assert seen.setdefault(key, made) == made
+            assert back.setdefault((kind, made), key) == key
+            if kind == "card":
+                assert luhn(re.sub(r"\D", "", value)) == luhn(made)
+            cut += len(m[0])
+            at, n = b, n + 1
+        assert rest[cut:] == text[at:]
+    assert n > 20 and not {v for v in seen.values()} & {k for _, k in seen}
+
+
+def test_one_entity_in_many_notations(spark):
+    from bitgrove.llm import surrogate as S
+
+    rows = ["+1555-123-4567 and +1 555-123-4567 and +1 (555) 123-4567", "Mrs Jane Roe, Mrs. Jane Roe, Ms Jane Roe; Then Jane Roe and Roe met Jane. Mr Roe", "10.1.2.3 192.168.3.4 172.20.1.1 8.8.8.8 127.0.0.1", "Jane Roe alone", "4111 1111 1111 1111 4111-1111-1111-1112", "Госпожа Иванова и Иванова"]
+    got = [r.text for r in S.replace_entities(spark.createDataFrame([(i, t, 7, "x") for i, t in enumerate(rows)], "doc_id long, text string, n_entities int, _new string"), carry=("n_entities", "_new")).orderBy("doc_id").collect()]
+    phones = {re.sub(r"\D", "", x) for x in got[0].split(" and ")}
+    assert len(phones) == 1 and phones.pop().startswith("1") and re.fullmatch(r"\+1\d{3}-\d{3}-\d{4} and \+1 \d{3}-\d{3}-\d{4} and \+1 \(\d{3}\) \d{3}-\d{4}", got[0])
+    m = re.fullmatch(r"Mrs (\w+) (\w+), Mrs\. (\w+) (\w+), Ms (\w+) (\w+); Then (\w+) (\w+) and (\w+) met Jane\. Mr (\w+)", got[1])
+    assert m and len({m[1], m[3], m[5], m[7]}) == 1 and len({m[2], m[4], m[6], m[8], m[9], m[10]}) == 1 and "Roe" not in got[1]
+    ips = got[2].split()
+    assert ips[0].startswith("10.") and ips[1].startswith("192.168.") and re.match(r"172\.(1[6-9]|2\d|3[01])\.", ips[2]) and ips[4].startswith("127.")
+    assert not re.match(r"(10|127|0|22[4-9]|2[3-5]\d|192\.168|169\.254|172\.(1[6-9]|2\d|3[01]))\.", ips[3]) and not set(ips) & set(rows[2].split())
+    assert got[3] == rows[3]
+    assert luhn(re.sub(r"\D", "", got[4][:19])) and not luhn(re.sub(r"\D", "", got[4][20:]))
+    assert "Иванов" not in got[5] and len(set(re.findall(r"[А-Я][а-я]+ва\b", got[5]))) == 1
+
+
+def test_a_full_range_stays_distinct(spark):
+    from pyspark.sql import functions as F
+
+    from bitgrove.llm import surrogate as S
+
+    every = spark.range(65536).select(F.col("id").alias("doc_id"), F.concat_ws(".", F.lit("192.168"), F.floor(F.col("id") / 256), F.col("id") % 256).alias("text"))
+    got = S.replace_entities(every)
+    assert got.select("text").distinct().count() == 65536 and got.filter("text not like '192.168.%'").count() == 0
+
+
+@pytest.mark.parametrize("text", ["x@" + ".".join(["a"] * 200_000), "a." * 250_000, "1" * 500_000, "Mr Abc " * 70_000, "Abc " * 125_000, "aZ9+" * 250_000, "0af" * 170_000, "token=abcdefgh12 " * 10_000, ("0a" * 16 + " ") * 10_000, "1.2.3.4 " * 60_000])
+def test_very_long_texts(spark, text):
+    """One text of a kind's own alphabet through the SQL operators, within the time of a test."""
+    from bitgrove.llm.quality import measured
+    from bitgrove.llm.secret_scan import scan
+    from bitgrove.llm.surrogate import replace_entities
+
+    one = spark.createDataFrame([(1, text)], "doc_id long, text string")
+    assert replace_entities(one).count() == 1
+    assert len(replace_entities(one).first().text) > 0
+    ratios = [0.1] * 67**2
+    assert scan(one, ratios).first().doc_id == 1
+    assert measured(one).first().n_words == len(text.split())
+
+
+def test_long_texts_of_the_other_operators(spark):
+    from bitgrove.llm import chat
+    from bitgrove.llm.minhash import near_duplicates
+    from bitgrove.llm.mixing import mix
+    from bitgrove.llm.packing import pack_documents
+    from bitgrove.llm.subtree import remove_repeated_words
+    from bitgrove.llm.suffix_dedup import remove_repeated_bytes
+
+    long = ["x" * 1_000_000, "x" * 1_000_000, "ab " * 300_000, " ".join(f"w{i}" for i in range(100_000))]
+    docs = spark.createDataFrame([(i, t, "s") for i, t in enumerate(long)], "doc_id long, text string, source string")
+    assert {r.doc_id: r.n_removed for r in remove_repeated_bytes(docs).collect()} == {0: 0, 1: 1_000_000, 2: 0, 3: 0}
+    assert {r.doc_id: r.n_removed for r in remove_repeated_words(docs).collect()} == {0: 0, 1: 0, 2: 300_000, 3: 0}
+    assert {r.doc_id: (r.n_shingles, r.component_id) for r in near_duplicates(docs).collect()} == {0: (1, 0), 1: (1, 0), 2: (1, 2), 3: (99_996, 3)}
+    assert mix(docs).count() == 4
+    assert pack_documents(docs, Q.tokenizer()).groupBy("doc_id").agg({"length": "sum", "doc_tokens": "max"}).filter("`sum(length)` <> `max(doc_tokens)`").count() == 0
+    turns = spark.createDataFrame([(1, k, "assistant", t + "<|im_end|>" * 50_000) for k, t in enumerate(long)], "conv_id long, turn long, role string, text string")
+    assert chat.digests(turns).first().loss_chars == sum(map(len, long)) + 4 * 500_000
+    assert chat.digests(turns.limit(0)).count() == 0
+
+
+def test_words_that_a_polynomial_confuses(spark):
+    """Two long words of a binary sequence and its complement share every polynomial name with an odd base."""
+    from bitgrove.llm.minhash import near_duplicates
+    from bitgrove.llm.subtree import remove_repeated_words
+
+    a = "".join("ab"[bin(i).count("1") % 2] for i in range(1024))
+    b = a.translate(str.maketrans("ab", "ba"))
+    tail = " ".join(f"v{i}" for i in range(34))
+    docs = spark.createDataFrame([(0, a + " " + tail), (1, b + " " + tail), (2, a), (3, b)], "doc_id long, text string")
+    assert remove_repeated_words(docs).filter("n_removed > 0").count() == 0
+    assert {r.doc_id: r.component_id for r in near_duplicates(docs, 4).collect()} == {0: 0, 1: 0, 2: 2, 3: 3}
+
+
+def test_vectors_of_many_lengths_and_without_ids(spark):
+    from bitgrove.llm.multi_index import near_vectors
+
+    rows = [(2 * i + k, [1.0] * i + [float(k) / 100]) for i in range(1, 1201) for k in (0, 1)]
+    rows += [(None, [1.0, 0.0]), (None, None), (9000, None)]
+    got = near_vectors(spark.createDataFrame([(*r, 1, "x") for r in rows], "vec_id long, embedding array<double>, n int, cell string")).collect()
+    assert len(got) == len(rows)
+    for r in got:
+        if r.vec_id is None or r.vec_id == 9000:
+            assert (r.n_links, r.component_id, r.kept) == (0, r.vec_id, True)
+        else:
+            assert (r.n_links, r.component_id) == (1, r.vec_id - r.vec_id % 2)
+
+
+def test_more_strata_than_a_thousand(spark):
+    from pyspark.sql import functions as F
+
+    from bitgrove.llm.quality import binomial_tail, judge, tail_at_most
+
+    docs = spark.range(4400).select(F.col("id").alias("doc_id"), F.concat_ws(" ", F.transform(F.sequence(F.lit(1), F.lit(60)), lambda i: F.concat(F.lit("w"), F.col("id"), F.lit("x"), i))).alias("text"), (F.col("id") % 1100).cast("string").alias("lang"))
+    labels = docs.select("doc_id", F.lit(1).alias("quality"))
+    assert judge(docs, labels).filter("kept").count() == 4400 == judge(docs, labels, joint=True).filter("kept").count()
+    rows = [(n, x) for n in (1, 5, 40, 200, 1595, 5000, 10**6) for x in (0, 1, 3, 10, 40, 90, 19_000) if x <= n]
+    for level in (0.05, 1e-4, 1e-8):
+        for r in spark.createDataFrame(rows, "n long, x long").withColumn("ok", tail_at_most(F.col("n"), 0.02, F.col("x"), level)).collect():
+            assert r.ok == (binomial_tail(r.n, 0.02, r.x) <= level)
+
+
+def test_columns_that_clash(spark):
+    import corpus_pipeline as P
+    from bitgrove.llm.mixing import mix
+
+    text = " ".join(f"w{i}" for i in range(80)) + " a.b@mail.example.com"
+    more = ["n_entities", "kinds", "_turn", "_row", "_doc", "_id", "key", "slice", "size", "kept", "target"]
+    docs = spark.createDataFrame([(i, text + f" v{i} " * i, "en", "s", 1, *range(len(more))) for i in range(3)], "doc_id long, text string, lang string, source string, n_chars long, " + ", ".join(f"`{c}` int" for c in more))
+    out = docs
+    for name, stage in P.STAGES[:-1]:
+        out = stage(spark, out, D)
+        assert out.columns == docs.columns, name
+        assert out.select(*more).distinct().collect() == [tuple(range(len(more)))], name
+    assert set(mix(docs, carry=("key", "slice")).select("key", "slice").first()) == {6, 7}
