@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.scratch import shared_dir, stored
+
+__all__ = ["BROADCAST_BYTES", "SPACES", "n_words", "read", "shared_dir", "stored", "stored_in_buckets", "words"]
+
 #: The white space that separates words, in every operator of this folder.
 SPACES = r"[\x20\x09-\x0D]+"
 #: What a table may take, by its rows and a bound of their size, to be sent to every task.
@@ -18,33 +21,15 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share (spark.checkpoint.dir); a local session without one gets a temporary folder."""
-    if at := spark.conf.get("spark.checkpoint.dir", None):
-        return at
-    context = spark.sparkContext
-    if not (at := context.getCheckpointDir()):
-        if not context.master.startswith("local"):
-            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-        context.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="bitgrove-"))
-        at = context.getCheckpointDir()
-    return at
-
-
-def stored(df: DataFrame, name: str) -> DataFrame:
-    """df written as Parquet to the shared folder and read back: cuts lineage and survives lost executors."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/bitgrove-{uuid.uuid4().hex}/{name}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def stored_in_buckets(df: DataFrame, name: str, key: str, buckets: int) -> DataFrame:
-    """As stored, bucketed by key: joins on key then read it in place instead of shuffling it."""
+    """As stored, bucketed by key: joins on key then read it in place instead of shuffling it. The table's name leaves the catalog
+    again at once; its files stay, and the returned rows know where."""
     spark = df.sparkSession
     table = f"bitgrove_{name}_{uuid.uuid4().hex}"
     df.write.bucketBy(buckets, key).option("path", f"{shared_dir(spark)}/{table}").format("parquet").saveAsTable(table)
-    return spark.table(table)
+    rows = spark.table(table)
+    spark.sql(f"DROP TABLE {table}")
+    return rows
 
 
 def words(text):
