@@ -105,11 +105,11 @@ def sample_sets(words: DataFrame, tree: Tree, ids: DataFrame, draws: int | DataF
     """(set_id, draw, x, idx, intersections, memberships): `draws` ids of each filter, x null if it holds none.
 
     weights: 'paper' (estimated overlap, nodes under tau are not entered), 'floored' (the estimate, FLOOR at least, only nodes
-    without a common bit are left out), 'exact' (true numbers of positives below; uniform over what the filter answers yes for).
+    without a common bit are left out), 'prior' (the share of ids in use, whatever the bits say of live nodes), 'exact' (true numbers of positives below; uniform over what the filter answers yes for).
     printed: counts the work of the printed control flow, which enters dead siblings too; the draws are the same.
     replace=False: ids of a set differ; draws that meet in a leaf with too few ids take unused ones of the set, or none.
     """
-    live = mark(words, tree, "paper" if weights == "paper" else "floored", tau)
+    live = mark(words, tree, weights if weights in ("paper", "prior") else "floored", tau)
     found = stored(probe_leaves(live, tree, words, ids), "positives")
     nodes = viability(live, tree, found, printed)
     paths = descend(nodes, live, tree, draws, seed, weights)
@@ -129,7 +129,7 @@ def sample_sets(words: DataFrame, tree: Tree, ids: DataFrame, draws: int | DataF
 
 def path_probabilities(words: DataFrame, tree: Tree, ids: DataFrame, weights: str = "floored", tau: float | None = None) -> DataFrame:
     """(set_id, x, probability): the exact chance that one draw returns each positive; no sampling noise."""
-    live = mark(words, tree, "paper" if weights == "paper" else "floored", tau)
+    live = mark(words, tree, weights if weights in ("paper", "prior") else "floored", tau)
     found = stored(probe_leaves(live, tree, words, ids), "positives")
     nodes = viability(live, tree, found).filter("positives > 0")
     weight = F.col("positives").cast("double") if weights == "exact" else F.col("weight")

@@ -42,6 +42,8 @@ def _weighed(rows: DataFrame, tree: Tree, weights: str, tau: float | None) -> Da
     prior = F.coalesce(F.col("n_hat"), F.lit(1.0)) * F.col("occupied") / F.lit(float(tree.domain))
     value = F.when(status.isin("saturated", "undefined"), prior).otherwise(estimate)
     touched = F.col("both") >= 1
+    if weights == "prior":
+        return rows.withColumn("weight", prior).withColumn("live", touched)
     if weights == "floored":
         return rows.withColumn("weight", F.greatest(value, F.lit(FLOOR))).withColumn("live", touched)
     keep = touched if tau is None else touched & (status.isin("saturated", "undefined") | (value >= tau))

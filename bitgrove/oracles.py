@@ -52,7 +52,9 @@ def live(spec: Spec, depth: int, weights: str = "floored", tau: float | None = N
     arg = f"(1 - ({m}::DOUBLE * common - t1 * t2::DOUBLE) / nullif({below}, 0))"
     bad = f"(t1 >= {m} OR t2 >= {m} OR {arg} IS NULL OR {arg} <= 0)"
     value = f"CASE WHEN {bad} THEN coalesce(n_hat, 1.0) * occ / M::DOUBLE ELSE ln({arg}) / ({c!r}) END"
-    if weights == "floored":
+    if weights == "prior":
+        weight, keep = "coalesce(n_hat, 1.0) * occ / M::DOUBLE", "common >= 1"
+    elif weights == "floored":
         weight, keep = f"greatest({value}, 0.5)", "common >= 1"
     else:
         weight, keep = f"greatest({value}, 0.0)", "common >= 1" + (f" AND ({bad} OR ({value}) >= {tau})" if tau is not None else "")
@@ -104,7 +106,7 @@ def _placed(rows: str, value: str, what: str, draws: int = 5, seed: int = 2) ->
 
 
 def sampling(sets: str, draws: int | str, weights: str = "floored", tau: float | None = None, spec: Spec = SPEC, depth: int = DEPTH, domain: str = ORDERS, ids: str | None = None) -> str:
-    return base(sets, spec, domain, ids) + tree(spec, depth) + live(spec, depth, "paper" if weights == "paper" else "floored", tau) + drawn(spec, depth, draws, weights)
+    return base(sets, spec, domain, ids) + tree(spec, depth) + live(spec, depth, weights if weights in ("paper", "prior") else "floored", tau) + drawn(spec, depth, draws, weights)
 
 
 def _nation_draws(weights: str) -> str:
@@ -284,6 +286,7 @@ ORACLES = {
     "q_sample_many_replace": sampling(suppliers(), 20) + " SELECT * FROM samples",
     "q_sample_paper": sampling(suppliers(), 10, "paper", 0.0) + " SELECT * FROM samples",
     "q_sample_exact": sampling(suppliers(), 20, "exact") + " SELECT * FROM samples",
+    "q_sample_prior": sampling(suppliers(), 10, "prior") + " SELECT * FROM samples",
     "q_sample_printed": _printed(suppliers(), 10),
     "q_sample_ops": sampling(suppliers(), 20) + " SELECT set_id, count(*) AS draws, sum(intersections)::BIGINT AS intersections, sum(memberships)::BIGINT AS memberships FROM samples GROUP BY set_id",
     "q_path_probability": _path_probability(),

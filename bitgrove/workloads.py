@@ -542,6 +542,7 @@ QUERIES = {
     "q_sample_many_noreplace": _sampled("floored", 50, replace=False),
     "q_sample_paper": _sampled("paper", 10, tau=0.0),
     "q_sample_exact": _sampled("exact", 20),
+    "q_sample_prior": _sampled("prior", 10),
     "q_sample_printed": _sampled("paper", 10, tau=0.0, printed=True),
     "q_preimage_set_bits": _preimage("set"),
     "q_preimage_first_function": _preimage("set", "first"),
