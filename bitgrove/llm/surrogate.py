@@ -38,7 +38,7 @@ PATTERNS = {
     "phone": r"(?<![0-9\p{L}])(?:\+[0-9]{1,3}[ .-]?)?(?:\([0-9]{2,4}\)|[0-9]{3})[ .-]?[0-9]{3}[ .-][0-9]{4}(?![0-9])",
     "card": r"(?<![0-9\p{L}])[0-9]{4}([ -]?)[0-9]{4}\1[0-9]{4}\1[0-9]{1,7}(?![0-9\p{L}])",
     "ssn": r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])",
-    "name": rf"{_TITLE}\p{{Lu}}\p{{L}}++(?: \p{{Lu}}\p{{L}}++)?",
+    "name": rf"{_TITLE}\p{{Lu}}\p{{L}}++(?: (?!(?:{TITLES['f']}|{TITLES['m']})(?!\p{{L}}))\p{{Lu}}\p{{L}}++)?",
 }
 ANY = "|".join(f"(?:{p.replace('([ -]?)', '(?<gap>[ -]?)').replace(chr(92) + '1', chr(92) + 'k<gap>')})" for p in PATTERNS.values())
 #: In documents with a titled name every capitalised word is looked at: it may repeat the name.
