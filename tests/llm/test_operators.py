@@ -418,19 +418,22 @@ def test_a_full_range_stays_distinct(spark):
     assert got.select("text").distinct().count() == 65536 and got.filter("text not like '192.168.%'").count() == 0
 
 
-@pytest.mark.parametrize("text", ["x@" + ".".join(["a"] * 200_000), "a." * 250_000, "1" * 500_000, "Mr Abc " * 70_000, "Abc " * 125_000, "aZ9+" * 250_000, "0af" * 170_000, "token=abcdefgh12 " * 10_000, ("0a" * 16 + " ") * 10_000, "1.2.3.4 " * 60_000])
-def test_very_long_texts(spark, text):
-    """One text of a kind's own alphabet through the SQL operators, within the time of a test."""
+def test_very_long_texts(spark):
+    """Texts of each kind's own alphabet through the SQL operators, within the time of a test."""
+    from pyspark.sql import functions as F
+
     from bitgrove.llm.quality import measured
     from bitgrove.llm.secret_scan import scan
     from bitgrove.llm.surrogate import replace_entities
 
-    one = spark.createDataFrame([(1, text)], "doc_id long, text string")
-    assert replace_entities(one).count() == 1
-    assert len(replace_entities(one).first().text) > 0
-    ratios = [0.1] * 67**2
-    assert scan(one, ratios).first().doc_id == 1
-    assert measured(one).first().n_words == len(text.split())
+    texts = ["x@" + ".".join(["a"] * 200_000), "a." * 250_000, "1" * 500_000, "Mr Abc " * 70_000, "Abc " * 125_000, "aZ9+" * 250_000, "0af" * 170_000, "token=abcdefgh12 " * 10_000, ("0a" * 16 + " ") * 10_000, "1.2.3.4 " * 60_000]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(10).cache()
+    safe = {r.doc_id: (r.n, r.size) for r in replace_entities(docs).select("doc_id", F.col("n_entities").alias("n"), F.length("text").alias("size")).collect()}
+    assert safe[0][0] == 1 and safe[3][0] == 70_000 and safe[9][0] == 60_000
+    assert all(safe[i] == (0, len(texts[i])) for i in (1, 2, 4, 5, 6, 7, 8))
+    spans = {r.doc_id: (r.n_assign, r.n_hex, r.n_markov) for r in scan(docs, [0.6] * 67**2).collect()}
+    assert spans[5] == (0, 0, 1) and spans[6] == (0, 1, 0) and spans[7][0] == 10_000 and spans[8][1:] == (10_000, 0)
+    assert {r.doc_id: r.n_words for r in measured(docs).collect()} == {i: len(t.split()) for i, t in enumerate(texts)}
 
 
 def test_long_texts_of_the_other_operators(spark):
