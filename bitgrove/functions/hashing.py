@@ -58,6 +58,11 @@ def make_spec(m: int, k: int = 3, family: str = "affine_mod_p", domain: int = 2*
     return Spec(m, k, family, tuple(a), tuple(b), p)
 
 
+def period(spec: Spec) -> int | None:
+    """Ids that differ by a multiple of this agree in every function; None if there is no such number."""
+    return {"affine_mod_m": spec.m, "affine_mod_p": spec.p}.get(spec.family)
+
+
 def positions(x: Column, spec: Spec) -> list[Column]:
     """The k positions of an id. Ids are non-negative longs; string or struct keys go through xxhash64 first."""
     m = F.lit(spec.m)

@@ -11,6 +11,7 @@ from ..functions.hashing import Spec
 from ..sources.scratch import stored
 from .descent import coin, random_key
 from .filters import BROADCAST_BYTES, check_pairs, contains, ones, set_bits
+from .whole import by_set, dense, digest, divided, looked_up, parts_for, positives, spread, without_unset
 #: What a set id takes in a broadcast, at most.
 ID_BYTES = 256
 
@@ -20,6 +21,36 @@ def probe_recover(ids: DataFrame, words: DataFrame, spec: Spec, way: str = "auto
     return contains(ids, words, spec, way)
 
 
+def probe_whole(words: DataFrame, spec: Spec, domain: int, way: str = "each") -> DataFrame:
+    """(set_id, r): what each filter answers yes for among all ids 0..domain-1, as those of one period of the hash functions; spread
+    lists the ids, digest counts them. 'each': a set's task tries its filter; 'division': it divides the set's bits."""
+    return divided(words, spec, domain) if way == "division" else positives(dense(words, spec), spec, domain)
+
+
+def probe_counted(words: DataFrame, spec: Spec, domain: int, truth: DataFrame | None = None, way: str = "each") -> tuple[DataFrame, DataFrame | None]:
+    """(set_id, n, sum_x) of a probe of all ids 0..domain-1, and with truth (set_id, x) how many of it are found (set_id, n_both)."""
+    found = digest(probe_whole(words, spec, domain, way), spec, domain)
+    both = None if truth is None else check_pairs(truth.filter(F.col("x").between(0, domain - 1)), words, spec).groupBy("set_id").agg(F.count("*").alias("n_both"))
+    return found, both
+
+
+def probe_whole_sample(words: DataFrame, spec: Spec, domain: int, draws: int = 1, seed: int = 1) -> DataFrame:
+    """probe_sample over all ids 0..domain-1: ranks are counted in the task that holds the set."""
+    words = by_set(words)
+    held = stored(probe_whole(words, spec, domain), "probe")
+    n = digest(held, spec, domain).select("set_id", "n")
+    listed = spread(held.repartition(parts_for(held.select("set_id").distinct().count()), "set_id"), spec, domain)
+    ranks = lambda rows: rows.withColumn("rank", F.row_number().over(Window.partitionBy("set_id").orderBy(random_key(seed, F.lit("probe"), "set_id", "x"), "x")))
+    every = words.select("set_id").distinct().join(n, "set_id", "left").select("set_id", "n", F.explode(F.sequence(F.lit(0), F.lit(draws - 1))).alias("draw"))
+    aimed = every.withColumn("rank", F.floor(coin(seed, F.lit("probe"), "set_id", "draw") * F.col("n")).cast("int") + 1)
+    return looked_up(aimed, listed, ["set_id"], ranks).select("set_id", "draw", "x")
+
+
+def preimage_unset_whole(words: DataFrame, spec: Spec, domain: int) -> DataFrame:
+    """(set_id, n, sum_x) of all ids 0..domain-1 less the preimages of unset bits."""
+    return digest(without_unset(dense(words, spec), spec, domain), spec, domain)
+
+
 def _ranked(rows: DataFrame, value: str, draws: int, seed: int, what: str) -> DataFrame:
     """(set_id, draw, value): each draw names the rank it wants among the set's rows in the order of a digest, so it meets one
     row and not all of them."""
@@ -100,5 +131,3 @@ def preimage_ops(words: DataFrame, spec: Spec, domain: int) -> DataFrame:
     """Per set: set bits, which side 'auto' takes, ids listed and memberships after repeats are dropped."""
     listed = _listed(set_bits(words), spec, domain, "all").groupBy("set_id").agg(F.count("*").alias("listed"), F.count_distinct("x").alias("memberships"))
     return ones(words).join(listed, "set_id").select("set_id", "ones", F.when(F.col("ones") * 2 <= spec.m, "set").otherwise("unset").alias("side"), "listed", "memberships")
-
-

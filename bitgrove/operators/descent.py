@@ -14,10 +14,13 @@ from pyspark.sql import functions as F
 from ..plans.tree import Tree
 from ..sources.scratch import stored
 from .filters import BROADCAST_BYTES
-from .sweep import Live, mark, probe_leaves
+from .sweep import MOST_BITS, Live, held_leaves, in_live_leaves, mark, probe_leaves
+from .whole import by_set, looked_up, parts_for
 
 #: What a row of live nodes takes in a broadcast, at most.
 NODE_BYTES = 512
+#: Sets of which one task takes whole ones, at least.
+FEW_SETS = 256
 
 
 def coin(seed: int, *parts: Column | str) -> Column:
@@ -101,36 +104,63 @@ def descend(nodes: DataFrame, live: Live, tree: Tree, draws: int | DataFrame, se
     return done.select("set_id", "draw", "idx", "intersections", (F.col("memberships") + F.coalesce("probes", F.lit(0))).alias("memberships"), "positives")
 
 
-def sample_sets(words: DataFrame, tree: Tree, ids: DataFrame, draws: int | DataFrame = 1, seed: int = 1, weights: str = "floored", tau: float | None = None, replace: bool = True, printed: bool = False) -> DataFrame:
+def _leaf_ranks(found: DataFrame, seed: int) -> DataFrame:
+    return found.withColumn("rank", F.row_number().over(Window.partitionBy("set_id", "idx").orderBy(random_key(seed, F.lit("leaf"), "set_id", "x"), "x")))
+
+
+def _found(live: Live, tree: Tree, words: DataFrame, ids: DataFrame | None) -> tuple[DataFrame, DataFrame]:
+    """(set_id, x, idx) of probe_leaves twice: as stored, and dealt so that a set's rows are ranked where they are. Of all ids only
+    those of one period are stored."""
+    if ids is not None or tree.depth > MOST_BITS:
+        found = stored(probe_leaves(live, tree, words, ids), "positives")
+        return found, found
+    held, sets = held_leaves(live, tree, words), live.sizes.count()
+    # A few sets would leave most tasks idle: their rows are dealt by leaf.
+    return in_live_leaves(held, tree), in_live_leaves(held.repartition(parts_for(sets), "set_id") if sets >= FEW_SETS else held, tree)
+
+
+def sample_sets(words: DataFrame, tree: Tree, ids: DataFrame | None, draws: int | DataFrame = 1, seed: int = 1, weights: str = "floored", tau: float | None = None, replace: bool = True, printed: bool = False) -> DataFrame:
     """(set_id, draw, x, idx, intersections, memberships): `draws` ids of each filter, x null if it holds none.
 
     weights: 'paper' (estimated overlap, nodes under tau are not entered), 'floored' (the estimate, FLOOR at least, only nodes
     without a common bit are left out), 'prior' (the share of ids in use, whatever the bits say of live nodes), 'exact' (true numbers of positives below; uniform over what the filter answers yes for).
     printed: counts the work of the printed control flow, which enters dead siblings too; the draws are the same.
+    ids: those in use, or None for all of the domain.
     replace=False: ids of a set differ; draws that meet in a leaf with too few ids take unused ones of the set, or none.
     """
+    words = by_set(words)
     live = mark(words, tree, weights if weights in ("paper", "prior") else "floored", tau)
-    found = stored(probe_leaves(live, tree, words, ids), "positives")
+    found, dealt = _found(live, tree, words, ids)
     nodes = viability(live, tree, found, printed)
     paths = descend(nodes, live, tree, draws, seed, weights)
-    ranked_ids = found.withColumn("rank", F.row_number().over(Window.partitionBy("set_id", "idx").orderBy(random_key(seed, F.lit("leaf"), "set_id", "x"), "x")))
+    ranks = lambda rows: _leaf_ranks(rows, seed)
+    if ids is None and isinstance(draws, int):
+        meet = lambda wanted: looked_up(wanted, dealt, ["set_id", "idx"], ranks)
+    else:
+        meet = lambda wanted: wanted.join(ranks(dealt), ["set_id", "idx", "rank"], "left")
     if replace:
         # A draw names the rank it wants, so it meets one id of its leaf and not all of them.
         wanted = paths.withColumn("rank", F.floor(coin(seed, F.lit("pick"), "set_id", "draw") * F.col("positives")).cast("int") + 1)
-        return wanted.join(ranked_ids, ["set_id", "idx", "rank"], "left").select("set_id", "draw", "x", "idx", "intersections", "memberships")
+        return meet(wanted).select("set_id", "draw", "x", "idx", "intersections", "memberships")
     ranked = paths.withColumn("rank", F.row_number().over(Window.partitionBy("set_id", "idx").orderBy("draw")))
-    first = stored(ranked.join(ranked_ids, ["set_id", "idx", "rank"], "left").select("set_id", "draw", "x", "idx", "intersections", "memberships"), "drawn")
-    unused = found.select("set_id", "x").join(first.filter("x is not null").select("set_id", "x"), ["set_id", "x"], "left_anti").join(first.filter("x is null").select("set_id").distinct(), "set_id", "left_semi")
+    first = stored(meet(ranked).select("set_id", "draw", "x", "idx", "intersections", "memberships"), "drawn")
+    missing = stored(first.filter("x is null").select("set_id").distinct(), "missing")
+    if missing.isEmpty():
+        return first
+    unused = found.select("set_id", "x").join(_small(missing), "set_id", "left_semi").join(first.filter("x is not null").select("set_id", "x"), ["set_id", "x"], "left_anti")
     spare = unused.withColumn("rank", F.row_number().over(Window.partitionBy("set_id").orderBy(random_key(seed, F.lit("spare"), "set_id", "x"), "x"))).withColumnRenamed("x", "y")
     short = first.filter("x is null").withColumn("rank", F.row_number().over(Window.partitionBy("set_id").orderBy("draw")))
     filled = short.join(spare, ["set_id", "rank"], "left").select("set_id", "draw", F.col("y").alias("x"), "idx", "intersections", "memberships")
     return first.filter("x is not null").unionByName(filled)
 
 
-def path_probabilities(words: DataFrame, tree: Tree, ids: DataFrame, weights: str = "floored", tau: float | None = None) -> DataFrame:
-    """(set_id, x, probability): the exact chance that one draw returns each positive; no sampling noise."""
+def leaf_probabilities(words: DataFrame, tree: Tree, ids: DataFrame | None, weights: str = "floored", tau: float | None = None) -> DataFrame:
+    """(set_id, idx, n, probability): leaves that hold positives, how many, and the exact chance of each of them in one draw."""
     live = mark(words, tree, weights if weights in ("paper", "prior") else "floored", tau)
-    found = stored(probe_leaves(live, tree, words, ids), "positives")
+    return _chances(live, tree, _found(live, tree, words, ids)[0], weights)
+
+
+def _chances(live: Live, tree: Tree, found: DataFrame, weights: str) -> DataFrame:
     nodes = viability(live, tree, found).filter("positives > 0")
     weight = F.col("positives").cast("double") if weights == "exact" else F.col("weight")
     chance = nodes.filter("level = 0").select("set_id", "idx", F.lit(1.0).alias("probability"))
@@ -140,15 +170,23 @@ def path_probabilities(words: DataFrame, tree: Tree, ids: DataFrame, weights: st
         shared = at.withColumn("share", F.when(total > 0, F.col("w") / total).otherwise(1 / many))
         up = chance.select("set_id", F.col("idx").alias("parent"), "probability")
         chance = shared.join(up, ["set_id", "parent"]).select("set_id", "idx", (F.col("probability") * F.col("share")).alias("probability"))
-    leaf = found.groupBy("set_id", "idx").agg(F.count("*").alias("n"))
-    return found.join(chance, ["set_id", "idx"]).join(leaf, ["set_id", "idx"]).select("set_id", "x", (F.col("probability") / F.col("n")).alias("probability"))
+    leaf = nodes.filter(F.col("level") == tree.depth).select("set_id", "idx", F.col("positives").alias("n"))
+    return chance.join(leaf, ["set_id", "idx"]).select("set_id", "idx", "n", (F.col("probability") / F.col("n")).alias("probability"))
+
+
+def path_probabilities(words: DataFrame, tree: Tree, ids: DataFrame | None, weights: str = "floored", tau: float | None = None) -> DataFrame:
+    """(set_id, x, probability): the exact chance that one draw returns each positive; no sampling noise."""
+    live = mark(words, tree, weights if weights in ("paper", "prior") else "floored", tau)
+    found = _found(live, tree, words, ids)[0]
+    return found.join(_chances(live, tree, found, weights), ["set_id", "idx"]).select("set_id", "x", "probability")
 
 
-def rejected_to_uniform(words: DataFrame, tree: Tree, ids: DataFrame, draws: int, seed: int, weights: str = "floored") -> DataFrame:
+def rejected_to_uniform(words: DataFrame, tree: Tree, ids: DataFrame | None, draws: int, seed: int, weights: str = "floored") -> DataFrame:
     """(set_id, draw, x): draws by descents with these weights, each kept with a chance that makes those kept uniform: the least
-    probability of a positive of the set over its own."""
-    chances = stored(path_probabilities(words, tree, ids, weights), "chances")
+    probability of a positive of the set over its own. Positives of a leaf share one probability."""
+    words = by_set(words)
+    chances = stored(leaf_probabilities(words, tree, ids, weights), "chances")
     least = chances.groupBy("set_id").agg(F.min("probability").alias("least"))
-    tried = sample_sets(words, tree, ids, draws, seed, weights).filter("x is not null").select("set_id", "draw", "x")
-    known = tried.join(chances, ["set_id", "x"]).join(_small(least), "set_id")
+    tried = sample_sets(words, tree, ids, draws, seed, weights).filter("x is not null").select("set_id", "draw", "x", "idx")
+    known = tried.join(chances, ["set_id", "idx"]).join(_small(least), "set_id")
     return known.filter(coin(seed, "set_id", "draw", F.lit("keep")) < F.col("least") / F.col("probability")).select("set_id", "draw", "x")

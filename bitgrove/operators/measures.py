@@ -51,6 +51,22 @@ def recovery(found: DataFrame, truth: DataFrame) -> DataFrame:
     return both.select("*", F.try_divide("n_both", "n_found").alias("precision"), F.try_divide("n_both", "n_true").alias("recall"))
 
 
+def recovery_counted(n_found: DataFrame, n_both: DataFrame, truth: DataFrame) -> DataFrame:
+    """recovery from counts per set (set_id, n_found) and (set_id, n_both)."""
+    true = truth.groupBy("set_id").agg(F.count("*").alias("n_true"))
+    both = true.join(n_found, "set_id", "full").join(n_both, "set_id", "left").fillna(0, ["n_true", "n_found", "n_both"])
+    return both.select("set_id", "n_true", "n_found", "n_both", F.try_divide("n_both", "n_found").alias("precision"), F.try_divide("n_both", "n_true").alias("recall"))
+
+
+def distance_of_leaves(chances: DataFrame, positives: DataFrame) -> DataFrame:
+    """distance_to_uniform where the positives of a leaf share one probability: chances (set_id, idx, probability), positives
+    (set_id, idx, n)."""
+    p = positives.join(chances.select("set_id", "idx", "probability"), ["set_id", "idx"], "left").withColumn("p", F.coalesce("probability", F.lit(0.0)))
+    sized = positives.groupBy("set_id").agg(F.sum("n").alias("all"))
+    off = p.join(sized, "set_id").withColumn("u", 1 / F.col("all"))
+    return off.groupBy("set_id").agg(F.first("all").alias("n"), F.coalesce(F.sum(F.when(F.col("p") > 0, F.col("n"))), F.lit(0)).alias("reachable"), (F.sum(F.abs(F.col("p") - F.col("u")) * F.col("n")) / 2).alias("total_variation"), F.max(F.col("p") / F.col("u")).alias("max_ratio"))
+
+
 def distance_to_uniform(probabilities: DataFrame, positives: DataFrame) -> DataFrame:
     """set_id, n, reachable, total_variation, max_ratio of exact draw probabilities against uniform over the positives."""
     p = positives.select("set_id", "x").join(probabilities, ["set_id", "x"], "left").withColumn("p", F.coalesce("probability", F.lit(0.0)))

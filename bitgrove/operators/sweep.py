@@ -10,10 +10,13 @@ from pyspark.sql import functions as F
 from ..functions.theory import estimate_overlap, estimate_size, overlap_status
 from ..plans.tree import Tree
 from ..sources.scratch import stored
-from .filters import check_pairs, ones
+from .filters import BROADCAST_BYTES, check_pairs, ones
+from .whole import all_of, dense, parts_for, positives, spread
 
 #: Weight that "floored" gives to a live branch whose estimate is lower.
 FLOOR = 0.5
+#: What a tree's word takes in a broadcast, at most; and the deepest leaves that a set lists as bits beside what it holds.
+WORD_BYTES, MOST_BITS = 64, 10
 #: Nodes that a job may look at for each level it takes besides the first, and the most levels it takes.
 BLOCK_ROWS, MOST_LEVELS = 200_000, 5
 
@@ -63,12 +66,14 @@ def mark(words: DataFrame, tree: Tree, weights: str = "floored", tau: float | No
     loses no member. tau: nodes with a smaller estimate are not live either, which may.
 
     A job takes several levels while the frontier is thin. Nodes looked at meet their set's words first and the tree's words by
-    (level, node, word) then, so neither the root nor any other node is a key that all sets share. Nodes below a dead one of the
-    same job are dropped at its end."""
+    (level, node, word) then, so neither the root nor any other node is a key that all sets share. Where most nodes of these levels
+    are looked at, the tree's words go to the sets' words instead, and bits are counted before anything moves. Nodes below a dead
+    one of the same job are dropped at its end."""
     start = 0 if start is None else min(start, tree.depth)
     sizes = stored(ones(words).withColumn("n_hat", estimate_size(F.col("ones"), tree.spec.m, tree.spec.k)), "sizes")
     frontier, out = sizes.select("set_id", F.explode(F.sequence(F.lit(0).cast("long"), F.lit((1 << start) - 1).cast("long"))).alias("idx")), None
-    asked, many = words.withColumnRenamed("bits", "asked"), sizes.count() << start
+    held = sizes.count()
+    asked, many = words.withColumnRenamed("bits", "asked"), held << start
     level = start
     while level <= tree.depth:
         last = min(tree.depth, level + _block(many, tree.depth - level + 1) - 1)
@@ -80,7 +85,11 @@ def mark(words: DataFrame, tree: Tree, weights: str = "floored", tau: float | No
         node = tree.nodes.filter(F.col("level").between(level, last)).select("level", "idx", F.col("ones").alias("node_ones"), "occupied")
         seen = seen.join(node, ["level", "idx"])
         at = tree.words.filter(F.col("level").between(level, last)).select("level", "idx", "word_no", "bits")
-        near = seen.select("set_id", "level", "idx").join(asked, "set_id").join(at, ["level", "idx", "word_no"])
+        few = node.count()
+        if few * held <= 4 * many << (last - level + 1) and few * tree.spec.words * WORD_BYTES <= BROADCAST_BYTES:
+            near = asked.join(F.broadcast(at), "word_no")
+        else:
+            near = seen.select("set_id", "level", "idx").join(asked, "set_id").join(at, ["level", "idx", "word_no"])
         shared = near.groupBy("set_id", "level", "idx").agg(F.sum(F.bit_count(F.col("bits").bitwiseAND(F.col("asked")))).cast("long").alias("both"))
         full = seen.join(shared, ["set_id", "level", "idx"], "left").fillna(0, ["both"]).join(sizes, "set_id")
         weighed = _weighed(full, tree, weights, tau)
@@ -99,19 +108,49 @@ def mark(words: DataFrame, tree: Tree, weights: str = "floored", tau: float | No
     return Live(start, out, sizes)
 
 
-def probe_leaves(live: Live, tree: Tree, words: DataFrame, ids: DataFrame) -> DataFrame:
-    """(set_id, x, idx): ids in live leaves for which the filter answers yes. ids: all ids, or those in use."""
+def held_leaves(live: Live, tree: Tree, words: DataFrame) -> DataFrame:
+    """(set_id, r, leaves): what each filter answers yes for among all ids, as r of one period, and bits of the set's live leaves."""
+    leaves = live.marks.filter((F.col("level") == tree.depth) & F.col("live"))
+    bits = leaves.groupBy("set_id", F.shiftright("idx", 6).alias("w")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), (F.col("idx") % 64).cast("int"))).alias("b"))
+    listed = bits.groupBy("set_id").agg(F.map_from_entries(F.collect_list(F.struct("w", "b"))).alias("m"))
+    every = F.sequence(F.lit(0).cast("long"), F.lit(((1 << tree.depth) - 1) >> 6).cast("long"))
+    listed = listed.select("set_id", F.transform(every, lambda w: F.coalesce(F.try_element_at("m", w), F.lit(0).cast("long"))).alias("leaves"))
+    filters = stored(dense(words, tree.spec).join(listed, "set_id"), "filters")
+    return stored(positives(filters.repartition(parts_for(filters.count()), "set_id"), tree.spec, tree.domain), "held")
+
+
+def in_live_leaves(held: DataFrame, tree: Tree) -> DataFrame:
+    """(set_id, x, idx) of held_leaves."""
+    listed = spread(held, tree.spec, tree.domain).withColumn("idx", tree.leaf_of(F.col("x")))
+    return listed.filter(F.getbit(F.get("leaves", F.shiftright("idx", 6).cast("int")), (F.col("idx") % 64).cast("int")) == 1).select("set_id", "x", "idx")
+
+
+def probe_leaves(live: Live, tree: Tree, words: DataFrame, ids: DataFrame | None) -> DataFrame:
+    """(set_id, x, idx): ids in live leaves for which the filter answers yes. ids: those in use, or None for all of the domain."""
+    if ids is None and tree.depth <= MOST_BITS:
+        return in_live_leaves(held_leaves(live, tree, words), tree)
+    ids = all_of(words.sparkSession, tree.domain) if ids is None else ids
     leaves = live.marks.filter((F.col("level") == tree.depth) & F.col("live")).select("set_id", "idx")
     return check_pairs(ids.select("x", tree.leaf_of(F.col("x")).alias("idx")).join(leaves, "idx"), words, tree.spec)
 
 
-def recover(words: DataFrame, tree: Tree, ids: DataFrame, tau: float | None = None, start: int | None = None) -> DataFrame:
+def recover(words: DataFrame, tree: Tree, ids: DataFrame | None, tau: float | None = None, start: int | None = None) -> DataFrame:
     """(set_id, x) of all ids that each filter answers yes for. Without tau exactly what a probe of all ids finds; with tau
     branches of small estimates are given up. Leaves are disjoint, so nothing is found twice."""
     live = mark(words, tree, "floored" if tau is None else "paper", tau, start_level(tree) if start is None else start)
     return probe_leaves(live, tree, words, ids).select("set_id", "x")
 
 
+def recover_counted(words: DataFrame, tree: Tree, truth: DataFrame, tau: float | None = None, start: int | None = None) -> tuple[DataFrame, DataFrame]:
+    """(set_id, n_found) and (set_id, n_both) of recover over all ids against truth (set_id, x), distinct: members are tried one by
+    one, so that what is found is counted where it is and not joined."""
+    live = mark(words, tree, "floored" if tau is None else "paper", tau, start_level(tree) if start is None else start)
+    found = probe_leaves(live, tree, words, None).groupBy("set_id").agg(F.count("*").alias("n_found"))
+    leaves = live.marks.filter((F.col("level") == tree.depth) & F.col("live")).select("set_id", "idx")
+    members = truth.filter(F.col("x").between(0, tree.domain - 1)).select("set_id", "x", tree.leaf_of(F.col("x")).alias("idx")).join(leaves, ["set_id", "idx"])
+    return found, check_pairs(members, words, tree.spec).groupBy("set_id").agg(F.count("*").alias("n_both"))
+
+
 def recover_ops(live: Live, tree: Tree) -> DataFrame:
     """Per set: intersections (one per node reached below the start), memberships (ids of live leaves), nodes and leaves."""
     leaf = (F.col("level") == tree.depth) & F.col("live")
