@@ -11,7 +11,7 @@ from bitgrove.oracles import ORACLES
 #: Queries whose work must not move the pairs (filter, id) that they look at.
 STILL = ["q_sample_many_noreplace"]
 #: Queries of closed forms over sets of the given tables.
-FROM_TABLES = ["q_false_overlap", "q_leaf_choice", "q_sizing", "q_theory", "w_params_table"]
+FROM_TABLES = ["q_false_overlap", "q_leaf_choice", "q_sizing", "q_theory", "w_params_table", "w_sweep"]
 
 
 @pytest.fixture(scope="module")
