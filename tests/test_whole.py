@@ -11,7 +11,7 @@ from bitgrove.oracles import ORACLES
 #: Queries whose work must not move the pairs (filter, id) that they look at.
 STILL = ["q_sample_many_noreplace"]
 #: Queries of closed forms over sets of the given tables.
-FROM_TABLES = ["q_false_overlap", "q_leaf_choice", "q_sizing", "q_theory", "w_params_table", "w_sweep"]
+FROM_TABLES = ["q_false_overlap", "q_sizing", "q_leaf_choice", "q_theory", "w_params_table", "w_sweep"]
 
 
 @pytest.fixture(scope="module")
@@ -69,3 +69,9 @@ def test_beyond_one_period(spark, long_folder, name):
 def test_made_from_tables(spark, long_folder, name):
     equals_sql(spark, long_folder, name)
     assert "lineitem" in "".join(W.QUERIES[name](spark, long_folder).inputFiles())
+
+
+def test_clustered_sets_of_nations(spark, tmp_path):
+    spark.createDataFrame([(x, x % 3 % 2) for x in range(60)], "c_custkey long, c_nationkey long").write.parquet(f"{tmp_path}/customer.parquet")
+    got = {r.set_id: r.n for r in W.QUERIES["w_clustered_generator"](spark, str(tmp_path)).collect()}
+    assert got == {"0": 40, "1": 20}
