@@ -15,10 +15,12 @@ from ..plans.tree import Tree
 from ..sources.scratch import stored
 from .filters import BROADCAST_BYTES
 from .sweep import MOST_BITS, Live, held_leaves, in_live_leaves, mark, probe_leaves
-from .whole import by_set, looked_up, parts_for
+from .whole import LEAST_PARTS, by_set, looked_up, parts_for
 
 #: What a row of live nodes takes in a broadcast, at most.
 NODE_BYTES = 512
+#: Draws that a task lists at a time.
+DRAW_RUN = 20_000
 #: Sets of which one task takes whole ones, at least.
 FEW_SETS = 256
 
@@ -68,19 +70,27 @@ def _small(rows: DataFrame) -> DataFrame:
     return F.broadcast(rows) if rows.count() * NODE_BYTES <= BROADCAST_BYTES else rows
 
 
-def descend(nodes: DataFrame, live: Live, tree: Tree, draws: int | DataFrame, seed: int, weights: str) -> DataFrame:
+def _numbered(sets: DataFrame) -> DataFrame:
+    """(set_id, draw) of (set_id, draws): many draws are listed in runs, which are dealt to tasks before they are listed."""
+    runs = sets.select("set_id", "draws", F.explode(F.sequence(F.lit(0).cast("long"), F.col("draws") - 1, F.lit(DRAW_RUN).cast("long"))).alias("low"))
+    if (sets.agg(F.sum("draws")).first()[0] or 0) > DRAW_RUN:
+        runs = runs.repartition(LEAST_PARTS, "set_id", "low")
+    return runs.select("set_id", F.explode(F.sequence(F.col("low").cast("int"), (F.least(F.col("low") + DRAW_RUN, F.col("draws")) - 1).cast("int"))).alias("draw"))
+
+
+def descend(nodes: DataFrame, live: Live, tree: Tree, draws: int | DataFrame, seed: int, weights: str, keep: bool = True) -> DataFrame:
     """(set_id, draw, idx, intersections, memberships, positives): the leaf that each draw ends in and how many ids it offers; idx is
     null if the set has none. draws: a number for all sets, or a table (set_id, draws).
 
     All draws of a set meet at its root. While the live nodes are few they are sent to the draws, so that no level shuffles; else
-    each level joins by (set, node)."""
+    each level joins by (set, node). keep=False: paths are not stored at their end, for callers that read them once."""
     exact = weights == "exact"
     if live.start:
         raise ValueError("a descent starts at the root")
     root = nodes.filter("level = 0").select("set_id", "positives", "ands", "probes")
     sets = live.sizes.select("set_id")
     sets = sets.withColumn("draws", F.lit(draws).cast("long")) if isinstance(draws, int) else sets.join(draws.select("set_id", F.col("draws").cast("long").alias("draws")), "set_id")
-    wanted = sets.filter("draws > 0").select("set_id", F.explode(F.sequence(F.lit(0), (F.col("draws") - 1).cast("int"))).alias("draw"))
+    wanted = _numbered(sets.filter("draws > 0"))
     every = wanted.join(_small(root), "set_id", "left").select("set_id", "draw", F.when(F.col("positives") > 0, F.lit(0).cast("long")).alias("idx"), F.when(F.coalesce("positives", F.lit(0)) > 0, F.lit(0)).otherwise(F.coalesce("ands", F.lit(0))).cast("long").alias("intersections"), F.when(F.coalesce("positives", F.lit(0)) > 0, F.lit(0)).otherwise(F.coalesce("probes", F.lit(0))).cast("long").alias("memberships"))
     paths, children = every, _children(nodes)
     few = children.count() * NODE_BYTES <= BROADCAST_BYTES
@@ -100,7 +110,7 @@ def descend(nodes: DataFrame, live: Live, tree: Tree, draws: int | DataFrame, se
         going = F.col("idx").isNotNull()
         paths = both.select("set_id", "draw", F.when(going, F.col("idx") * 2 + F.when(left, 0).otherwise(1)).alias("idx"), (F.col("intersections") + F.when(going, 2 + vain("ands")).otherwise(0)).alias("intersections"), (F.col("memberships") + F.when(going, vain("probes")).otherwise(0)).alias("memberships"))
     leaf = nodes.filter(F.col("level") == tree.depth).select("set_id", "idx", "probes", "positives")
-    done = stored(paths, "paths").join(_small(leaf), ["set_id", "idx"], "left")
+    done = (stored(paths, "paths") if keep else paths).join(_small(leaf), ["set_id", "idx"], "left")
     return done.select("set_id", "draw", "idx", "intersections", (F.col("memberships") + F.coalesce("probes", F.lit(0))).alias("memberships"), "positives")
 
 
@@ -154,6 +164,18 @@ def sample_sets(words: DataFrame, tree: Tree, ids: DataFrame | None, draws: int
     return first.filter("x is not null").unionByName(filled)
 
 
+def sample_counts(words: DataFrame, tree: Tree, draws: int | DataFrame, seed: int = 1, weights: str = "floored", tau: float | None = None) -> DataFrame:
+    """(set_id, x, times): how often sample_sets, with replacement over all ids, draws each id. Draws that name the same rank of a leaf
+    are counted before they meet its id."""
+    words = by_set(words)
+    live = mark(words, tree, weights if weights in ("paper", "prior") else "floored", tau)
+    found, dealt = _found(live, tree, words, None)
+    paths = descend(viability(live, tree, found), live, tree, draws, seed, weights, keep=False)
+    rank = F.floor(coin(seed, F.lit("pick"), "set_id", "draw") * F.col("positives")).cast("int") + 1
+    aimed = paths.filter("idx is not null").select("set_id", "idx", rank.alias("rank")).groupBy("set_id", "idx", "rank").agg(F.count("*").alias("times"))
+    return aimed.join(_leaf_ranks(dealt, seed), ["set_id", "idx", "rank"]).select("set_id", "x", "times")
+
+
 def leaf_probabilities(words: DataFrame, tree: Tree, ids: DataFrame | None, weights: str = "floored", tau: float | None = None) -> DataFrame:
     """(set_id, idx, n, probability): leaves that hold positives, how many, and the exact chance of each of them in one draw."""
     live = mark(words, tree, weights if weights in ("paper", "prior") else "floored", tau)

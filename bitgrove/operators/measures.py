@@ -13,10 +13,15 @@ def upper_tail(q: Column, df: Column) -> Column:
     return F.lit(1.0) / (F.lit(1.0) + F.exp(F.lit(1.5976) * z + F.lit(0.07056) * z * z * z))
 
 
+def _draws(samples: DataFrame) -> Column:
+    """Rows of samples are draws, or ids with how many times they were drawn."""
+    return F.sum("times") if "times" in samples.columns else F.count("*")
+
+
 def chi_square(samples: DataFrame, members: DataFrame) -> DataFrame:
     """samples (set_id, x), members (set_id, x), distinct: statistic over the members of each set, those never drawn too, with
     as many draws expected for each as fell on a member on average. set_id, n, draws, q, df, p_value."""
-    drawn = samples.filter("x is not null").groupBy("set_id", "x").agg(F.count("*").alias("o"))
+    drawn = samples.filter("x is not null").groupBy("set_id", "x").agg(_draws(samples).alias("o"))
     each = members.join(drawn, ["set_id", "x"], "left").select("set_id", "x", F.coalesce("o", F.lit(0)).alias("o"))
     sums = each.groupBy("set_id").agg(F.count("*").alias("n"), F.sum("o").alias("draws"), F.sum(F.col("o") * F.col("o")).alias("squares"))
     e = F.col("draws") / F.col("n")
@@ -35,12 +40,14 @@ def chi_square_exact(spark: SparkSession, counts: list[int]) -> tuple[float, flo
 
 def draw_histogram(samples: DataFrame, domain: int, buckets: int = 10) -> DataFrame:
     """Draws per equal part of the domain."""
-    return samples.filter("x is not null").groupBy("set_id", F.width_bucket(F.col("x").cast("double"), F.lit(0.0), F.lit(float(domain)), F.lit(buckets)).alias("bucket")).agg(F.count("*").alias("draws"))
+    return samples.filter("x is not null").groupBy("set_id", F.width_bucket(F.col("x").cast("double"), F.lit(0.0), F.lit(float(domain)), F.lit(buckets)).alias("bucket")).agg(_draws(samples).alias("draws"))
 
 
 def accuracy(samples: DataFrame, truth: DataFrame) -> DataFrame:
     """Share of the samples that are true members."""
     known = samples.filter("x is not null").join(truth.select("set_id", "x", F.lit(1).alias("member")), ["set_id", "x"], "left")
+    if "times" in samples.columns:
+        return known.groupBy("set_id").agg(F.sum("times").alias("draws"), (F.sum(F.coalesce("member", F.lit(0)) * F.col("times")) / F.sum("times")).alias("accuracy"))
     return known.groupBy("set_id").agg(F.count("*").alias("draws"), F.avg(F.coalesce("member", F.lit(0))).alias("accuracy"))
 
 

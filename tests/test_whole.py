@@ -75,3 +75,40 @@ def test_clustered_sets_of_nations(spark, tmp_path):
     spark.createDataFrame([(x, x % 3 % 2) for x in range(60)], "c_custkey long, c_nationkey long").write.parquet(f"{tmp_path}/customer.parquet")
     got = {r.set_id: r.n for r in W.QUERIES["w_clustered_generator"](spark, str(tmp_path)).collect()}
     assert got == {"0": 40, "1": 20}
+
+
+def test_masked_filters_are_those_of_each_case(spark):
+    """One probe with masks finds what a filter per case finds."""
+    from pyspark.sql import functions as F
+
+    from bitgrove.operators import filters as L
+
+    rng, spec = random.Random(8), W.make_spec(300, domain=2000)
+    rows = [(s, x, rng.randrange(1, 8)) for s in "ab" for x in rng.sample(range(2000), 40)]
+    ids = [(x, rng.randrange(8), 1 + x % 2) for x in range(2000)]
+    sums = lambda value, n: [F.sum(F.when(F.col(value).bitwiseAND(F.lit(1 << i)) != 0, n).otherwise(0)).alias(f"c{i}") for i in range(3)]
+    masked = L.masked(spark.createDataFrame(rows, "set_id string, x long, cases int"), "cases", spec)
+    got = {r.set_id: (r.c0, r.c1, r.c2) for r in L.masked_counts(masked, spark.createDataFrame(ids, "x long, cases int, times long"), "cases", spec, sums).collect()}
+    place = lambda x: [(a * x + b) % spec.p % spec.m for a, b in zip(spec.a, spec.b, strict=True)]
+    for s in "ab":
+        each = [{p for t, x, c in rows if t == s and c >> i & 1 for p in place(x)} for i in range(3)]
+        assert got[s] == tuple(sum(n for x, c, n in ids if c >> i & 1 and each[i].issuperset(place(x))) for i in range(3))
+
+
+def test_counted_draws_are_the_draws(spark, long_folder, monkeypatch):
+    """Ids drawn and how often, from runs of draws that are dealt to tasks, equal the draws one by one."""
+    from pyspark.sql import functions as F
+
+    from bitgrove.operators import descent as S
+    from bitgrove.operators import filters as L
+    from bitgrove.plans import tree as X
+    from bitgrove.sources import collections as C
+
+    monkeypatch.setattr(S, "DRAW_RUN", 7)
+    words = L.build_filters(C.orders_by_supplier(spark, long_folder).filter("set_id < '3'"), W.SPEC)
+    ids = C.all_ids(spark, 160_000)
+    tree = X.build_tree(ids, W.SPEC, 160_000, 3, complete=True)
+    draws = words.select("set_id").distinct().withColumn("draws", F.lit(30))
+    one = S.sample_sets(words, tree, ids, draws, 4, "exact").groupBy("set_id", "x").agg(F.count("*").alias("times"))
+    counted = S.sample_counts(words, tree, draws, 4, "exact")
+    assert sorted(map(tuple, counted.collect())) == sorted(map(tuple, one.collect())) and one.agg(F.sum("times")).first()[0] == 90
