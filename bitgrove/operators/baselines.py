@@ -10,8 +10,9 @@ from pyspark.sql import functions as F
 from ..functions.hashing import Spec
 from ..sources.scratch import stored
 from .descent import coin, random_key
-from .filters import BROADCAST_BYTES, check_pairs, contains, ones, set_bits
-from .whole import by_set, dense, digest, divided, looked_up, parts_for, positives, spread, without_unset
+from .filters import BROADCAST_BYTES, as_arrays, check_held, check_pairs, contains, ones, set_bits
+from .whole import by_set, counted, dealt, dense, digest, divided, looked_up, parts_for, positives, spread, without_unset
+
 #: What a set id takes in a broadcast, at most.
 ID_BYTES = 256
 
@@ -29,9 +30,16 @@ def probe_whole(words: DataFrame, spec: Spec, domain: int, way: str = "each") ->
 
 def probe_counted(words: DataFrame, spec: Spec, domain: int, truth: DataFrame | None = None, way: str = "each") -> tuple[DataFrame, DataFrame | None]:
     """(set_id, n, sum_x) of a probe of all ids 0..domain-1, and with truth (set_id, x) how many of it are found (set_id, n_both)."""
-    found = digest(probe_whole(words, spec, domain, way), spec, domain)
-    both = None if truth is None else check_pairs(truth.filter(F.col("x").between(0, domain - 1)), words, spec).groupBy("set_id").agg(F.count("*").alias("n_both"))
-    return found, both
+    if way == "division":
+        found, held = digest(probe_whole(words, spec, domain, way), spec, domain), None
+    else:
+        held = stored(as_arrays(words, spec), "dense")
+        found = counted(dealt(held), spec, domain)
+    if truth is None:
+        return found, None
+    members = truth.filter(F.col("x").between(0, domain - 1))
+    both = check_pairs(members, words, spec) if held is None else check_held(members, held, spec)
+    return found, both.groupBy("set_id").agg(F.count("*").alias("n_both"))
 
 
 def probe_whole_sample(words: DataFrame, spec: Spec, domain: int, draws: int = 1, seed: int = 1) -> DataFrame:

@@ -112,3 +112,37 @@ def test_counted_draws_are_the_draws(spark, long_folder, monkeypatch):
     one = S.sample_sets(words, tree, ids, draws, 4, "exact").groupBy("set_id", "x").agg(F.count("*").alias("times"))
     counted = S.sample_counts(words, tree, draws, 4, "exact")
     assert sorted(map(tuple, counted.collect())) == sorted(map(tuple, one.collect())) and one.agg(F.sum("times")).first()[0] == 90
+
+
+def test_pairs_move_once(spark, folder):
+    """Filters of suppliers are built where their pairs were dealt to; before, set bits moved as well."""
+    before = moved(spark)
+    assert W._suppliers(spark, folder)[1].count() > 0
+    assert moved(spark) - before < 40 * 600 * 1.1
+
+
+@pytest.mark.parametrize("family", ["affine_mod_p", "affine_mod_m"])
+def test_blocks_of_ids(monkeypatch, family):
+    """All ids are tried, whether a task keeps their positions or makes them anew."""
+    import numpy as np
+
+    from bitgrove.operators import whole as H
+
+    spec, rng = W.make_spec(130, family=family, domain=1000), random.Random(4)
+    place = lambda x: [(a * x + b) % (spec.p if family == "affine_mod_p" else spec.m) % spec.m for a, b in zip(spec.a, spec.b, strict=True)]
+    bits = {p for x in rng.sample(range(1000), 25) for p in place(x)}
+    words = np.zeros(spec.words, np.uint64)
+    for p in bits:
+        words[p // 64] |= np.uint64(1) << np.uint64(p % 64)
+    monkeypatch.setattr(H, "TRIED", 70)
+    for kept in (10, 5000):
+        monkeypatch.setattr(H, "KEPT", kept)
+        blocks = H._blocks(spec, 1000)
+        for _ in range(2):
+            got = [int(i) + low for low, places in blocks() for i in H._yes(words.view(np.int64), places)]
+            assert got == [x for x in range(1000) if bits.issuperset(place(x))]
+
+
+@pytest.mark.parametrize("name", ["q_fp_observed_vs_formula", "q_precision_recall"])
+def test_counted_beyond_one_period(spark, long_folder, name):
+    equals_sql(spark, long_folder, name)
