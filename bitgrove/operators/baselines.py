@@ -7,11 +7,12 @@ import math
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.hashing import Spec
+from ..functions.digests import coins, ranked
+from ..functions.hashing import Spec, period
 from ..sources.scratch import stored
 from .descent import coin, random_key
 from .filters import BROADCAST_BYTES, as_arrays, check_held, check_pairs, contains, ones, set_bits
-from .whole import by_set, counted, dealt, dense, digest, divided, looked_up, parts_for, positives, spread, without_unset
+from .whole import _blocks, _filters_of, by_set, counted, dealt, dense, digest, divided, looked_up, parts_for, positives, probed, spread, turns, without_unset
 
 #: What a set id takes in a broadcast, at most.
 ID_BYTES = 256
@@ -44,6 +45,8 @@ def probe_counted(words: DataFrame, spec: Spec, domain: int, truth: DataFrame |
 
 def probe_whole_sample(words: DataFrame, spec: Spec, domain: int, draws: int = 1, seed: int = 1) -> DataFrame:
     """probe_sample over all ids 0..domain-1: ranks are counted in the task that holds the set."""
+    if period(spec) is not None:
+        return _drawn_where_held(dense(words, spec), spec, domain, draws, seed)
     words = by_set(words)
     held = stored(probe_whole(words, spec, domain), "probe")
     n = digest(held, spec, domain).select("set_id", "n")
@@ -54,6 +57,26 @@ def probe_whole_sample(words: DataFrame, spec: Spec, domain: int, draws: int = 1
     return looked_up(aimed, listed, ["set_id"], ranks).select("set_id", "draw", "x")
 
 
+def _drawn_where_held(filters: DataFrame, spec: Spec, domain: int, draws: int, seed: int) -> DataFrame:
+    """The same in the memory of one set's positives: nothing but the draws leaves a task."""
+    words = spec.words
+
+    def drawn(batches):
+        import numpy as np
+        import pyarrow as pa
+
+        blocks, draw = _blocks(spec, turns(spec, domain)), np.arange(draws, dtype=np.int64)
+        for batch in batches:
+            for set_id, filter_ in zip(batch.column(batch.schema.get_field_index("set_id")).to_pylist(), _filters_of(batch, words), strict=True):
+                x, got = probed(filter_, blocks, spec, domain), pa.nulls(draws, pa.int64())
+                if len(x):
+                    rank = np.floor(coins(str(seed), "probe", set_id, draw) * len(x)).astype(np.int64)
+                    got = pa.array(x[ranked(x, np.unique(rank), str(seed), "probe", set_id)(rank)])
+                yield pa.RecordBatch.from_arrays([pa.array([set_id] * draws), pa.array(draw.astype(np.int32)), got], names=["set_id", "draw", "x"])
+
+    return filters.select("set_id", "filter").mapInArrow(drawn, "set_id string, draw int, x long")
+
+
 def preimage_unset_whole(words: DataFrame, spec: Spec, domain: int) -> DataFrame:
     """(set_id, n, sum_x) of all ids 0..domain-1 less the preimages of unset bits."""
     return digest(without_unset(dense(words, spec), spec, domain), spec, domain)

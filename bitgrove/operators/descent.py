@@ -11,16 +11,20 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.digests import by_digest, coins
+from ..functions.hashing import period
 from ..plans.tree import Tree
 from ..sources.scratch import stored
-from .filters import BROADCAST_BYTES
+from .filters import BROADCAST_BYTES, as_arrays
 from .sweep import MOST_BITS, Live, held_leaves, in_live_leaves, mark, probe_leaves
-from .whole import LEAST_PARTS, by_set, looked_up, parts_for
+from .whole import HANDED, LEAST_PARTS, MOST_PARTS, _blocks, by_set, looked_up, parts_for, probed, turns
 
 #: What a row of live nodes takes in a broadcast, at most.
 NODE_BYTES = 512
 #: Draws that a task lists at a time.
 DRAW_RUN = 20_000
+#: Draws of a set that one task walks, and how many of them at once.
+WALK_RUN, WALK_STEP = 1 << 23, 1 << 17
 #: Sets of which one task takes whole ones, at least.
 FEW_SETS = 256
 
@@ -170,12 +174,70 @@ def sample_counts(words: DataFrame, tree: Tree, draws: int | DataFrame, seed: in
     words = by_set(words)
     live = mark(words, tree, weights if weights in ("paper", "prior") else "floored", tau)
     found, dealt = _found(live, tree, words, None)
-    paths = descend(viability(live, tree, found), live, tree, draws, seed, weights, keep=False)
+    nodes = viability(live, tree, found)
+    if period(tree.spec) is not None and tree.depth <= MOST_BITS:
+        return _walked(nodes, live, tree, words, draws, seed, weights)
+    paths = descend(nodes, live, tree, draws, seed, weights, keep=False)
     rank = F.floor(coin(seed, F.lit("pick"), "set_id", "draw") * F.col("positives")).cast("int") + 1
     aimed = paths.filter("idx is not null").select("set_id", "idx", rank.alias("rank")).groupBy("set_id", "idx", "rank").agg(F.count("*").alias("times"))
     return aimed.join(_leaf_ranks(dealt, seed), ["set_id", "idx", "rank"]).select("set_id", "x", "times")
 
 
+def _walked(nodes: DataFrame, live: Live, tree: Tree, words: DataFrame, draws: int | DataFrame, seed: int, weights: str) -> DataFrame:
+    """sample_counts in tasks that hold a set's filter and its live nodes: draws walk down there, and only ids with how often they
+    were drawn leave them. Sets of many draws are dealt in runs, whose numbers are added up."""
+    spec, domain, depth, cut = tree.spec, tree.domain, tree.depth, tree.cut
+    w = {s: F.coalesce(F.col(f"{s}_positives" if weights == "exact" else f"{s}_weight"), F.lit(0)).cast("double") for s in "lr"}
+    alive = {s: F.col(f"{s}_weight").isNotNull() for s in "lr"}
+    share = F.when(alive["l"] & ~alive["r"], 1.0).when(~alive["l"], 0.0).when(w["l"] + w["r"] > 0, w["l"] / (w["l"] + w["r"])).otherwise(0.5)
+    yields = [(F.coalesce(F.col(f"{s}_positives"), F.lit(0)) > 0).alias(s) for s in "lr"]
+    turns_of = _children(nodes).groupBy("set_id").agg(F.collect_list(F.struct((F.col("level") - 1).alias("level"), F.col("parent").alias("idx"), share.alias("share"), *yields)).alias("turns"))
+    leaves = nodes.filter((F.col("level") == depth) & (F.col("positives") > 0)).groupBy("set_id").agg(F.collect_list("idx").alias("leaves"))
+    sets = live.sizes.select("set_id")
+    sets = sets.withColumn("draws", F.lit(draws).cast("long")) if isinstance(draws, int) else sets.join(draws.select("set_id", F.col("draws").cast("long").alias("draws")), "set_id")
+    runs = sets.filter("draws > 0").select("set_id", "draws", F.explode(F.sequence(F.lit(0).cast("long"), F.col("draws") - 1, F.lit(WALK_RUN).cast("long"))).alias("low"))
+    held = stored(leaves.join(turns_of, "set_id", "left").join(as_arrays(words, spec), "set_id").join(runs, "set_id"), "walks")
+    names = ["set_id", "draws", "low", "leaves", "turns", "filter"]
+
+    def walked(batches):
+        import numpy as np
+        import pyarrow as pa
+
+        blocks = _blocks(spec, turns(spec, domain))
+        for row in (r for batch in batches for r in batch.select(names).to_pylist()):
+            set_id, at_leaf = row["set_id"], np.zeros(1 << depth, bool)
+            at_leaf[row["leaves"]] = True
+            x = probed(np.array(row["filter"], np.int64), blocks, spec, domain)
+            leaf = x >> max(0, (domain - 1).bit_length() - depth) if cut == "pow2" else (x << depth) // domain
+            x, leaf = x[at_leaf[leaf]], leaf[at_leaf[leaf]]
+            x = x[by_digest(x, str(seed), "leaf", set_id, also=leaf)]
+            positives = np.bincount(leaf, minlength=1 << depth)
+            first, times = np.cumsum(positives) - positives, np.zeros(len(x), np.int64)
+            # Nodes of all levels as in a heap: 1 is the root.
+            shares, lefts, rights = np.zeros(1 << depth), np.zeros(1 << depth, bool), np.zeros(1 << depth, bool)
+            for t in row["turns"] or ():
+                node = (1 << t["level"]) + t["idx"]
+                shares[node], lefts[node], rights[node] = t["share"], t["l"], t["r"]
+            end = min(row["draws"], row["low"] + WALK_RUN)
+            for low in range(row["low"], end, WALK_STEP):
+                draw = np.arange(low, min(low + WALK_STEP, end), dtype=np.int64)
+                node = np.ones(len(draw), np.int64)
+                for level in range(depth):
+                    raw = coins(str(seed), set_id, draw, str(level), node - (1 << level)) < shares[node]
+                    node = 2 * node + ~np.where(raw, lefts[node], ~rights[node])
+                at = node - (1 << depth)
+                rank = np.floor(coins(str(seed), "pick", set_id, draw) * positives[at]).astype(np.int64)
+                times += np.bincount(first[at] + rank, minlength=len(x))
+            hit = np.flatnonzero(times)
+            for i in range(0, len(hit), HANDED):
+                part = hit[i : i + HANDED]
+                yield pa.RecordBatch.from_arrays([pa.array([set_id] * len(part)), pa.array(x[part]), pa.array(times[part])], names=["set_id", "x", "times"])
+
+    drawn = held.repartition(max(1, min(MOST_PARTS, held.count()))).mapInArrow(walked, "set_id string, x long, times long")
+    most = sets.agg(F.max("draws")).first()[0] or 0
+    return drawn if most <= WALK_RUN else drawn.groupBy("set_id", "x").agg(F.sum("times").alias("times"))
+
+
 def leaf_probabilities(words: DataFrame, tree: Tree, ids: DataFrame | None, weights: str = "floored", tau: float | None = None) -> DataFrame:
     """(set_id, idx, n, probability): leaves that hold positives, how many, and the exact chance of each of them in one draw."""
     live = mark(words, tree, weights if weights in ("paper", "prior") else "floored", tau)

@@ -153,3 +153,29 @@ def test_blocks_of_ids(monkeypatch, family):
 @pytest.mark.parametrize("name", ["q_fp_observed_vs_formula", "q_precision_recall", "w_measured_accuracy"])
 def test_counted_beyond_one_period(spark, long_folder, name):
     equals_sql(spark, long_folder, name)
+
+
+def test_digests_of_arrays():
+    """Many digests at once are those of hashlib, for keys of all widths; order and ranks follow the hex texts, also where digests tie."""
+    import hashlib
+
+    import numpy as np
+
+    from bitgrove.functions import digests as D
+
+    x = np.array([0, 9, 10, 99, 100, 12345, 10**6, 10**12, *range(700, 760)])
+    text = lambda parts, i: ":".join(str(p[i]) if isinstance(p, np.ndarray) else p for p in parts)
+    for parts in (("1", "leaf", "77", x), ("1", "25", x, "3", x % 40), ("s" * 60, x)):
+        assert D.heads(*parts).tolist() == [int(hashlib.md5(text(parts, i).encode()).hexdigest()[:16], 16) for i in range(len(x))]
+    key = lambda i: hashlib.md5(f"1:a:{x[i]}".encode()).hexdigest()
+    assert D.by_digest(x, "1", "a").tolist() == sorted(range(len(x)), key=key)
+    assert D.by_digest(x, "1", "a", also=x % 3).tolist() == sorted(range(len(x)), key=lambda i: (x[i] % 3, key(i)))
+    assert D.ranked(x, np.array([0, 7, 30]), "1", "a")(np.array([30, 0, 7, 7])).tolist() == [sorted(range(len(x)), key=key)[r] for r in (30, 0, 7, 7)]
+
+
+def test_draws_stay(spark, tmp_path):
+    """Of 130 draws a customer, and of the ids that filters answer yes for, only the ids drawn move; before, all ids were sorted too."""
+    spark.createDataFrame([(x, x % 4) for x in range(3000)], "c_custkey long, c_nationkey long").write.parquet(f"{tmp_path}/customer.parquet")
+    before = moved(spark)
+    got = W.q_draw_histogram(spark, str(tmp_path)).agg({"draws": "sum"}).first()[0]
+    assert got == 3000 * 130 and moved(spark) - before < 4 * 3000 * 2
