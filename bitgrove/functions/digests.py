@@ -9,6 +9,8 @@ import numpy as np
 
 #: Keys that are hashed together, so that their words stay in a core's cache; and the longest key that fits one block.
 AT_ONCE, LONGEST = 1 << 14, 55
+#: Keys that hashlib takes sooner.
+FEW = 256
 _ADD = [np.uint32(int(abs(math.sin(i + 1)) * 2**32)) for i in range(64)]
 _TURN = [[7, 12, 17, 22], [5, 9, 14, 20], [4, 11, 16, 23], [6, 10, 15, 21]]
 _WORD = [[i for i in range(16)], [(5 * i + 1) % 16 for i in range(16)], [(3 * i + 5) % 16 for i in range(16)], [7 * i % 16 for i in range(16)]]
@@ -63,16 +65,15 @@ def heads(*parts: str | np.ndarray) -> np.ndarray:
     are texts, or arrays of non-negative whole numbers, one at least."""
     arrays = [p for p in parts if isinstance(p, np.ndarray)]
     n, out = len(arrays[0]), np.empty(len(arrays[0]), np.uint64)
-    for low in range(0, n, AT_ONCE):
-        part = [p[low : low + AT_ONCE] if isinstance(p, np.ndarray) else p for p in parts]
-        wide = [_widths(p) for p in part if isinstance(p, np.ndarray)]
-        kinds = wide[0].astype(np.int64)
-        for w in wide[1:]:
-            kinds = kinds * 20 + w
-        for kind in np.unique(kinds):
-            rows = np.flatnonzero(kinds == kind)
-            of = [p[rows] if isinstance(p, np.ndarray) else p for p in part]
-            out[low + rows] = _same_width(of, [int(w[rows[0]]) for w in wide])
+    wide = [_widths(p) for p in arrays]
+    kinds = wide[0].astype(np.int64)
+    for w in wide[1:]:
+        kinds = kinds * 20 + w
+    for kind in np.unique(kinds):
+        same = np.flatnonzero(kinds == kind)
+        for low in range(0, len(same), AT_ONCE):
+            rows = same[low : low + AT_ONCE]
+            out[rows] = _same_width([p[rows] if isinstance(p, np.ndarray) else p for p in parts], [int(w[rows[0]]) for w in wide])
     return out
 
 
@@ -86,7 +87,7 @@ def _same_width(parts: list, widths: list[int]) -> np.ndarray:
             laid += b"0" * width
         else:
             laid += p.encode()
-    if len(laid) > LONGEST:
+    if len(laid) > LONGEST or n < FEW:
         keys = zip(*(p.tolist() if isinstance(p, np.ndarray) else [p] * n for p in parts), strict=True)
         return np.array([int.from_bytes(hashlib.md5(":".join(map(str, k)).encode()).digest()[:8], "big") for k in keys], np.uint64)
     length = len(laid)
