@@ -120,10 +120,10 @@ def by_digest(x: np.ndarray, *parts: str, also: np.ndarray | None = None) -> np.
     return order
 
 
-def ranked(x: np.ndarray, ranks: np.ndarray, *parts: str):
+def ranked(x: np.ndarray, ranks: np.ndarray, *parts: str, keys: np.ndarray | None = None):
     """A function from some of `ranks` (from 0, distinct) to the indexes of x that have them by the order of by_digest. x is not sorted
-    as a whole."""
-    keys = heads(*parts, x)
+    as a whole. keys: the heads of parts:x, if they are known."""
+    keys = heads(*parts, x) if keys is None else keys
     order = np.argpartition(keys, ranks)
     if any(np.count_nonzero(keys == keys[order[r]]) > 1 for r in ranks):
         order = by_digest(x, *parts)

@@ -15,9 +15,11 @@ from ..functions.digests import by_digest, coins
 from ..functions.hashing import period
 from ..plans.tree import Tree
 from ..sources.scratch import stored
+from . import held as H
 from .filters import BROADCAST_BYTES, as_arrays
+from .measures import distance_of_leaves
 from .sweep import MOST_BITS, Live, held_leaves, in_live_leaves, mark, probe_leaves
-from .whole import HANDED, LEAST_PARTS, MOST_PARTS, _blocks, by_set, looked_up, parts_for, probed, turns
+from .whole import HANDED, LEAST_PARTS, MOST_PARTS, _blocks, by_set, dense, looked_up, parts_for, positives, probed, spread, turns
 
 #: What a row of live nodes takes in a broadcast, at most.
 NODE_BYTES = 512
@@ -142,6 +144,8 @@ def sample_sets(words: DataFrame, tree: Tree, ids: DataFrame | None, draws: int
     ids: those in use, or None for all of the domain.
     replace=False: ids of a set differ; draws that meet in a leaf with too few ids take unused ones of the set, or none.
     """
+    if _held(tree, ids, draws):
+        return H.drawn(dense(words, tree.spec), tree, draws, seed, weights, tau, replace, printed)
     words = by_set(words)
     live = mark(words, tree, weights if weights in ("paper", "prior") else "floored", tau)
     found, dealt = _found(live, tree, words, ids)
@@ -168,6 +172,20 @@ def sample_sets(words: DataFrame, tree: Tree, ids: DataFrame | None, draws: int
     return first.filter("x is not null").unionByName(filled)
 
 
+def _held(tree: Tree, ids: DataFrame | None, draws: int | DataFrame = 1) -> bool:
+    """Whether a set's task can do all of its work: for all ids of the domain, a tree that fits a broadcast, and not too many draws."""
+    return ids is None and isinstance(draws, int) and 0 < draws <= H.MOST_DRAWS and H.fits(tree)
+
+
+def sample_work(words: DataFrame, tree: Tree, draws: int, seed: int = 1, weights: str = "floored") -> DataFrame:
+    """(set_id, draw, intersections, memberships) of sample_sets over all ids, for which no id has to be looked up."""
+    if _held(tree, None, draws):
+        got = H.drawn(dense(words, tree.spec), tree, draws, seed, weights, None, True, False, look_up=False)
+    else:
+        got = sample_sets(words, tree, None, draws, seed, weights)
+    return got.select("set_id", "draw", "intersections", "memberships")
+
+
 def sample_counts(words: DataFrame, tree: Tree, draws: int | DataFrame, seed: int = 1, weights: str = "floored", tau: float | None = None) -> DataFrame:
     """(set_id, x, times): how often sample_sets, with replacement over all ids, draws each id. Draws that name the same rank of a leaf
     are counted before they meet its id."""
@@ -244,6 +262,21 @@ def leaf_probabilities(words: DataFrame, tree: Tree, ids: DataFrame | None, weig
     return _chances(live, tree, _found(live, tree, words, ids)[0], weights)
 
 
+def distances(words: DataFrame, tree: Tree, kinds: list[tuple[str, float | None]]) -> DataFrame:
+    """measures.distance_to_uniform over all ids for several kinds of weights (name, tau), with a column weights."""
+    if _held(tree, None):
+        got = H.distances(dense(words, tree.spec), tree, kinds)
+        names = F.array(*(F.lit(name) for name, _ in kinds))
+        return got.select(F.get(names, F.col("kind")).alias("weights"), "set_id", "n", "reachable", "total_variation", "max_ratio")
+    words, out = by_set(words), None
+    found = spread(positives(dense(words, tree.spec), tree.spec, tree.domain), tree.spec, tree.domain)
+    found = stored(found.groupBy("set_id", tree.leaf_of(F.col("x")).alias("idx")).agg(F.count("*").alias("n")), "found")
+    for name, tau in kinds:
+        one = distance_of_leaves(leaf_probabilities(words, tree, None, name, tau), found).select(F.lit(name).alias("weights"), "*")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 def _chances(live: Live, tree: Tree, found: DataFrame, weights: str) -> DataFrame:
     nodes = viability(live, tree, found).filter("positives > 0")
     weight = F.col("positives").cast("double") if weights == "exact" else F.col("weight")
@@ -268,6 +301,8 @@ def path_probabilities(words: DataFrame, tree: Tree, ids: DataFrame | None, weig
 def rejected_to_uniform(words: DataFrame, tree: Tree, ids: DataFrame | None, draws: int, seed: int, weights: str = "floored") -> DataFrame:
     """(set_id, draw, x): draws by descents with these weights, each kept with a chance that makes those kept uniform: the least
     probability of a positive of the set over its own. Positives of a leaf share one probability."""
+    if _held(tree, ids, draws):
+        return H.kept_uniform(dense(words, tree.spec), tree, draws, seed, weights)
     words = by_set(words)
     chances = stored(leaf_probabilities(words, tree, ids, weights), "chances")
     least = chances.groupBy("set_id").agg(F.min("probability").alias("least"))
