@@ -11,6 +11,7 @@ from bitgrove.sources import collections as C
 NAMES = [
     "q_path_probability",
     "q_sample_exact",
+    "q_sample_one",
 ]
 
 
