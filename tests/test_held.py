@@ -12,6 +12,7 @@ NAMES = [
     "q_path_probability",
     "q_sample_exact",
     "q_sample_one",
+    "q_recover_threshold",
 ]
 
 
