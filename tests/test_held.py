@@ -13,6 +13,7 @@ NAMES = [
     "q_sample_exact",
     "q_sample_one",
     "q_recover_threshold",
+    "q_sample_ops",
 ]
 
 
