@@ -14,6 +14,7 @@ NAMES = [
     "q_sample_one",
     "q_recover_threshold",
     "q_sample_ops",
+    "q_sample_printed",
 ]
 
 
