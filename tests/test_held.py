@@ -15,6 +15,7 @@ NAMES = [
     "q_recover_threshold",
     "q_sample_ops",
     "q_sample_printed",
+    "q_sample_prior",
 ]
 
 
