@@ -16,6 +16,7 @@ NAMES = [
     "q_sample_ops",
     "q_sample_printed",
     "q_sample_prior",
+    "q_sample_rejection",
 ]
 
 
