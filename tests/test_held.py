@@ -17,6 +17,7 @@ NAMES = [
     "q_sample_printed",
     "q_sample_prior",
     "q_sample_rejection",
+    "q_recover_safe",
 ]
 
 
