@@ -18,6 +18,7 @@ NAMES = [
     "q_sample_prior",
     "q_sample_rejection",
     "q_recover_safe",
+    "w_sample_uniform_ops",
 ]
 
 
