@@ -19,6 +19,7 @@ NAMES = [
     "q_sample_rejection",
     "q_recover_safe",
     "w_sample_uniform_ops",
+    "q_precision_recall",
 ]
 
 
