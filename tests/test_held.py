@@ -20,6 +20,7 @@ NAMES = [
     "q_recover_safe",
     "w_sample_uniform_ops",
     "q_precision_recall",
+    "q_sample_many_replace",
 ]
 
 
