@@ -21,6 +21,8 @@ NAMES = [
     "w_sample_uniform_ops",
     "q_precision_recall",
     "q_sample_many_replace",
+    "q_sample_paper",
+    "q_sample_many_noreplace",
 ]
 
 
