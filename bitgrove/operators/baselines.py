@@ -12,7 +12,7 @@ from ..functions.hashing import Spec, period
 from ..sources.scratch import stored
 from .descent import coin, random_key
 from .filters import BROADCAST_BYTES, as_arrays, check_held, check_pairs, contains, ones, set_bits
-from .whole import _blocks, _filters_of, by_set, counted, dealt, dense, digest, divided, looked_up, parts_for, positives, probed, spread, turns, without_unset
+from .whole import _blocks, _divider, _filters_of, _taker, by_set, counted, dealt, dense, digest, divided, found_by, listable, looked_up, parts_for, positives, probed, spread, turns, without_unset
 
 #: What a set id takes in a broadcast, at most.
 ID_BYTES = 256
@@ -31,7 +31,10 @@ def probe_whole(words: DataFrame, spec: Spec, domain: int, way: str = "each") ->
 
 def probe_counted(words: DataFrame, spec: Spec, domain: int, truth: DataFrame | None = None, way: str = "each") -> tuple[DataFrame, DataFrame | None]:
     """(set_id, n, sum_x) of a probe of all ids 0..domain-1, and with truth (set_id, x) how many of it are found (set_id, n_both)."""
-    if way == "division":
+    if way == "division" and listable(spec):
+        held = stored(as_arrays(words, spec), "dense")
+        found = found_by(dealt(held), spec, domain, _divider)
+    elif way == "division":
         found, held = digest(probe_whole(words, spec, domain, way), spec, domain), None
     else:
         held = stored(as_arrays(words, spec), "dense")
@@ -79,6 +82,8 @@ def _drawn_where_held(filters: DataFrame, spec: Spec, domain: int, draws: int, s
 
 def preimage_unset_whole(words: DataFrame, spec: Spec, domain: int) -> DataFrame:
     """(set_id, n, sum_x) of all ids 0..domain-1 less the preimages of unset bits."""
+    if listable(spec):
+        return found_by(dense(words, spec), spec, domain, _taker)
     return digest(without_unset(dense(words, spec), spec, domain), spec, domain)
 
 

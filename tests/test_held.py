@@ -1,5 +1,7 @@
 """Queries whose sets are marked, swept and drawn from in the tasks that hold their filters."""
 
+import random
+
 import pytest
 from test_whole import equals_sql, folder, long_folder, moved  # noqa: F401
 
@@ -23,6 +25,8 @@ NAMES = [
     "q_sample_many_replace",
     "q_sample_paper",
     "q_sample_many_noreplace",
+    "q_membership",
+    "q_preimage_unset_bits",
 ]
 
 
@@ -40,3 +44,21 @@ def test_only_pairs_and_filters_move(spark, folder, name):  # noqa: F811
 @pytest.mark.parametrize("name", NAMES)
 def test_whole_jobs_beyond_one_period(spark, long_folder, name):  # noqa: F811
     equals_sql(spark, long_folder, name)
+
+
+@pytest.mark.parametrize("family", ["affine_mod_p", "affine_mod_m"])
+@pytest.mark.parametrize("top", [90, 1000])
+def test_division_and_unset_bits_find_what_a_probe_finds(family, top):
+    import numpy as np
+
+    from bitgrove.operators import whole as H
+
+    spec, rng = W.make_spec(130, family=family, domain=1000), random.Random(6)
+    top = min(top, H.turns(spec, top))
+    place = lambda x: [(a * x + b) % (spec.p if family == "affine_mod_p" else spec.m) % spec.m for a, b in zip(spec.a, spec.b, strict=True)]
+    for n in (0, 25, 60, 400):
+        held = {p for x in rng.sample(range(1000), n) for p in place(x)}
+        bits = np.zeros(spec.words * 64, bool)
+        bits[list(held)] = True
+        want = [x for x in range(top) if held.issuperset(place(x))]
+        assert H._divider(spec, top)(bits).tolist() == want and H._taker(spec, top)(bits).tolist() == want
