@@ -77,6 +77,13 @@ def test_clustered_sets_of_nations(spark, tmp_path):
     assert got == {"0": 40, "1": 20}
 
 
+def test_clustered_sets_keep_no_sketch_an_id(spark, tmp_path):
+    """A distinct count beside a percentile is grouped by id; at 60 times that took most of the time."""
+    spark.createDataFrame([(x, x % 3 % 2) for x in range(60)], "c_custkey long, c_nationkey long").write.parquet(f"{tmp_path}/customer.parquet")
+    plan = W.QUERIES["w_clustered_generator"](spark, str(tmp_path))._jdf.queryExecution().optimizedPlan().toString()
+    assert "percentile_approx" in plan and "distinct" not in plan
+
+
 def test_masked_filters_are_those_of_each_case(spark):
     """One probe with masks finds what a filter per case finds."""
     from pyspark.sql import functions as F
