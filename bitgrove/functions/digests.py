@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import hashlib
 import math
+from functools import cache
 
 import numpy as np
 
@@ -11,18 +12,21 @@ import numpy as np
 AT_ONCE, LONGEST = 1 << 14, 55
 #: Keys that hashlib takes sooner.
 FEW = 256
+#: Numbers that are counted up and hashed together, and how many of their last digits are listed beforehand.
+COUNTED, LISTED = 20_000, 5
 _ADD = [np.uint32(int(abs(math.sin(i + 1)) * 2**32)) for i in range(64)]
 _TURN = [[7, 12, 17, 22], [5, 9, 14, 20], [4, 11, 16, 23], [6, 10, 15, 21]]
 _WORD = [[i for i in range(16)], [(5 * i + 1) % 16 for i in range(16)], [(3 * i + 5) % 16 for i in range(16)], [7 * i % 16 for i in range(16)]]
 _START = [np.uint32(v) for v in (0x67452301, 0xEFCDAB89, 0x98BADCFE, 0x10325476)]
 
 
-def _block(words: list, n: int) -> list:
-    """The four words of the digests of one-block messages; words are arrays of n, or numbers where all messages agree."""
+def _block(words: list, n: int, first: bool = False) -> list:
+    """The four words of the digests of one-block messages; words are arrays of n, or numbers where all messages agree. first: the
+    first of them only, which is known sooner."""
     a, b, c, d = (np.full(n, v, np.uint32) for v in _START)
     f, g = np.empty(n, np.uint32), np.empty(n, np.uint32)
     with np.errstate(over="ignore"):
-        for i in range(64):
+        for i in range(61 if first else 64):
             kind = i // 16
             if kind == 0:
                 np.bitwise_xor(c, d, out=f)
@@ -52,6 +56,8 @@ def _block(words: list, n: int) -> list:
             f |= g
             f += b
             a, d, c, b, f = d, c, b, f, a
+        if first:
+            return [b + _START[0]]
         return [x + s for x, s in zip((a, b, c, d), _START, strict=True)]
 
 
@@ -109,6 +115,33 @@ def coins(*parts: str | np.ndarray) -> np.ndarray:
     return (heads(*parts) >> np.uint64(32)).astype(np.float64) / 4294967296.0
 
 
+@cache
+def _last_digits(at: int) -> list[np.ndarray]:
+    """What the last LISTED digits of all numbers add to zeros in the word that has the first of them at this byte, and in the next."""
+    x, out = np.arange(10**LISTED, dtype=np.uint32), [np.zeros(10**LISTED, np.uint32) for _ in range(2)]
+    for place in range(LISTED):
+        digit = x // np.uint32(10 ** (LISTED - 1 - place)) % np.uint32(10)
+        out[(at + place) // 4] += digit << np.uint32(8 * ((at + place) % 4))
+    return out
+
+
+def coins_counted(head: str, low: int, tails: list[str], which: np.ndarray | None = None) -> np.ndarray:
+    """coins of the texts head, number, tails[which], put together, for the numbers low, low + 1, ... COUNTED of them. low is a multiple
+    of COUNTED and has more than LISTED digits, so numbers agree in all digits but those."""
+    head += str(low // 10**LISTED)
+    texts = [(head + "0" * LISTED + t).encode() for t in tails]
+    if max(map(len, texts)) > LONGEST:
+        of, shown = [0] * COUNTED if which is None else which.tolist(), low % 10**LISTED
+        keys = (f"{head}{shown + i:0{LISTED}}{tails[t]}" for i, t in enumerate(of))
+        return np.array([int.from_bytes(hashlib.md5(k.encode()).digest()[:4], "big") for k in keys]) / 4294967296.0
+    blocks = np.array([np.frombuffer(t + b"\x80" + bytes(55 - len(t)) + (8 * len(t)).to_bytes(8, "little"), "<u4") for t in texts])
+    words: list = [c[which] if (c != c[0]).any() else c[0] for c in blocks.T]
+    at = len(head.encode())
+    for i, digits in enumerate(_last_digits(at % 4)):
+        words[at // 4 + i] = words[at // 4 + i] + digits[low % 10**LISTED :][:COUNTED]
+    return _block(words, COUNTED, first=True)[0].byteswap() / 4294967296.0
+
+
 def by_digest(x: np.ndarray, *parts: str, also: np.ndarray | None = None) -> np.ndarray:
     """Indexes that sort x, all different, by `also`, then by the MD5 of parts:x, then by x."""
     keys = heads(*parts, x)

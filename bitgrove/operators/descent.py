@@ -186,9 +186,17 @@ def sample_work(words: DataFrame, tree: Tree, draws: int, seed: int = 1, weights
     return got.select("set_id", "draw", "intersections", "memberships")
 
 
-def sample_counts(words: DataFrame, tree: Tree, draws: int | DataFrame, seed: int = 1, weights: str = "floored", tau: float | None = None) -> DataFrame:
+def sample_counts(words: DataFrame, tree: Tree, draws: int | DataFrame, seed: int = 1, weights: str = "floored", tau: float | None = None, among: DataFrame | None = None) -> DataFrame:
     """(set_id, x, times): how often sample_sets, with replacement over all ids, draws each id. Draws that name the same rank of a leaf
-    are counted before they meet its id."""
+    are counted before they meet its id. among: (set_id, x), distinct, for callers that want to know of these ids alone."""
+    if H.fits(tree):
+        sets = as_arrays(words, tree.spec)
+        sets = sets.withColumn("draws", F.lit(draws).cast("long")) if isinstance(draws, int) else sets.join(draws.select("set_id", F.col("draws").cast("long").alias("draws")), "set_id")
+        if among is not None:
+            sets = sets.join(among.groupBy("set_id").agg(F.collect_list("x").alias("xs")), "set_id")
+        return H.times_drawn(sets, tree, seed, weights, tau, among is not None)
+    if among is not None:
+        return sample_counts(words, tree, draws, seed, weights, tau).join(among, ["set_id", "x"], "left_semi")
     words = by_set(words)
     live = mark(words, tree, weights if weights in ("paper", "prior") else "floored", tau)
     found, dealt = _found(live, tree, words, None)

@@ -10,15 +10,18 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.digests import by_digest, coins, heads, ranked
+from ..functions.digests import COUNTED, LISTED, by_digest, coins, coins_counted, heads, ranked
 from ..functions.hashing import Spec, period
 from ..plans.tree import Tree
+from ..sources.scratch import stored
 from .filters import BROADCAST_BYTES
 from .sweep import FLOOR, MOST_BITS, recover, start_level
-from .whole import HANDED, _blocks, _filters_of, _placed, _yes, dense, probed, turns
+from .whole import HANDED, MOST_PARTS, _blocks, _filters_of, _placed, _yes, dense, probed, turns
 
 #: Draws of a set that its task lists at once.
 MOST_DRAWS = 1 << 17
+#: Draws of a set that one task counts.
+RUN_DRAWS = 400 * COUNTED
 #: What a draw is in a result.
 DRAWN = "set_id string, draw int, x long, idx long, intersections long, memberships long"
 
@@ -168,6 +171,33 @@ def _walk(set_id: str, weight, live, sums, nodes: Nodes, draw, seed: int, exact:
     return node - (1 << nodes.depth), more_ands, more_probes + probes[node]
 
 
+def _counts(set_id: str, x, positives, weight, live, hits, nodes: Nodes, low: int, high: int, seed: int):
+    """How often the draws low..high-1 of one set hit each of its ids; x in the order of leaf and digest. The draws are those of _walk,
+    counted up, so that their keys are made from lists."""
+    import numpy as np
+
+    depth, l = nodes.depth, 2 * np.arange(1 << nodes.depth)
+    w, r = np.where(live, weight, 0).astype(np.float64), l + 1
+    total = w[l] + w[r]
+    share = np.where(live[l] & ~live[r], 1.0, np.where(~live[l], 0.0, np.where(total > 0, w[l] / np.where(total > 0, total, 1.0), 0.5)))
+    # Where both coins lead, for each node.
+    turn_left, turn_right = np.where(hits[l] > 0, l, r), np.where(hits[r] > 0, r, l)
+    first, times = np.cumsum(positives) - positives, np.zeros(len(x), np.int64)
+    tails = [[f":{level}:{i}" for i in range(1 << level)] for level in range(depth)]
+    for at in range(low, high, COUNTED):
+        draw, listed = np.arange(at, at + COUNTED), at >= 10**LISTED
+        node = np.ones(COUNTED, np.int64)
+        for level in range(depth):
+            idx = node - (1 << level)
+            coin = coins_counted(f"{seed}:{set_id}:", at, tails[level], idx) if listed else coins(str(seed), set_id, draw, str(level), idx)
+            node = np.where(coin < share[node], turn_left[node], turn_right[node])
+        leaf = node - (1 << depth)
+        pick = coins_counted(f"{seed}:pick:{set_id}:", at, [""]) if listed else coins(str(seed), "pick", set_id, draw)
+        hit = first[leaf] + np.floor(pick * positives[leaf]).astype(np.int64)
+        times += np.bincount(hit[: high - at], minlength=len(x))
+    return times
+
+
 def _ids_at(set_id: str, x, positives, leaf, rank, seed: int):
     """Ids of these ranks (from 0, by digest) in their leaves; x in order. -1 where a leaf has none of that rank, or leaf is -1."""
     import numpy as np
@@ -204,9 +234,9 @@ def _without_replacement(set_id: str, x, positives, leaf, draw, seed: int):
     return out
 
 
-def _by_set(filters: DataFrame, nodes: Nodes, kinds: list[tuple[str, float | None]], start: int, make: Callable, schema: str) -> DataFrame:
+def _by_set(filters: DataFrame, nodes: Nodes, kinds: list[tuple[str, float | None]], start: int, make: Callable, schema: str, also: tuple[str, ...] = ()) -> DataFrame:
     """make(set_id, filter, blocks, marks, i) gives the columns of a set's rows after set_id; marks has those of every kind of
-    weights, i is the set's row in them."""
+    weights, i is the set's row in them. also: columns whose values make gets too."""
     words, names = nodes.spec.words, [c.split()[0] for c in schema.split(", ")]
 
     def done(batches):
@@ -227,8 +257,9 @@ def _by_set(filters: DataFrame, nodes: Nodes, kinds: list[tuple[str, float | Non
             held = _filters_of(batch, words)
             marks = [marked(held, nodes, _mark_kind(w), tau, start) for w, tau in kinds]
             sets, of, rows, many = [], [], [], 0
+            more = [batch.column(batch.schema.get_field_index(c)) for c in also]
             for i, set_id in enumerate(batch.column(batch.schema.get_field_index("set_id")).to_pylist()):
-                got = make(set_id, held[i], blocks, marks, i)
+                got = make(set_id, held[i], blocks, marks, i, *(c[i] for c in more))
                 if len(got[0]):
                     sets.append(set_id), of.append(len(got[0])), rows.append(got)
                     many += len(got[0])
@@ -238,7 +269,7 @@ def _by_set(filters: DataFrame, nodes: Nodes, kinds: list[tuple[str, float | Non
             if sets:
                 yield handed(sets, of, rows)
 
-    return filters.select("set_id", "filter").mapInArrow(done, schema)
+    return filters.select("set_id", "filter", *also).mapInArrow(done, schema)
 
 
 def drawn(filters: DataFrame, tree: Tree, draws: int, seed: int, weights: str, tau: float | None, replace: bool, printed: bool, look_up: bool = True) -> DataFrame:
@@ -264,6 +295,33 @@ def drawn(filters: DataFrame, tree: Tree, draws: int, seed: int, weights: str, t
     return _by_set(filters, nodes, [(weights, tau)], 0, make, DRAWN)
 
 
+def times_drawn(sets: DataFrame, tree: Tree, seed: int, weights: str, tau: float | None, among: bool) -> DataFrame:
+    """descent.sample_counts of sets (set_id, filter, draws), or, of sets that list ids xs as well (among), of these ids alone: all draws
+    are made, but no others leave the task. Sets of many draws are dealt in runs, whose numbers are added up."""
+    import numpy as np
+
+    nodes, exact = nodes_of(tree), weights == "exact"
+
+    def make(set_id, filter_, blocks, marks, i, low, high, xs=None):
+        weight, live, reached = (v[i] for v in marks[0])
+        x, positives = _in_leaves(filter_, live, nodes, blocks)
+        if not len(x):
+            return x, x
+        hits = _upwards(live, reached, positives, nodes, False)[0]
+        x = x[by_digest(x, str(seed), "leaf", set_id, also=nodes.leaf_of(x))]
+        times = _counts(set_id, x, positives, hits if exact else weight, live, hits, nodes, low.as_py(), high.as_py(), seed)
+        hit = times > 0
+        if xs is not None:
+            hit &= np.isin(x, xs.values.to_numpy())
+        return x[hit], times[hit]
+
+    lows = F.explode(F.sequence(F.lit(0).cast("long"), F.col("draws") - 1, F.lit(RUN_DRAWS).cast("long")))
+    runs = sets.filter("draws > 0").withColumn("low", lows).withColumn("high", F.least("draws", F.col("low") + RUN_DRAWS)).drop("draws")
+    runs = stored(runs, "runs")
+    got = _by_set(runs.repartition(max(1, min(MOST_PARTS, runs.count()))), nodes, [(weights, tau)], 0, make, "set_id string, x long, times long", ("low", "high", *(["xs"] if among else [])))
+    return got if runs.filter("low > 0").isEmpty() else got.groupBy("set_id", "x").agg(F.sum("times").alias("times"))
+
+
 def kept_uniform(filters: DataFrame, tree: Tree, draws: int, seed: int, weights: str) -> DataFrame:
     """descent.rejected_to_uniform over all ids: only draws that are kept meet their ids."""
     import numpy as np
