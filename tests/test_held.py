@@ -95,3 +95,22 @@ def test_only_counts_of_members_leave_the_draws(spark, tmp_path, name):
     db.execute(f"CREATE VIEW customer AS SELECT * FROM '{tmp_path}/customer.parquet/*.parquet'")
     want = sorted(db.execute(ORACLES[name]).fetchall())
     assert [r[:3] for r in got] == [r[:3] for r in want] and all(a == pytest.approx(b, abs=2e-6) for r, w in zip(got, want, strict=True) for a, b in zip(r[3:], w[3:], strict=True))
+
+
+def test_start_below_the_levels_of_its_sql(spark, tmp_path):
+    """Where levels 0 to 4 are full the sweep starts at level 5, with a row for every supplier: that of the SQL carried on to this level.
+    The registered SQL ends at level 3."""
+    import duckdb
+
+    from bitgrove import oracles as O
+
+    rng = random.Random(7)
+    rows = [(s, x) for s in range(6) for x in rng.sample(range(900_000), 200)]
+    spark.createDataFrame(rows, "l_suppkey long, l_orderkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.createDataFrame([(899_999,)], "o_orderkey long").write.parquet(f"{tmp_path}/orders.parquet")
+    db = duckdb.connect()
+    for t in ("lineitem", "orders"):
+        db.execute(f"CREATE VIEW {t} AS SELECT * FROM '{tmp_path}/{t}.parquet/*.parquet'")
+    sql = f"SELECT q.* FROM ({O.base(O.suppliers())}{O.tree(W.SPEC, W.DEPTH)}{O.live(W.SPEC, W.DEPTH, start=5)} {O.sweep_ops('', W.SPEC, W.DEPTH, 5)}) q"
+    got = sorted(tuple(r) for r in W.QUERIES["w_start_level"](spark, str(tmp_path)).collect())
+    assert len(got) == 6 and got == sorted(db.execute(sql).fetchall())
