@@ -114,3 +114,18 @@ def test_start_below_the_levels_of_its_sql(spark, tmp_path):
     sql = f"SELECT q.* FROM ({O.base(O.suppliers())}{O.tree(W.SPEC, W.DEPTH)}{O.live(W.SPEC, W.DEPTH, start=5)} {O.sweep_ops('', W.SPEC, W.DEPTH, 5)}) q"
     got = sorted(tuple(r) for r in W.QUERIES["w_start_level"](spark, str(tmp_path)).collect())
     assert len(got) == 6 and got == sorted(db.execute(sql).fetchall())
+
+
+def test_runs_of_draws_add_up(spark, monkeypatch):
+    """130,000 draws of a set dealt in seven runs hit its ids as often as in one; the filters of two sets, one of them empty of draws."""
+    from bitgrove.operators import descent as S
+    from bitgrove.operators import filters as L
+    from bitgrove.operators import held as H
+
+    spec = W.make_spec(400, domain=1000)
+    words = L.build_filters(spark.createDataFrame([(str(s), 37 * x % 1000 + s) for s in (0, 1) for x in range(40)], "set_id string, x long"), spec)
+    tree = X.build_tree(C.all_ids(spark, 1000), spec, 1000, 3, complete=True)
+    draws = spark.createDataFrame([("0", 130_000), ("1", 0)], "set_id string, draws long")
+    got = sorted(S.sample_counts(words, tree, draws).collect())
+    monkeypatch.setattr(H, "RUN_DRAWS", H.COUNTED)
+    assert sum(r.times for r in got) == 130_000 and got == sorted(S.sample_counts(words, tree, draws).collect())
