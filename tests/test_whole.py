@@ -224,3 +224,20 @@ def test_masked_filters_of_any_masks(spark, monkeypatch, family, top):
             each = set().union(*(place[x] for x in mine))
             assert got[s][f"c{i}"] == sum(n for x, c, n in ids if c >> i & 1 and each >= place[x])
             assert got[s][f"n{i}"] == len(mine) and got[s][f"k{i}"] == sum(times.get(x, 0) for x in mine)
+
+
+@pytest.mark.parametrize(("orders", "held"), [(160_000, 300), (400, 300), (1 << 45, 300), (20, 30)])
+def test_parameters_for_the_domain_of_orders(spark, tmp_path, orders, held):
+    """Before, only three given domains had rows. Sets that take up most of the domain, all of it or more need no length of a filter."""
+    rows = [(s, x) for s in (1, 2) for x in range(held // s)]
+    spark.createDataFrame(rows, "l_suppkey long, l_orderkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.createDataFrame([(orders - 1,)], "o_orderkey long").write.parquet(f"{tmp_path}/orders.parquet")
+    db = duckdb.connect()
+    for t in ("lineitem", "orders"):
+        db.execute(f"CREATE VIEW {t} AS SELECT * FROM '{tmp_path}/{t}.parquet/*.parquet'")
+    want = db.execute(ORACLES["w_params_table"]).fetchall()
+    got = W.w_params_table(spark, str(tmp_path)).collect()
+    assert len(got) == 2 * 4 * 6 * 2 and {r.domain for r in got} == {*W.GRID_M, orders}
+    for r, w in zip(sorted(map(tuple, got), key=lambda r: r[:4]), sorted(want, key=lambda r: r[:4]), strict=True):
+        assert [v is None for v in r] == [v is None for v in w] and [v for v in r if v is not None] == pytest.approx([v for v in w if v is not None], rel=1e-9, abs=2e-3)
+    assert any(r.m is None for r in got) == (orders < 1000)
